@@ -6,13 +6,27 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
+from privq.llm.audio import op6_audio_features
 from privq.llm.bpe import op10_bpe_round_trip
+from privq.llm.mixing import op8_mixing
+from privq.llm.ngram_join import op5_ngram_join
+from privq.llm.packing import op1_packing
+from privq.llm.sharding import op3_sharding
 from privq.llm.token_counts import op7_token_counts
+from privq.llm.toxicity import op2_toxicity
+from privq.llm.vector_search import op9_vector_search
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return {
+        "op1_packing": op1_packing,
+        "op2_toxicity": op2_toxicity,
+        "op3_sharding": op3_sharding,
+        "op5_ngram_join": op5_ngram_join,
+        "op6_audio_features": op6_audio_features,
         "op7_token_counts": op7_token_counts,
+        "op8_mixing": op8_mixing,
+        "op9_vector_search": op9_vector_search,
         "op10_bpe_round_trip": op10_bpe_round_trip,
     }
 
