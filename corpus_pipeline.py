@@ -1,7 +1,50 @@
-"""Corpus pipeline."""
+"""Corpus pipeline: reject toxic documents, keep one of each near-duplicate group, redact secrets, mix sources, encode.
 
-STAGES: list = []
+Each stage takes (spark, docs, sf_dir), works on all documents its predecessor kept and returns a frame; ``run``
+writes it as Parquet into the shared folder and reads it back as the next stage's documents. All stages but the last
+return the columns of ``documents``. The mixing stage repeats a document as often as the mix takes it. The last stage
+returns one row per document of the mix with its ids and digests.
+"""
 
+from __future__ import annotations
 
-def run(spark, sf_dir):
-    raise NotImplementedError
+from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
+
+from privq.llm import bpe, mixing, ngram_join, secrets, toxicity
+from privq.llm.common import WORD, table, text_or_empty
+from privq.sources.scratch import materialize
+
+
+def reject_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    return toxicity.drop_toxic(docs, toxicity.train(docs, table(spark, sf_dir, "labels")))
+
+
+def one_of_each_group(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    return ngram_join.keep_one_of_each(docs)
+
+
+def redact_secrets(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    return secrets.redact(docs, secrets.train(secrets.labelled_findings(spark)))
+
+
+def mix_sources(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    sized = docs.withColumn("size", F.regexp_count(text_or_empty(), F.lit(WORD)).cast("long"))
+    return mixing.draws(mixing.plan_mix(sized, ["doc_id", "size"]), ["doc_id"]).select(*docs.columns)
+
+
+def encode(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    return bpe.encode_and_decode(docs, bpe.default_tokenizer(), keep_ids=True)
+
+
+STAGES = [("toxicity", reject_toxic), ("ngram_jaccard_join", one_of_each_group), ("secret_scan", redact_secrets), ("mixing", mix_sources), ("bpe", encode)]
+
+#: Neither the field's scores nor the encoder can be written in SQL; tests compare with plain versions.
+ORACLE_SQL = None
+
+
+def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = table(spark, sf_dir, "documents")
+    for name, stage in STAGES:
+        docs = materialize(stage(spark, docs, sf_dir), f"pipeline-{name}")
+    return docs

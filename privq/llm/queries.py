@@ -11,6 +11,7 @@ from privq.llm.bpe import op10_bpe_round_trip
 from privq.llm.mixing import op8_mixing
 from privq.llm.ngram_join import op5_ngram_join
 from privq.llm.packing import op1_packing
+from privq.llm.secrets import op4_secret_scan
 from privq.llm.sharding import op3_sharding
 from privq.llm.token_counts import op7_token_counts
 from privq.llm.toxicity import op2_toxicity
@@ -22,6 +23,7 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
         "op1_packing": op1_packing,
         "op2_toxicity": op2_toxicity,
         "op3_sharding": op3_sharding,
+        "op4_secret_scan": op4_secret_scan,
         "op5_ngram_join": op5_ngram_join,
         "op6_audio_features": op6_audio_features,
         "op7_token_counts": op7_token_counts,
