@@ -13,6 +13,7 @@ from privq.functions import prf
 from privq.functions.domain import Domain, separate, to_domain, to_unit
 from privq.operators import baselines, bisection, experiments, grouped, locate, measures, select, slices
 from privq.plans import accountant, counting, ranks, tails
+from privq.relational import PAIRS
 from privq.sources import io
 from privq.streaming import windows
 
@@ -617,6 +618,8 @@ WORKLOADS = {
     "w7_budgets": ("age", lambda: experiments.sweep_budget(9, "add_remove", [1.0, 2.0, 4.0], [1e-6, 1e-16]), 5),
     "w8_histogram": ("hours", lambda: [experiments.Setting("histogram", "add_remove", 10, bins=b) for b in (64, 256, 1024)] + [experiments.Setting("independent", "add_remove", 10)], 5),
     "w10_budget_split": ("age", lambda: experiments.sweep_split(9, "add_remove", [0.25, 0.5, 0.75]), 5),
+    "w13_headline": ("age", lambda: experiments.sweep_m("substitute", [200]), 3),
+    "w14_delta": ("age", lambda: experiments.sweep_budget(9, "add_remove", [1.0], [1e-4, 1e-8, 1e-16]), 5),
     "w15_ablations": ("age", lambda: experiments.ablations(9, "add_remove"), 5),
 }
 
@@ -698,6 +701,7 @@ def _pairs() -> dict[str, tuple[Query, str | None]]:
     }
     found |= {name: (r.run, r.sql) for name, r in RELEASES.items()}
     found |= {name: (workload(*w), None) for name, w in WORKLOADS.items()}
+    found |= PAIRS
     return found
 
 
