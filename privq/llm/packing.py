@@ -19,7 +19,7 @@ import pyarrow as pa
 from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession
 
-from privq.llm.bpe import ChunkEncoder, Vocabulary, default_tokenizer, some_at_a_time
+from privq.llm.bpe import PRETOKEN, Vocabulary, default_tokenizer
 from privq.llm.common import table, text_or_empty
 
 RUN_TOKENS = 4_000_000
@@ -114,28 +114,34 @@ def unpack(rows: list[dict]) -> dict[int | None, list[tuple[int, list[int]]]]:
     return {d: sorted(s, key=lambda x: x[0]) for d, s in out.items()}
 
 
+def library_encoder(vocabulary: Vocabulary):
+    """The vocabulary in the fast library, which takes ids for ranks: they must grow with the merges."""
+    import tiktoken
+
+    if any(a >= b for a, b in zip(vocabulary.merged, vocabulary.merged[1:], strict=False)):
+        raise ValueError("ids must grow with the merges")
+    plain = {b: i for i, b in vocabulary.bytes_of.items() if i not in vocabulary.special.values()}
+    return tiktoken.Encoding("packing", pat_str=PRETOKEN, mergeable_ranks=plain, special_tokens=vocabulary.special)
+
+
 def _pack_batches(path: str, length: int, end_id: int | None):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         vocabulary = Vocabulary(path)
         end = max(vocabulary.special.values(), default=0) if end_id is None else end_id
-        close = np.array([end], np.uint32).tobytes()
-        encoder = ChunkEncoder(vocabulary, lambda ids: np.array(ids, np.uint32).tobytes())
+        encoder = library_encoder(vocabulary)
         context = TaskContext.get()
         row = (context.partitionId() if context else 0) << 40
         held: list[tuple[int | None, np.ndarray]] = []
         tokens = 0
         for batch in batches:
-            ids = iter(batch.column(0).to_pylist())
-            for some in some_at_a_time(batch.column(1).to_pylist()):
-                encoder.learn(some)
-                for text in some:
-                    line = np.frombuffer(b"".join([*encoder.parts(text), close]), np.uint32)
-                    held.append((next(ids), line))
-                    tokens += len(line)
-                    if tokens >= RUN_TOKENS:
-                        made = pack(held, length, row)
-                        row, held, tokens = row + made.num_rows, [], 0
-                        yield made
+            for doc, text in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
+                line = np.append(encoder.encode_to_numpy(text, allowed_special="all"), np.uint32(end))
+                held.append((doc, line))
+                tokens += len(line)
+                if tokens >= RUN_TOKENS:
+                    made = pack(held, length, row)
+                    row, held, tokens = row + made.num_rows, [], 0
+                    yield made
         if held:
             yield pack(held, length, row)
 
