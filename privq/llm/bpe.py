@@ -294,9 +294,10 @@ def _digest_batches(path: str, keep_ids: bool) -> Callable[[Iterator[pa.RecordBa
         encoder = ChunkEncoder(vocabulary, lambda ids: (len(ids), ",".join(map(str, ids)), b"".join([bytes_of[i] for i in ids])))
         for batch in batches:
             *others, texts = (batch.column(k) for k in range(batch.num_columns))
-            n_tokens, ids_sha, back_sha, kept = [], [], [], []
+            row = 0
             for some in some_at_a_time(texts.to_pylist()):
                 encoder.learn(some)
+                n_tokens, ids_sha, back_sha, kept = [], [], [], []
                 for text in some:
                     parts = encoder.parts(text)
                     joined = ",".join([p[1] for p in parts if p[0]])
@@ -305,13 +306,15 @@ def _digest_batches(path: str, keep_ids: bool) -> Callable[[Iterator[pa.RecordBa
                     back = b"".join([p[2] for p in parts]).decode("utf-8", "replace")
                     back_sha.append(hashlib.sha256(back.encode()).hexdigest())
                     if keep_ids:
-                        kept.append([int(x) for x in joined.split(",")] if joined else [])
-            made = [pa.array(n_tokens, pa.int64()), pa.array(ids_sha, pa.string()), pa.array(back_sha, pa.string())]
-            names = ["n_tokens", "ids_sha256", "decoded_sha256"]
-            if keep_ids:
-                made.append(pa.array(kept, pa.list_(pa.int32())))
-                names.append("token_ids")
-            yield pa.RecordBatch.from_arrays([*others, *made], [*batch.schema.names[:-1], *names])
+                        kept.append(np.fromstring(joined, np.int32, sep=","))
+                made = [pa.array(n_tokens, pa.int64()), pa.array(ids_sha, pa.string()), pa.array(back_sha, pa.string())]
+                names = ["n_tokens", "ids_sha256", "decoded_sha256"]
+                if keep_ids:
+                    ends = np.cumsum([0, *map(len, kept)], dtype=np.int32)
+                    made.append(pa.ListArray.from_arrays(pa.array(ends), pa.array(np.concatenate(kept))))
+                    names.append("token_ids")
+                yield pa.RecordBatch.from_arrays([*(c.slice(row, len(some)) for c in others), *made], [*batch.schema.names[:-1], *names])
+                row += len(some)
 
     return run
 

@@ -30,7 +30,7 @@ from pyspark.sql import functions as F
 
 from privq.llm.common import is_held_out, table, text_or_empty
 
-MOST_LABELLED = 3000
+MOST_LABELLED = 1500
 MOST_CHARS = 20_000
 WINDOW_TOKENS = 120
 MOST_WINDOWS = 700
@@ -48,9 +48,10 @@ class Field:
 
 def pick_words(texts: list[str], labels: list[int], precision: float = 0.95) -> list[str]:
     """Greedy cover of toxic texts by words that clean texts hardly have."""
-    seen = {}
+    seen, same = {}, {}
     for t, y in zip(texts, labels, strict=True):
-        seen.setdefault((t, y), set(_WORD.findall(t.lower())))
+        if (t, y) not in seen:
+            seen[t, y] = {same.setdefault(w, w) for w in _WORD.findall(t.lower())}  # one object a word
     clean = Counter(w for (_, y), ws in seen.items() if not y for w in ws)
     toxic = [ws for (_, y), ws in seen.items() if y]
     in_toxic = Counter(w for ws in toxic for w in ws)
