@@ -6,6 +6,8 @@ a hash of the release key. Exact counts and ranges stay on the driver and are no
 
 from __future__ import annotations
 
+import math
+
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -18,6 +20,8 @@ from privq.plans import accountant, counting, ranks
 from privq.sources.scratch import materialize
 
 RESULT = "i int, q double, z double"
+#: Rows of slices that may come to the driver.
+MOST_LOCAL = 1_000_000
 
 
 def result_frame(spark: SparkSession, qs: list[float], zs: list[float]) -> DataFrame:
@@ -33,18 +37,41 @@ def random_release(spark: SparkSession, qs: list[float], domain: Domain, key: st
     return result_frame(spark, qs, [domain.lo + u * (domain.hi - domain.lo) for u in us])
 
 
-def adaptive(slices: DataFrame, m: int, plan: accountant.Plan, domain: Domain, key: str) -> list[float]:
+def pick_keyed(points: list[float], eps: float, lo: float, hi: float, h: int, key: str, i: int) -> float:
+    """What ``select_interval`` gives for slice i, from its sorted points on the driver."""
+    edges = [lo, *(max(lo, min(hi, x)) for x in points), hi]
+    best = None
+    for j, (left, right) in enumerate(zip(edges, edges[1:], strict=False)):
+        if right > left:
+            score = math.log(right - left) - eps / 2 * abs(j - (h + 0.5)) + prf.gumbel_of(key, "sel", i, j)
+            if best is None or (score, j) > best[:2]:
+                best = (score, j, left, right - left)
+    return lo if best is None else best[2] + best[3] * prf.uniform_of(key, "pos", i)
+
+
+def adaptive(slices: DataFrame, m: int, plan: accountant.Plan, domain: Domain, key: str, most_local: int = MOST_LOCAL) -> list[float]:
     """Middle quantile on the whole domain, then both halves bounded by what was released, level by level.
 
-    The slices are m (2h + 1) rows, stored once; each level broadcasts at most m bounds and returns as many estimates.
+    The slices are m (2h + 1) rows. Up to ``most_local`` of them come to the driver once and the levels run there;
+    beyond it they are stored, and each level broadcasts at most m bounds and returns as many estimates.
     """
     spark, z = slices.sparkSession, [0.0] * m
     bounds = {(0, m - 1): (float(domain.lo), float(domain.hi))}
+    local = m * (2 * plan.h + 1) <= most_local
+    points: dict[int, list[float]] = {}
+    if local:
+        for r in slices.select("i", "pos", "x").sort("i", "pos").toArrow().to_pylist():
+            points.setdefault(r["i"], []).append(r["x"])
+    else:
+        slices = materialize(slices, "slices")
     for level in halves(m):
-        rows = [(mid + 1, *bounds[a, b]) for mid, a, b in level]
-        frame = spark.createDataFrame(rows, "i int, lo double, hi double")
-        for r in select_interval(slices, plan.eps2, domain, plan.h, key, bounds=frame, grid=False).collect():
-            z[r["i"] - 1] = r["z"]
+        if local:
+            for mid, a, b in level:
+                z[mid] = pick_keyed(points[mid + 1], plan.eps2, *bounds[a, b], plan.h, key, mid + 1)
+        else:
+            frame = spark.createDataFrame([(mid + 1, *bounds[a, b]) for mid, a, b in level], "i int, lo double, hi double")
+            for r in select_interval(slices, plan.eps2, domain, plan.h, key, bounds=frame).collect():
+                z[r["i"] - 1] = r["z"]
         for mid, a, b in level:
             lo, hi = bounds.pop((a, b))
             bounds[a, mid - 1], bounds[mid + 1, b] = (lo, z[mid]), (z[mid], hi)
@@ -68,7 +95,7 @@ def release(values: DataFrame, qs: list[float], plan: accountant.Plan, domain: D
         return random_release(spark, qs, domain, key, plan.grid)
     found = locate.slices(index, noisy, plan.h)
     if clip == "adaptive":
-        zs = adaptive(materialize(found, "slices"), m, plan, domain, key)
+        zs = adaptive(found, m, plan, domain, key)
         zs = [float(int(z + 0.5)) if plan.grid else z for z in zs]
         return result_frame(spark, qs, sorted(zs) if monotone else zs)
     picked = select_interval(found, plan.eps2, domain, plan.h, key, grid=plan.grid)

@@ -91,6 +91,14 @@ def test_release_is_accurate_and_repeatable(spark):
         assert [r["z"] for r in sorted(again.collect(), key=lambda r: r["i"])] == z
 
 
+def test_adaptive_levels_agree_on_and_off_the_driver(spark):
+    x = np.random.default_rng(8).random(9000) * 1000
+    d = Domain(0.0, 1024.0)
+    p = accountant.plan(5, len(x), d.psi, 1.0, 1e-6)
+    found = locate.slices(locate.Index(frame(spark, x), d), [1500, 3000, 4500, 6000, 7500], p.h)
+    assert slices.adaptive(found, 5, p, d, "k") == pytest.approx(slices.adaptive(found, 5, p, d, "k", most_local=0))
+
+
 def test_pure_release_is_on_the_grid(spark):
     x = np.random.default_rng(8).integers(0, 65, 20_000)
     d = Domain(0.0, 64.0)
