@@ -13,7 +13,7 @@ from __future__ import annotations
 
 import hashlib
 import json
-from collections.abc import Callable, Iterator
+from collections.abc import Callable, Iterable, Iterator
 
 import numpy as np
 import pyarrow as pa
@@ -32,7 +32,7 @@ NEWER = (
     (0x16FF2, 0x16FF6), (0x187F8, 0x187FF), (0x18CD6, 0x18CDA), (0x18D09, 0x18D20), (0x18D80, 0x18DF2), (0x18E00, 0x19191), (0x191A0, 0x191D2), (0x1B123, 0x1B128), (0x1B168, 0x1B168), (0x1D6A6, 0x1D6A6), (0x1DF1F, 0x1DF24), (0x1DF2B, 0x1DF81), (0x1DF90, 0x1DF96),
     (0x1DFCD, 0x1DFFF), (0x1E6C0, 0x1E6DE), (0x1E6E0, 0x1E6E2), (0x1E6E4, 0x1E6E5), (0x1E6E7, 0x1E6ED), (0x1E6F0, 0x1E6F4), (0x1E6FE, 0x1E6FF), (0x2B73A, 0x2B73F), (0x2B81E, 0x2B81E), (0x2CEA2, 0x2CEAD), (0x323B0, 0x33479), (0x3D000, 0x3FC3F),
 )
-CACHE_ENTRIES = 400_000
+CACHE_ENTRIES = 250_000
 _SPACE = regex.compile(r"\s")
 _RARE = "".join(f"{chr(a)}-{chr(b)}" for a, b in NEWER)
 _HAS_RARE = regex.compile(f"[{_RARE}]")
@@ -194,7 +194,8 @@ class WordBatch:
 class ChunkEncoder:
     """Encodes whole texts; ``render`` turns the ids of a chunk into what is kept and joined for it.
 
-    ``learn`` looks over some texts first and encodes all their new words together.
+    ``learn`` looks over some texts first and encodes all their new words together. The first ``entries`` chunks, which
+    have most of the frequent ones, are kept; later ones are remembered for their own texts only.
     """
 
     def __init__(self, vocabulary: Vocabulary, render: Callable[[list[int]], object], entries: int = CACHE_ENTRIES):
@@ -205,6 +206,7 @@ class ChunkEncoder:
         self.split_special = regex.compile("(" + "|".join(map(regex.escape, vocabulary.special)) + ")") if vocabulary.special else None
         self.words: dict[str, list[int]] = {}
         self.chunks: dict[str, object] = {"": None}
+        self.passing: list[str] = []  # chunks of the last texts, beyond what is kept
 
     def _pretokens(self, text: str) -> list[str | int]:
         """Pre-tokens by the pattern; a special string stands as its id."""
@@ -235,8 +237,8 @@ class ChunkEncoder:
         return out
 
     def learn(self, texts: list[str]) -> None:
-        if len(self.chunks) > self.entries:
-            self.chunks = {"": None}
+        for chunk in self.passing:
+            self.chunks.pop(chunk, None)
         if len(self.words) > self.entries:
             self.words = {}
         seen: set[str] = set()
@@ -257,6 +259,7 @@ class ChunkEncoder:
                     known = self.words.get(w)
                     ids += self.vocabulary.encode_word(w.encode()) if known is None else known
             self.chunks[chunk] = self.render(ids)
+        self.passing = fresh if len(self.chunks) > self.entries else []
 
     def parts(self, text: str) -> list[object]:
         """Rendered chunks of the whole text, in order."""
@@ -273,7 +276,7 @@ class ChunkEncoder:
         return [self.render(self.ids(first)), *out] if first else out
 
 
-def some_at_a_time(texts: list[str], most: int = 4_000_000) -> Iterator[list[str]]:
+def some_at_a_time(texts: Iterable[str], most: int = 2_000_000) -> Iterator[list[str]]:
     """Runs of texts of about ``most`` characters, or of one longer text."""
     part: list[str] = []
     size = 0
@@ -295,7 +298,7 @@ def _digest_batches(path: str, keep_ids: bool) -> Callable[[Iterator[pa.RecordBa
         for batch in batches:
             *others, texts = (batch.column(k) for k in range(batch.num_columns))
             row = 0
-            for some in some_at_a_time(texts.to_pylist()):
+            for some in some_at_a_time(t for lo in range(0, len(texts), 250) for t in texts.slice(lo, 250).to_pylist()):
                 encoder.learn(some)
                 n_tokens, ids_sha, back_sha, kept = [], [], [], []
                 for text in some:
