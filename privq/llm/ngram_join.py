@@ -7,11 +7,12 @@ they are found first, and there are at most ``MOST_COMMON`` of them. Any order i
 
 * Rare shingles: rows are packed by hash range, and a task makes a tile's pairs whose sizes are within a band of 0.8
   and whose remaining shingles could still reach the overlap.
-* Common shingles: rows are joined with one leader a size band (the least node), the pairs are verified, and what is
-  linked is one component. Only then are the components of a tile paired, where they differ, and their members listed.
-  So a large group of near copies costs a pair a member, and a pair of nodes that no component joins is still tested.
+* Common shingles: rows are first joined with one leader a size band (the least node), these pairs are verified, and
+  what is linked is one component. Then the tile is cut into blocks of about ``BLOCK_ROWS`` and pairs of blocks are
+  compared by their bitmaps in one numpy step a size; only pairs of different components that the bitmaps can't rule
+  out leave the task. So a large group of near copies costs a pair a member, and no pair goes untested.
 
-A pair is tested in two steps. Hashed bitmaps of 1024 bits: half of the differing bits can't be shared, which bounds
+A pair is tested in two steps. Hashed bitmaps of 4096 bits: half of the differing bits can't be shared, which bounds
 the overlap from above. What is left is decided by intersecting both sorted shingle arrays exactly. Nodes linked by
 tested pairs form components (alternating star contraction), and a component's id is its least document id.
 
@@ -36,9 +37,15 @@ WORDS = 5
 MOST_COMMON = 200_000
 COMMON_FROM = 2
 HOT_FROM = 64
+#: Shingles among which recurrence is counted at a time.
+RECUR_AMONG = 2_000_000
 SLICE_BYTES = 2_000_000
-BITMAP_WORDS = 16
-SIEVE_BITS = 24
+BITMAP_WORDS = 64
+#: Words of a bitmap that a block compares for all pairs; the rest is for the pairs that these leave.
+FIRST_WORDS = 16
+SIEVE_BITS = 22
+#: Rows of a common shingle's tile that one block holds.
+BLOCK_ROWS = 1024
 #: Rows of rare shingles that a tile task should get.
 TILE_ROWS = 150_000
 
@@ -127,13 +134,15 @@ def prefix_length(n: int) -> int:
 
 
 def _profile_batches(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """Rows of documents (id, size, node), and rows of shingles that recur in a batch (hash, times)."""
+    """Rows of documents (id, size, node), and rows of shingles that recur within some sets (hash, times)."""
+    names = ["doc_id", "n", "node", "is_shingle"]
     shingler = Shingler()
     for batch in batches:
-        nodes, sizes, recurring = [], [], []
+        nodes, sizes, fresh = [], [], []
         seen: set[int] = set()
+        held = 0
+        found = []
         for _, sets in shingler.batch(batch.column(1)):
-            fresh = []
             for own in sets:
                 node = node_of(own)
                 nodes.append(node)
@@ -141,13 +150,20 @@ def _profile_batches(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBat
                 if node not in seen:
                     seen.add(node)
                     fresh.append(own)
-            recurring.append(np.concatenate(fresh) if fresh else np.zeros(0, np.uint64))
-        n = len(nodes)
-        yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(sizes, pa.int64()), pa.array(nodes, pa.int64()), pa.array([False] * n)], ["doc_id", "n", "node", "is_shingle"])
-        values, times = np.unique(np.concatenate(recurring), return_counts=True) if recurring else (np.zeros(0, np.uint64), np.zeros(0, np.int64))
-        often = times >= COMMON_FROM
-        values, times = values[often], times[often]
-        yield pa.RecordBatch.from_arrays([pa.nulls(len(values), batch.column(0).type), pa.array(times.astype(np.int64)), pa.array(values.view(np.int64)), pa.array(np.ones(len(values), bool))], ["doc_id", "n", "node", "is_shingle"])
+                    held += len(own)
+            if held >= RECUR_AMONG:
+                found.append(_recurring(fresh))
+                fresh, held = [], 0
+        found.append(_recurring(fresh))
+        yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(sizes, pa.int64()), pa.array(nodes, pa.int64()), pa.array([False] * len(nodes), pa.bool_())], names)
+        values, times = (np.concatenate(x) for x in zip(*found, strict=True))
+        yield pa.RecordBatch.from_arrays([pa.nulls(len(values), batch.column(0).type), pa.array(times.astype(np.int64)), pa.array(values.view(np.int64)), pa.array(np.ones(len(values), bool))], names)
+
+
+def _recurring(sets: list[np.ndarray]) -> tuple[np.ndarray, np.ndarray]:
+    values, times = np.unique(np.concatenate([*sets, np.zeros(0, np.uint64)]), return_counts=True)
+    often = times >= COMMON_FROM
+    return values[often], times[often]
 
 
 class Order:
@@ -178,14 +194,20 @@ class Order:
 _ROWS = np.dtype([("shingle", "<u8"), ("node", "<i8"), ("n", "<i4"), ("at", "<i4")])
 
 
-def _prefix_batches(order: Order, buckets: int):
-    """Packed rows of rare shingles by bucket; plain rows of hot ones with bucket -1."""
+def _bitmap(own: np.ndarray) -> np.ndarray:
+    line = np.zeros(BITMAP_WORDS * 64, np.uint8)
+    line[(own >> np.uint64(40)).astype(np.int64) % len(line)] = 1
+    return np.packbits(line).view(np.int64)
+
+
+def _rare_batches(order: Order, buckets: int):
+    """Packed rows of rare prefix shingles by bucket."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         shingler, width = Shingler(), -(-(1 << 64) // buckets)
         for batch in batches:
             seen: set[int] = set()
-            parts, hots = [], []
+            parts = []
             for _, sets in shingler.batch(batch.column(0)):
                 for own in sets:
                     if not len(own) or (node := node_of(own)) in seen:
@@ -194,26 +216,90 @@ def _prefix_batches(order: Order, buckets: int):
                     first, hot = order.prefix(own)
                     rows = np.empty(len(first), _ROWS)
                     rows["shingle"], rows["node"], rows["n"], rows["at"] = first, node, len(own), np.arange(len(first))
-                    if hot.any():
-                        hots.append(rows[hot])
-                        rows = rows[~hot]
-                    parts.append(rows)
+                    parts.append(rows[~hot] if hot.any() else rows)
             rows = np.concatenate(parts) if parts else np.empty(0, _ROWS)
             bucket = (rows["shingle"] // np.uint64(width)).astype(np.int64)
             by = np.argsort(bucket, kind="stable")
             rows, bucket = rows[by], bucket[by]
             cuts = np.flatnonzero(np.concatenate([[True], bucket[1:] != bucket[:-1]])) if len(rows) else np.zeros(0, np.int64)
-            blobs = [rows[a:b].tobytes() for a, b in zip(cuts, [*cuts[1:], len(rows)], strict=True)] if len(cuts) else []
-            hot = np.concatenate(hots) if hots else np.empty(0, _ROWS)
-            k = len(hot)
-            yield pa.RecordBatch.from_arrays(
-                [pa.array(np.concatenate([bucket[cuts], np.full(k, -1)]).astype(np.int32)), pa.array(blobs + [None] * k, pa.binary()), pa.array(np.concatenate([np.zeros(len(cuts), np.uint64), hot["shingle"]]).view(np.int64)), pa.array(np.concatenate([np.zeros(len(cuts), np.int64), hot["node"]])), pa.array(np.concatenate([np.zeros(len(cuts), np.int32), hot["n"]]))],
-                ["bucket", "rows", "shingle", "node", "n"],
-            )
+            blobs = [rows[a:b].tobytes() for a, b in zip(cuts, [*cuts[1:], len(rows)], strict=False)]
+            yield pa.RecordBatch.from_arrays([pa.array(bucket[cuts].astype(np.int32)), pa.array(blobs, pa.binary())], ["bucket", "rows"])
+
+    return run
+
+
+def _hot_batches(order: Order):
+    """Rows of common prefix shingles with their sets' bitmaps."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        shingler = Shingler()
+        for batch in batches:
+            seen: set[int] = set()
+            for _, sets in shingler.batch(batch.column(0)):
+                shingles, nodes, sizes, maps, others = [], [], [], [], []
+                for own in sets:
+                    if not len(own):
+                        continue
+                    first, hot = order.prefix(own)
+                    if not hot.any() or (node := node_of(own)) in seen:
+                        continue
+                    seen.add(node)
+                    common = first[hot].view(np.int64)
+                    k = len(common)
+                    shingles += common.tolist()
+                    nodes += [node] * k
+                    sizes += [len(own)] * k
+                    maps += [_bitmap(own).tobytes()] * k
+                    others += [np.sort(common).tobytes()] * k
+                yield pa.RecordBatch.from_arrays([pa.array(shingles, pa.int64()), pa.array(nodes, pa.int64()), pa.array(sizes, pa.int32()), pa.array(maps, pa.binary()), pa.array(others, pa.binary())], ["shingle", "node", "n", "bitmap", "others"])
 
     return run
 
 
+def bitmap_pairs(left: np.ndarray, right: np.ndarray, n: np.ndarray, m: np.ndarray, apart: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Rows of left and right that are ``apart`` and could link: sizes within the band, half of the differing bits off."""
+    total = n[:, None].astype(np.int64) + m[None, :]
+    good = apart & (5 * np.minimum(n[:, None], m[None, :]) >= 4 * np.maximum(n[:, None], m[None, :]))
+    differ = np.zeros(good.shape, np.int32)
+    for k in range(FIRST_WORDS):
+        differ += np.bitwise_count(left[:, k, None] ^ right[None, :, k])
+    x, y = np.nonzero(good & (9 * (total - differ) >= 8 * total))
+    all_bits = np.bitwise_count(left[x] ^ right[y]).sum(axis=1, dtype=np.int64)
+    could = 9 * (total[x, y] - all_bits) >= 8 * total[x, y]
+    return x[could], y[could]
+
+
+def _block_batches(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Pairs of nodes from blocks i <= j of a shingle's tile, each at the least shingle that both have.
+
+    Columns: shingle, i, j, own, node, root, n, bitmap, others.
+    """
+    held = [b for b in batches if b.num_rows]
+    if not held:
+        return
+    rows = pa.Table.from_batches(held)
+    shingle, i, j, own, node, root, n = (rows.column(k).to_numpy() for k in range(7))
+    bits = np.frombuffer(b"".join(rows.column(7).to_pylist()), np.uint64).reshape(-1, BITMAP_WORDS)
+    others = [np.frombuffer(x, np.int64) for x in rows.column(8).to_pylist()]
+    order = np.lexsort((n, own, j, i, shingle))
+    new = np.concatenate([[True], (np.diff(shingle[order]) != 0) | (np.diff(i[order]) != 0) | (np.diff(j[order]) != 0)])
+    cuts = [*np.flatnonzero(new).tolist(), len(order)]
+    for lo, hi in zip(cuts[:-1], cuts[1:], strict=True):
+        tile = order[lo:hi]
+        first = tile[own[tile] == i[tile[0]]]
+        second = tile[own[tile] == j[tile[0]]]
+        if len(np.unique(root[tile])) < 2:
+            continue
+        found: set[tuple[int, int]] = set()
+        for at in range(0, len(first), 256):
+            part = first[at : at + 256]
+            x, y = bitmap_pairs(bits[part], bits[second], n[part], n[second], root[part][:, None] != root[second][None, :])
+            for p, q in zip(part[x].tolist(), second[y].tolist(), strict=True):
+                if np.intersect1d(others[p], others[q], assume_unique=True)[0] == shingle[p]:
+                    found.add((min(int(node[p]), int(node[q])), max(int(node[p]), int(node[q]))))
+        yield pa.RecordBatch.from_arrays([pa.array([p[0] for p in found], pa.int64()), pa.array([p[1] for p in found], pa.int64())], ["a", "b"])
+
+
 def tile_pairs(rows: np.ndarray) -> np.ndarray:
     """Pairs of nodes that share a shingle, are within the size band and could still overlap enough."""
     rows = rows[np.lexsort((rows["node"], rows["n"], rows["shingle"]))]
@@ -246,8 +332,8 @@ def _tile_batches(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]
         yield pa.RecordBatch.from_arrays([pa.array(part[:, 0].copy()), pa.array(part[:, 1].copy())], ["a", "b"])
 
 
-def _record_batches(sieve: bytes):
-    """Size, bitmap and sorted array of nodes that the bit set lets pass."""
+def _record_batches(sieve: bytes, arrays: bool):
+    """Node, size, and bitmap or sorted array, of sets that the bit set lets pass."""
     bits = np.unpackbits(np.frombuffer(sieve, np.uint8), bitorder="little")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -255,19 +341,16 @@ def _record_batches(sieve: bytes):
         for batch in batches:
             seen: set[int] = set()
             for _, sets in shingler.batch(batch.column(0)):
-                nodes, sizes, maps, arrays = [], [], [], []
+                nodes, sizes, values = [], [], []
                 for own in sets:
                     node = node_of(own)
                     if not len(own) or not bits[(node >> 8) & ((1 << SIEVE_BITS) - 1)] or node in seen:
                         continue
                     seen.add(node)
-                    line = np.zeros(BITMAP_WORDS * 64, np.uint8)
-                    line[(own >> np.uint64(54)).astype(np.int64) % len(line)] = 1
                     nodes.append(node)
                     sizes.append(len(own))
-                    maps.append(np.packbits(line).view(np.int64).tolist())
-                    arrays.append(own.tobytes())
-                yield pa.RecordBatch.from_arrays([pa.array(nodes, pa.int64()), pa.array(sizes, pa.int64()), pa.array(maps, pa.list_(pa.int64())), pa.array(arrays, pa.binary())], ["node", "n", "bitmap", "shingles"])
+                    values.append(own.tobytes() if arrays else _bitmap(own).tolist())
+                yield pa.RecordBatch.from_arrays([pa.array(nodes, pa.int64()), pa.array(sizes, pa.int64()), pa.array(values, pa.binary() if arrays else pa.list_(pa.int64()))], ["node", "n", "value"])
 
     return run
 
@@ -292,87 +375,78 @@ class Join:
     def profile(self) -> DataFrame:
         """Documents with set size and node; also learns the common order."""
         both = materialize(self.bodies.mapInArrow(_profile_batches, "doc_id bigint, n bigint, node bigint, is_shingle boolean"), "join-profile")
-        common = both.where("is_shingle").groupBy("node").agg(F.sum("n").alias("times")).orderBy(F.desc("times"), "node").limit(MOST_COMMON).collect()
-        self.order = Order(np.array([r[0] for r in common], np.int64).view(np.uint64), np.array([r[1] for r in common], np.int64))
+        common = both.where("is_shingle").groupBy("node").agg(F.sum("n").alias("times")).orderBy(F.desc("times"), "node").limit(MOST_COMMON).toArrow()
+        self.order = Order(common.column("node").to_numpy().view(np.uint64), common.column("times").to_numpy())
         return both.where("not is_shingle").select("doc_id", "n", "node")
 
-    def prefixes(self, profile: DataFrame) -> DataFrame:
+    def rare_pairs(self, profile: DataFrame) -> DataFrame:
         rows = (profile.agg(F.coalesce(F.sum(F.col("n") / 5 + 1), F.lit(0))).first()[0]) or 1
-        self.buckets = int(max(int(self.spark.conf.get("spark.sql.shuffle.partitions")), rows // TILE_ROWS + 1))
-        made = self.bodies.select("body").mapInArrow(_prefix_batches(self.order, self.buckets), "bucket int, rows binary, shingle bigint, node bigint, n int")
-        return materialize(made, "join-prefixes")
-
-    def rare_pairs(self, prefixes: DataFrame) -> DataFrame:
-        packed = prefixes.where("bucket >= 0").select("rows", "bucket").repartition(self.buckets, "bucket")
+        buckets = int(max(int(self.spark.conf.get("spark.sql.shuffle.partitions")), rows // TILE_ROWS + 1))
+        packed = self.bodies.select("body").mapInArrow(_rare_batches(self.order, buckets), "bucket int, rows binary").repartition(buckets, "bucket")
         return packed.select("rows").mapInArrow(_tile_batches, "a bigint, b bigint").distinct()
 
-    @staticmethod
-    def hot_rows(prefixes: DataFrame) -> DataFrame:
-        return prefixes.where("bucket < 0").select("shingle", "node", "n").distinct()
+    def hot_rows(self) -> DataFrame:
+        return self.bodies.select("body").mapInArrow(_hot_batches(self.order), "shingle bigint, node bigint, n int, bitmap binary, others binary")
 
     @staticmethod
     def leader_pairs(hot: DataFrame) -> DataFrame:
         """Each node of a common shingle with the least node of its own and of the next smaller size band."""
-        banded = hot.withColumn("band", F.floor(F.log(F.col("n").cast("double")) / F.log(F.lit(1.25))).cast("int"))
+        banded = hot.select("shingle", "node", "n", F.floor(F.log(F.col("n").cast("double")) / F.log(F.lit(1.25))).cast("int").alias("band")).distinct()
         leaders = banded.groupBy("shingle", "band").agg(F.min(F.struct("node", "n")).alias("lead"))
         near = banded.select("shingle", "node", "n", F.explode(F.array(F.col("band"), F.col("band") - 1)).alias("band"))
         met = near.join(leaders, ["shingle", "band"]).where("node <> lead.node and 5 * least(n, lead.n) >= 4 * greatest(n, lead.n)")
         return met.select(F.least("node", "lead.node").alias("a"), F.greatest("node", "lead.node").alias("b")).distinct()
 
-    def records(self, *nodes: DataFrame) -> DataFrame:
-        """Bitmap and array of every node named; a bit set of fixed size keeps most others from being shuffled."""
-        every = nodes[0]
-        for more in nodes[1:]:
-            every = every.union(more)
+    @staticmethod
+    def block_pairs(hot: DataFrame, roots: DataFrame) -> DataFrame:
+        """Pairs from different components within the tiles of common shingles that bitmaps don't rule out."""
+        placed = hot.dropDuplicates(["shingle", "node"]).join(roots, "node", "left").withColumn("root", F.coalesce("root", "node"))
+        sizes = placed.groupBy("shingle").agg(F.count(F.lit(1)).alias("k"), F.min("root").alias("x"), F.max("root").alias("y")).where("x <> y")
+        blocks = F.ceil(F.col("k") / BLOCK_ROWS).cast("int")
+        cut = placed.join(sizes.select("shingle", blocks.alias("blocks")), "shingle").withColumn("own", F.pmod(F.xxhash64("node"), F.col("blocks")).cast("int"))
+        dealt = cut.withColumn("other", F.explode(F.expr("sequence(0, blocks - 1)")))
+        dealt = dealt.select("shingle", F.least("own", "other").alias("i"), F.greatest("own", "other").alias("j"), "own", "node", "root", "n", "bitmap", "others")
+        parts = int(hot.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+        return dealt.repartition(parts, "shingle", "i", "j").mapInArrow(_block_batches, "a bigint, b bigint").distinct()
+
+    def records(self, pairs: DataFrame, arrays: bool) -> DataFrame:
+        """Bitmap or array of every node in ``pairs``; a bit set of fixed size keeps most others from being shuffled."""
+        every = pairs.select(F.explode(F.array("a", "b")).alias("node"))
         place = F.shiftright(F.col("node"), 8).bitwiseAND(F.lit((1 << SIEVE_BITS) - 1))
-        words = every.select(F.shiftright(place, 5).cast("int").alias("w"), F.call_function("shiftleft", F.lit(1).cast("long"), place.bitwiseAND(31).cast("int")).alias("m")).groupBy("w").agg(F.bit_or("m").alias("m")).collect()
+        words = every.select(F.shiftright(place, 5).cast("int").alias("w"), F.call_function("shiftleft", F.lit(1).cast("long"), place.bitwiseAND(31).cast("int")).alias("m")).groupBy("w").agg(F.bit_or("m").alias("m")).toArrow()
         sieve = np.zeros(1 << (SIEVE_BITS - 5), np.uint32)
-        for w, m in words:
-            sieve[w] = m
-        made = self.bodies.select("body").mapInArrow(_record_batches(sieve.tobytes()), "node bigint, n bigint, bitmap array<bigint>, shingles binary")
+        sieve[words.column("w").to_numpy()] = words.column("m").to_numpy().astype(np.uint32)
+        kind = "binary" if arrays else "array<bigint>"
+        made = self.bodies.select("body").mapInArrow(_record_batches(sieve.tobytes(), arrays), f"node bigint, n bigint, value {kind}")
         return materialize(made.dropDuplicates(["node"]), "join-records")
 
-    @staticmethod
-    def verified(pairs: DataFrame, records: DataFrame) -> DataFrame:
-        """Pairs that link: bitmaps first, then arrays."""
-        maps = records.select("node", "n", "bitmap")
+    def within_bitmaps(self, pairs: DataFrame) -> DataFrame:
+        """Pairs that their bitmaps don't rule out."""
+        maps = self.records(pairs, arrays=False)
         x, y = (maps.toDF(side, f"n_{side}", f"map_{side}") for side in ("a", "b"))
         differ = F.aggregate(F.zip_with("map_a", "map_b", lambda p, q: F.bit_count(p.bitwiseXOR(q))), F.lit(0), lambda s, v: s + v)
         total = F.col("n_a") + F.col("n_b")
-        could = pairs.join(x, "a").join(y, "b").where(9 * (total - differ) >= 8 * total).select("a", "b")
-        p, q = (records.select("node", "shingles").toDF(side, f"shingles_{side}") for side in ("a", "b"))
-        met = could.join(p, "a").join(q, "b").select("a", "b", "shingles_a", "shingles_b")
-        return met.mapInArrow(_overlap_batches, "a bigint, b bigint")
-
-    def component_pairs(self, hot: DataFrame, roots: DataFrame) -> DataFrame:
-        """Pairs of nodes from different components that share a common shingle within the size band."""
-        placed = hot.join(roots, "node", "left").withColumn("root", F.coalesce("root", "node"))
-        tiles = placed.groupBy("shingle", "root").agg(F.min("n").alias("least"), F.max("n").alias("most"))
-        several = tiles.groupBy("shingle").agg(F.count(F.lit(1)).alias("k")).where("k > 1").select("shingle")
-        tiles = materialize(tiles.join(several, "shingle"), "join-tiles")
-        left, right = tiles.toDF("shingle", "root_a", "least_a", "most_a"), tiles.toDF("shingle", "root_b", "least_b", "most_b")
-        near = left.join(right, "shingle").where("root_a < root_b and 5 * most_a >= 4 * least_b and 5 * most_b >= 4 * least_a")
-        near = near.select("root_a", "root_b").distinct()
-        members = placed.select("root", "node", "n").distinct()
-        a, b = members.toDF("root_a", "a", "n_a"), members.toDF("root_b", "b", "n_b")
-        met = near.join(a, "root_a").join(b, "root_b").where("5 * least(n_a, n_b) >= 4 * greatest(n_a, n_b)")
-        return met.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
+        return pairs.join(x, "a").join(y, "b").where(9 * (total - differ) >= 8 * total).select("a", "b")
+
+    def verified(self, pairs: DataFrame) -> DataFrame:
+        """Pairs whose arrays overlap enough, exactly."""
+        arrays = self.records(pairs, arrays=True)
+        p, q = (arrays.select("node", "value").toDF(side, f"shingles_{side}") for side in ("a", "b"))
+        met = pairs.join(p, "a").join(q, "b").select("a", "b", "shingles_a", "shingles_b")
+        return materialize(met.mapInArrow(_overlap_batches, "a bigint, b bigint"), "join-links")
 
     def classes(self) -> DataFrame:
         """doc_id, n_shingles, component_id; one row per input row."""
         profile = self.profile()
-        prefixes = self.prefixes(profile)
-        rare, hot = materialize(self.rare_pairs(prefixes), "join-rare"), materialize(self.hot_rows(prefixes), "join-hot")
-        ends = [rare.select(F.col(c).alias("node")) for c in ("a", "b")]
-        records = self.records(*ends, hot.select("node"))
-        links = materialize(self.verified(rare.union(self.leader_pairs(hot)).distinct(), records), "join-links")
+        hot = materialize(self.hot_rows(), "join-hot")
+        pairs = materialize(self.rare_pairs(profile).union(self.leader_pairs(hot)).distinct(), "join-pairs")
+        links = self.verified(materialize(self.within_bitmaps(pairs), "join-pairs"))
         roots = components(links)
-        if not hot.isEmpty():
-            more = materialize(self.verified(self.component_pairs(hot, roots), records), "join-links")
-            if not more.isEmpty():
-                roots = components(links.union(more))
-        placed = profile.join(roots, "node", "left").select("doc_id", "n", F.coalesce("root", "node").alias("root"))
-        least = placed.where("n > 0").groupBy("root").agg(F.min("doc_id").alias("component_id"))
+        more = materialize(self.block_pairs(hot, roots).join(pairs, ["a", "b"], "left_anti"), "join-pairs")
+        if not more.isEmpty() and not (found := self.verified(more)).isEmpty():
+            roots = components(links.union(found))
+        placed = materialize(profile.join(roots, "node", "left").select("doc_id", "n", F.coalesce("root", "node").alias("root")), "join-placed")
+        least = materialize(placed.where("n > 0").groupBy("root").agg(F.min("doc_id").alias("component_id")), "join-least")
         return placed.join(least, "root", "left").select("doc_id", F.col("n").alias("n_shingles"), F.when(F.col("n") == 0, F.col("doc_id")).otherwise(F.col("component_id")).alias("component_id"))
 
 
