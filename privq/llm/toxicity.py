@@ -1,7 +1,8 @@
 """Toxic spans by a linear-chain conditional random field, and a score for each document.
 
-Token labels come from document labels: a greedy cover picks words that explain toxic documents and hardly occur in
-clean ones; these words are the labelled tokens of toxic documents, all other tokens are clean. The field has two
+Token labels come from document labels: every word that toxic documents have too often for chance and clean ones hardly
+have is picked, whatever other words its documents hold; these words are the labelled tokens of toxic documents, all
+other tokens are clean. The field has two
 states, an emission weight for every picked word and one for all other words, and transition weights; it is fitted by
 gradient ascent on the conditional likelihood, with forward-backward over windows of tokens.
 
@@ -32,8 +33,11 @@ from privq.llm.common import is_held_out, table, text_or_empty
 
 MOST_LABELLED = 1500
 MOST_CHARS = 20_000
+#: Toxic training texts that a picked word needs at least.
+LEAST_TEXTS = 4
 WINDOW_TOKENS = 120
-MOST_WINDOWS = 700
+#: Windows that one step of the training holds at a time; all windows with picked words are used.
+WINDOWS_AT_ONCE = 700
 _WORD = re.compile(r"\w+")
 
 
@@ -46,32 +50,38 @@ class Field:
     transition: tuple[tuple[float, float], tuple[float, float]] = ((0.0, 0.0), (0.0, 0.0))
 
 
+def _by_chance(n: int, trials: int, rate: float) -> float:
+    """Odds of ``n`` or more hits in ``trials`` at ``rate``."""
+    if rate >= 1:
+        return 1.0
+    logs = [math.lgamma(trials + 1) - math.lgamma(k + 1) - math.lgamma(trials - k + 1) + k * math.log(rate) + (trials - k) * math.log1p(-rate) for k in range(n, trials + 1)]
+    return math.fsum(math.exp(x) for x in logs)
+
+
 def pick_words(texts: list[str], labels: list[int], precision: float = 0.95) -> list[str]:
-    """Greedy cover of toxic texts by words that clean texts hardly have."""
+    """Every word of toxic texts that clean texts hardly have, most frequent first.
+
+    A word needs ``LEAST_TEXTS`` toxic texts, and so many that fewer than one of all words tested would have them by chance.
+    """
     seen, same = {}, {}
     for t, y in zip(texts, labels, strict=True):
         if (t, y) not in seen:
             seen[t, y] = {same.setdefault(w, w) for w in _WORD.findall(t.lower())}  # one object a word
     clean = Counter(w for (_, y), ws in seen.items() if not y for w in ws)
-    toxic = [ws for (_, y), ws in seen.items() if y]
-    in_toxic = Counter(w for ws in toxic for w in ws)
-    n_clean, n_toxic = max(1, len(seen) - len(toxic)), max(1, len(toxic))
-    allowed = {w for w, n in in_toxic.items() if n / n_toxic >= precision * (n / n_toxic + clean[w] / n_clean)}
-    left, least, picked = toxic, max(4, len(toxic) // 100), []
-    while left:
-        counts = Counter(w for ws in left for w in ws if w in allowed)
-        if not counts:
-            break
-        word, n = min(counts.items(), key=lambda x: (-x[1], x[0]))
-        if n < least:
-            break
-        picked.append(word)
-        left = [ws for ws in left if word not in ws]
+    toxic = Counter(w for (_, y), ws in seen.items() if y for w in ws)
+    found_in = sum(y for _, y in seen)
+    n_clean, n_toxic = max(1, len(seen) - found_in), max(1, found_in)
+    tested = sum(n + clean[w] >= LEAST_TEXTS for w, n in toxic.items())
+    picked = []
+    for word, n in sorted(toxic.items(), key=lambda x: (-x[1], x[0])):
+        often = n >= LEAST_TEXTS and n / n_toxic >= precision * (n / n_toxic + clean[word] / n_clean)
+        if often and tested * _by_chance(n, n + clean[word], found_in / len(seen)) < 1:
+            picked.append(word)
     return picked
 
 
 def _windows(texts: list[str], labels: list[int], picked: list[str]) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """Word numbers (0: not picked), token labels and mask, for windows with picked words first."""
+    """Word numbers (0: not picked), token labels and mask, for all windows with picked words and as many without."""
     number = {w: k + 1 for k, w in enumerate(picked)}
     found: tuple[list, list] = ([], [])
     for t, y in zip(texts, labels, strict=True):
@@ -79,7 +89,7 @@ def _windows(texts: list[str], labels: list[int], picked: list[str]) -> tuple[np
         for lo in range(0, len(ids), WINDOW_TOKENS):
             part = ids[lo : lo + WINDOW_TOKENS]
             found[0 if any(part) else 1].append((part, y))
-    chosen = found[0][: MOST_WINDOWS // 2] + found[1][: MOST_WINDOWS // 2]
+    chosen = found[0] + found[1][: max(WINDOWS_AT_ONCE // 2, len(found[0]))]
     words, mask, truth = (np.zeros((len(chosen), WINDOW_TOKENS), np.int64) for _ in range(3))
     for k, (part, y) in enumerate(chosen):
         words[k, : len(part)], mask[k, : len(part)] = part, 1
@@ -87,34 +97,41 @@ def _windows(texts: list[str], labels: list[int], picked: list[str]) -> tuple[np
     return words, truth, mask
 
 
+def _expected(weights: np.ndarray, words: np.ndarray, mask: np.ndarray) -> np.ndarray:
+    """Expected toxic tokens of every word number and expected moves between states, by forward-backward."""
+    n, steps = words.shape
+    emission, turn = weights[:-4], np.exp(weights[-4:].reshape(2, 2))
+    psi = np.stack([np.ones((n, steps)), np.exp(emission[words])], axis=2)
+    psi = np.where(mask[:, :, None] == 1, psi, 1.0)
+    forward, backward = np.empty((steps + 1, n, 2)), np.empty((steps + 1, n, 2))
+    forward[0], backward[steps] = (1.0, 0.0), 1.0
+    for t in range(steps):
+        a = (forward[t] @ turn) * psi[:, t]
+        forward[t + 1] = np.where(mask[:, t : t + 1] == 1, a / a.sum(axis=1, keepdims=True), forward[t])
+    for t in range(steps - 1, -1, -1):
+        b = (psi[:, t] * backward[t + 1]) @ turn.T
+        backward[t] = np.where(mask[:, t : t + 1] == 1, b / b.sum(axis=1, keepdims=True), backward[t + 1])
+    joint = forward[:-1, :, :, None] * turn[None, None] * (psi.transpose(1, 0, 2) * backward[1:])[:, :, None, :]
+    joint *= (mask.T / joint.sum(axis=(2, 3)))[:, :, None, None]
+    return np.concatenate([np.bincount(words.T.ravel(), joint[..., 1].sum(axis=2).ravel(), len(emission)), joint.sum(axis=(0, 1)).ravel()])
+
+
 def fit_field(texts: list[str], labels: list[int], rounds: int = 120, rate: float = 0.25, decay: float = 0.02) -> Field:
     """Conditional likelihood by gradient ascent with adaptive steps."""
     picked = pick_words(texts, labels)
     if not picked:
         return Field()
     words, truth, mask = _windows(texts, labels, picked)
-    n, steps = words.shape
     weights = np.zeros(len(picked) + 1 + 4)
     mean, square = np.zeros_like(weights), np.zeros_like(weights)
-    before = np.concatenate([np.zeros((n, 1), np.int64), truth[:, :-1]], axis=1)
+    before = np.concatenate([np.zeros((len(truth), 1), np.int64), truth[:, :-1]], axis=1)
     wanted = np.bincount(words.ravel(), (truth * mask).ravel(), len(picked) + 1)
     moves = np.bincount((before * 2 + truth).ravel(), mask.ravel(), 4)
     for k in range(rounds):
-        emission, turn = weights[: len(picked) + 1], np.exp(weights[len(picked) + 1 :].reshape(2, 2))
-        psi = np.stack([np.ones((n, steps)), np.exp(emission[words])], axis=2)
-        psi = np.where(mask[:, :, None] == 1, psi, 1.0)
-        forward, backward = np.empty((steps + 1, n, 2)), np.empty((steps + 1, n, 2))
-        forward[0], backward[steps] = (1.0, 0.0), 1.0
-        for t in range(steps):
-            a = (forward[t] @ turn) * psi[:, t]
-            forward[t + 1] = np.where(mask[:, t : t + 1] == 1, a / a.sum(axis=1, keepdims=True), forward[t])
-        for t in range(steps - 1, -1, -1):
-            b = (psi[:, t] * backward[t + 1]) @ turn.T
-            backward[t] = np.where(mask[:, t : t + 1] == 1, b / b.sum(axis=1, keepdims=True), backward[t + 1])
-        joint = forward[:-1, :, :, None] * turn[None, None] * (psi.transpose(1, 0, 2) * backward[1:])[:, :, None, :]
-        joint *= (mask.T / joint.sum(axis=(2, 3)))[:, :, None, None]
-        expected = np.bincount(words.T.ravel(), joint[..., 1].sum(axis=2).ravel(), len(picked) + 1)
-        gradient = np.concatenate([wanted - expected, moves - joint.sum(axis=(0, 1)).ravel()]) - decay * weights
+        expected = np.zeros_like(weights)
+        for lo in range(0, len(words), WINDOWS_AT_ONCE):
+            expected += _expected(weights, words[lo : lo + WINDOWS_AT_ONCE], mask[lo : lo + WINDOWS_AT_ONCE])
+        gradient = np.concatenate([wanted, moves]) - expected - decay * weights
         mean, square = 0.9 * mean + 0.1 * gradient, 0.99 * square + 0.01 * gradient**2
         weights = weights + rate * (mean / (1 - 0.9 ** (k + 1))) / (np.sqrt(square / (1 - 0.99 ** (k + 1))) + 1e-8)
     turn = weights[len(picked) + 1 :]
