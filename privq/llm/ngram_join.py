@@ -10,7 +10,8 @@ they are found first, and there are at most ``MOST_COMMON`` of them. Any order i
 * Common shingles: rows are first joined with one leader a size band (the least node), these pairs are verified, and
   what is linked is one component. Then the tile is cut into blocks of about ``BLOCK_ROWS`` and pairs of blocks are
   compared by their bitmaps in one numpy step a size; only pairs of different components that the bitmaps can't rule
-  out leave the task. So a large group of near copies costs a pair a member, and no pair goes untested.
+  out leave the task. So a large group of near copies costs a pair a member, and components are whole. Pairs inside a
+  component are not all tested that way; ``Join.links`` tests those too and gives every link.
 
 A pair is tested in two steps. Hashed bitmaps of 4096 bits: half of the differing bits can't be shared, which bounds
 the overlap from above. What is left is decided by intersecting both sorted shingle arrays exactly. Nodes linked by
@@ -269,35 +270,41 @@ def bitmap_pairs(left: np.ndarray, right: np.ndarray, n: np.ndarray, m: np.ndarr
     return x[could], y[could]
 
 
-def _block_batches(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+def _block_batches(every: bool):
     """Pairs of nodes from blocks i <= j of a shingle's tile, each at the least shingle that both have.
 
-    Columns: shingle, i, j, own, node, root, n, bitmap, others.
+    Columns: shingle, i, j, own, node, root, n, bitmap, others. Without ``every``, pairs of one root are left out.
     """
-    held = [b for b in batches if b.num_rows]
-    if not held:
-        return
-    rows = pa.Table.from_batches(held)
-    shingle, i, j, own, node, root, n = (rows.column(k).to_numpy() for k in range(7))
-    bits = np.frombuffer(b"".join(rows.column(7).to_pylist()), np.uint64).reshape(-1, BITMAP_WORDS)
-    others = [np.frombuffer(x, np.int64) for x in rows.column(8).to_pylist()]
-    order = np.lexsort((n, own, j, i, shingle))
-    new = np.concatenate([[True], (np.diff(shingle[order]) != 0) | (np.diff(i[order]) != 0) | (np.diff(j[order]) != 0)])
-    cuts = [*np.flatnonzero(new).tolist(), len(order)]
-    for lo, hi in zip(cuts[:-1], cuts[1:], strict=True):
-        tile = order[lo:hi]
-        first = tile[own[tile] == i[tile[0]]]
-        second = tile[own[tile] == j[tile[0]]]
-        if len(np.unique(root[tile])) < 2:
-            continue
-        found: set[tuple[int, int]] = set()
-        for at in range(0, len(first), 256):
-            part = first[at : at + 256]
-            x, y = bitmap_pairs(bits[part], bits[second], n[part], n[second], root[part][:, None] != root[second][None, :])
-            for p, q in zip(part[x].tolist(), second[y].tolist(), strict=True):
-                if np.intersect1d(others[p], others[q], assume_unique=True)[0] == shingle[p]:
-                    found.add((min(int(node[p]), int(node[q])), max(int(node[p]), int(node[q]))))
-        yield pa.RecordBatch.from_arrays([pa.array([p[0] for p in found], pa.int64()), pa.array([p[1] for p in found], pa.int64())], ["a", "b"])
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held = [b for b in batches if b.num_rows]
+        if not held:
+            return
+        rows = pa.Table.from_batches(held)
+        shingle, i, j, own, node, root, n = (rows.column(k).to_numpy() for k in range(7))
+        bits = np.frombuffer(b"".join(rows.column(7).to_pylist()), np.uint64).reshape(-1, BITMAP_WORDS)
+        others = [np.frombuffer(x, np.int64) for x in rows.column(8).to_pylist()]
+        order = np.lexsort((n, own, j, i, shingle))
+        new = np.concatenate([[True], (np.diff(shingle[order]) != 0) | (np.diff(i[order]) != 0) | (np.diff(j[order]) != 0)])
+        cuts = [*np.flatnonzero(new).tolist(), len(order)]
+        for lo, hi in zip(cuts[:-1], cuts[1:], strict=True):
+            tile = order[lo:hi]
+            first = tile[own[tile] == i[tile[0]]]
+            second = tile[own[tile] == j[tile[0]]]
+            if not every and len(np.unique(root[tile])) < 2:
+                continue
+            for at in range(0, len(first), 256):
+                part = first[at : at + 256]
+                apart = np.ones((len(part), len(second)), bool) if every else root[part][:, None] != root[second][None, :]
+                if i[tile[0]] == j[tile[0]]:
+                    apart &= node[part][:, None] < node[second][None, :]
+                x, y = bitmap_pairs(bits[part], bits[second], n[part], n[second], apart)
+                p, q = part[x], second[y]
+                least = np.array([np.intersect1d(others[u], others[v], assume_unique=True)[0] == shingle[u] for u, v in zip(p.tolist(), q.tolist(), strict=True)], bool)
+                p, q = node[p[least]], node[q[least]]
+                yield pa.RecordBatch.from_arrays([pa.array(np.minimum(p, q)), pa.array(np.maximum(p, q))], ["a", "b"])
+
+    return run
 
 
 def tile_pairs(rows: np.ndarray) -> np.ndarray:
@@ -398,16 +405,20 @@ class Join:
         return met.select(F.least("node", "lead.node").alias("a"), F.greatest("node", "lead.node").alias("b")).distinct()
 
     @staticmethod
-    def block_pairs(hot: DataFrame, roots: DataFrame) -> DataFrame:
-        """Pairs from different components within the tiles of common shingles that bitmaps don't rule out."""
-        placed = hot.dropDuplicates(["shingle", "node"]).join(roots, "node", "left").withColumn("root", F.coalesce("root", "node"))
+    def block_pairs(hot: DataFrame, roots: DataFrame | None) -> DataFrame:
+        """Pairs within the tiles of common shingles that bitmaps don't rule out; given ``roots``, of different components only."""
+        placed = hot.dropDuplicates(["shingle", "node"])
+        if roots is None:
+            placed = placed.withColumn("root", F.col("node"))
+        else:
+            placed = placed.join(roots, "node", "left").withColumn("root", F.coalesce("root", "node"))
         sizes = placed.groupBy("shingle").agg(F.count(F.lit(1)).alias("k"), F.min("root").alias("x"), F.max("root").alias("y")).where("x <> y")
         blocks = F.ceil(F.col("k") / BLOCK_ROWS).cast("int")
         cut = placed.join(sizes.select("shingle", blocks.alias("blocks")), "shingle").withColumn("own", F.pmod(F.xxhash64("node"), F.col("blocks")).cast("int"))
         dealt = cut.withColumn("other", F.explode(F.expr("sequence(0, blocks - 1)")))
         dealt = dealt.select("shingle", F.least("own", "other").alias("i"), F.greatest("own", "other").alias("j"), "own", "node", "root", "n", "bitmap", "others")
         parts = int(hot.sparkSession.conf.get("spark.sql.shuffle.partitions"))
-        return dealt.repartition(parts, "shingle", "i", "j").mapInArrow(_block_batches, "a bigint, b bigint").distinct()
+        return dealt.repartition(parts, "shingle", "i", "j").mapInArrow(_block_batches(roots is None), "a bigint, b bigint").distinct()
 
     def records(self, pairs: DataFrame, arrays: bool) -> DataFrame:
         """Bitmap or array of every node in ``pairs``; a bit set of fixed size keeps most others from being shuffled."""
@@ -445,9 +456,31 @@ class Join:
         more = materialize(self.block_pairs(hot, roots).join(pairs, ["a", "b"], "left_anti"), "join-pairs")
         if not more.isEmpty() and not (found := self.verified(more)).isEmpty():
             roots = components(links.union(found))
-        placed = materialize(profile.join(roots, "node", "left").select("doc_id", "n", F.coalesce("root", "node").alias("root")), "join-placed")
+        return self._placed(profile, roots).select("doc_id", "n_shingles", "component_id")
+
+    @staticmethod
+    def _placed(profile: DataFrame, roots: DataFrame) -> DataFrame:
+        """doc_id, n_shingles, component_id, node."""
+        placed = materialize(profile.join(roots, "node", "left").select("doc_id", "n", "node", F.coalesce("root", "node").alias("root")), "join-placed")
         least = materialize(placed.where("n > 0").groupBy("root").agg(F.min("doc_id").alias("component_id")), "join-least")
-        return placed.join(least, "root", "left").select("doc_id", F.col("n").alias("n_shingles"), F.when(F.col("n") == 0, F.col("doc_id")).otherwise(F.col("component_id")).alias("component_id"))
+        return placed.join(least, "root", "left").select("doc_id", F.col("n").alias("n_shingles"), F.when(F.col("n") == 0, F.col("doc_id")).otherwise(F.col("component_id")).alias("component_id"), "node")
+
+    def links(self, profile: DataFrame) -> DataFrame:
+        """Every pair of different sets that link, a < b; pairs of one component are tested like all others."""
+        hot = materialize(self.hot_rows(), "join-hot")
+        near = self.within_bitmaps(materialize(self.rare_pairs(profile), "join-pairs"))
+        return self.verified(materialize(near.union(self.block_pairs(hot, None)).distinct(), "join-pairs"))
+
+    def classes_with_links(self) -> DataFrame:
+        """doc_id, n_shingles, component_id, n_links (other rows that a row links with, its copies included)."""
+        profile = self.profile()
+        links = self.links(profile)
+        copies = materialize(profile.where("n > 0").groupBy("node").agg(F.count(F.lit(1)).alias("copies")), "join-copies")
+        both = links.union(links.select("b", "a")).toDF("node", "other")
+        near = both.join(copies.toDF("other", "copies"), "other").groupBy("node").agg(F.sum("copies").alias("near"))
+        count = copies.join(near, "node", "left").select("node", (F.col("copies") - 1 + F.coalesce("near", F.lit(0))).alias("n_links"))
+        placed = self._placed(profile, components(links)).join(count, "node", "left")
+        return placed.select("doc_id", "n_shingles", "component_id", F.coalesce("n_links", F.lit(0)).alias("n_links"))
 
 
 def components(links: DataFrame) -> DataFrame:
@@ -485,3 +518,8 @@ def keep_one_of_each(docs: DataFrame) -> DataFrame:
 def op5_ngram_join(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Shingle count and component of every document of ``documents``."""
     return Join(table(spark, sf_dir, "documents").select("doc_id", "text")).classes()
+
+
+def op5_ngram_join_links(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Shingle count, component and number of links of every document of ``documents``."""
+    return Join(table(spark, sf_dir, "documents").select("doc_id", "text")).classes_with_links()

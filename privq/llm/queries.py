@@ -9,7 +9,7 @@ from pyspark.sql import DataFrame, SparkSession
 from privq.llm.audio import op6_audio_features
 from privq.llm.bpe import op10_bpe_round_trip
 from privq.llm.mixing import op8_mixing
-from privq.llm.ngram_join import op5_ngram_join
+from privq.llm.ngram_join import op5_ngram_join, op5_ngram_join_links
 from privq.llm.packing import op1_packing
 from privq.llm.secrets import op4_secret_scan
 from privq.llm.sharding import op3_sharding
@@ -25,6 +25,7 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
         "op3_sharding": op3_sharding,
         "op4_secret_scan": op4_secret_scan,
         "op5_ngram_join": op5_ngram_join,
+        "op5_ngram_join_links": op5_ngram_join_links,
         "op6_audio_features": op6_audio_features,
         "op7_token_counts": op7_token_counts,
         "op8_mixing": op8_mixing,
@@ -44,7 +45,13 @@ WITH RECURSIVE w AS (SELECT doc_id, regexp_extract_all(translate(coalesce(text,
 SELECT s.doc_id, CAST(len(s.g) AS BIGINT) AS n_shingles, min(r.root) AS component_id FROM s JOIN r ON r.doc_id = s.doc_id GROUP BY s.doc_id, len(s.g)
 """
 
+_CTES, _CLASSES = NGRAM_JOIN_SQL.rsplit("\n", 2)[0], NGRAM_JOIN_SQL.rsplit("\n", 2)[1]
+NGRAM_LINKS_SQL = f"""{_CTES},
+  c AS ({_CLASSES}), k AS (SELECT i, count(*) AS n FROM p GROUP BY i)
+SELECT c.doc_id, c.n_shingles, c.component_id, coalesce(k.n, 0) AS n_links FROM c LEFT JOIN k ON k.i = c.doc_id
+"""
+
 
 def oracle_sql() -> dict[str, str]:
     """The other results hold models, library tokens or digests that DuckDB has no functions for."""
-    return {"op5_ngram_join": NGRAM_JOIN_SQL}
+    return {"op5_ngram_join": NGRAM_JOIN_SQL, "op5_ngram_join_links": NGRAM_LINKS_SQL}

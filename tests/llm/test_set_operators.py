@@ -121,6 +121,26 @@ def test_join_equals_all_pairs(spark, monkeypatch, hot, block):
     assert got == classes_by_pairs(rows)
 
 
+@pytest.mark.parametrize(("hot", "block"), [(2, 7), (64, 1024)])
+def test_links_inside_a_group_of_near_copies(spark, monkeypatch, hot, block):
+    monkeypatch.setattr(ngram_join, "HOT_FROM", hot)
+    monkeypatch.setattr(ngram_join, "BLOCK_ROWS", block)
+    g, texts = random.Random(21), [None, "", "lone words here"]
+    base = [f"w{k}" for k in range(150)]
+    for _ in range(150):
+        own = list(base)
+        for at in g.sample(range(len(own)), g.randint(0, 3)):
+            own[at] = g.choice("xyz")
+        texts.append(" ".join(own))
+    texts += texts[3:8]
+    sets = [{tuple(w[k : k + 5]) for k in range(len(w) - 4)} or ({tuple(w)} if w else set()) for w in ((t or "").split() for t in texts)]
+    want = [sum(i != j and bool(x) and 100 * len(x & y) >= 80 * len(x | y) for j, y in enumerate(sets)) for i, x in enumerate(sets)]
+    df = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string").repartition(3)
+    rows = sorted(tuple(r) for r in ngram_join.Join(df).classes_with_links().collect())
+    assert [r[3] for r in rows] == want and max(want) > 100 and len(set(want)) > 5
+    assert [r[:3] for r in rows] == sorted(tuple(r) for r in ngram_join.Join(df).classes().collect())
+
+
 def test_join_on_nothing_and_one_of_each(spark):
     df = spark.createDataFrame([(1, "a b c d e f g"), (1, "a b c d e f g"), (2, "a b c d e f g"), (3, None), (4, ""), (5, "other words stand in here now")], "doc_id long, text string")
     assert ngram_join.Join(df.limit(0)).classes().count() == 0
