@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import functools
 from collections.abc import Callable
 from dataclasses import dataclass, field, replace
 
@@ -599,26 +600,35 @@ def tree_quantiles(spark: SparkSession, sf_dir: str) -> DataFrame:
     return baselines.tree_quantiles(column(spark, sf_dir, TOTAL), DECILES, 1.0, TOTAL[2], KEY)
 
 
-def workload(name: str, settings: Callable[[], list[experiments.Setting]], trials: int) -> Query:
-    """Mean of the maximum rank error by method, with its interval."""
+def workload(name: str | list[str], settings: Callable[[], list[experiments.Setting]], trials: int) -> Query:
+    """Mean of the maximum rank error by method, with its interval; of several columns, each with its name."""
 
-    def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-        values, domain = experiments.column(spark, sf_dir, name)
+    def one(spark: SparkSession, sf_dir: str, source: str) -> DataFrame:
+        values, domain = experiments.column(spark, sf_dir, source)
         made = experiments.run(spark, values, domain, settings(), trials)
         return measures.trial_mean(made, "method", "adjacency", "eps", "delta", "m", "split", "bins")
 
+    def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+        if isinstance(name, str):
+            return one(spark, sf_dir, name)
+        parts = [one(spark, sf_dir, source).withColumn("column", F.lit(source)) for source in name]
+        return functools.reduce(DataFrame.unionByName, parts)
+
     return run
 
 
+#: The sweep of the experiments, and their runs a point.
+SWEEP, RUNS = list(range(10, 201, 10)), 200
+
 WORKLOADS = {
-    "w1_age_substitute": ("age", lambda: experiments.sweep_m("substitute", [5, 10]), 5),
-    "w2_hours_substitute": ("hours", lambda: experiments.sweep_m("substitute", [5, 10]), 5),
-    "w3_age_addremove": ("age", lambda: experiments.sweep_m("add_remove", [5, 10, 20]), 5),
-    "w4_hours_addremove": ("hours", lambda: experiments.sweep_m("add_remove", [5, 10, 20]), 5),
-    "w7_budgets": ("age", lambda: experiments.sweep_budget(9, "add_remove", [1.0, 2.0, 4.0], [1e-6, 1e-16]), 5),
-    "w8_histogram": ("hours", lambda: [experiments.Setting("histogram", "add_remove", 10, bins=b) for b in (64, 256, 1024)] + [experiments.Setting("independent", "add_remove", 10)], 5),
-    "w10_budget_split": ("age", lambda: experiments.sweep_split(9, "add_remove", [0.25, 0.5, 0.75]), 5),
-    "w13_headline": ("age", lambda: experiments.sweep_m("substitute", [200]), 3),
+    "w1_age_substitute": ("age", lambda: experiments.sweep_m("substitute", SWEEP), RUNS),
+    "w2_hours_substitute": ("hours", lambda: experiments.sweep_m("substitute", SWEEP), RUNS),
+    "w3_age_addremove": ("age", lambda: experiments.sweep_m("add_remove", SWEEP), RUNS),
+    "w4_hours_addremove": ("hours", lambda: experiments.sweep_m("add_remove", SWEEP), RUNS),
+    "w7_budgets": ("age", lambda: experiments.sweep_budget(9, "add_remove", [0.25, 0.5, 1.0, 2.0, 4.0], [1e-6, 1e-10, 1e-16]), RUNS),
+    "w8_histogram": (["age", "hours", "money", "total", "skewed"], lambda: [experiments.Setting("histogram", "add_remove", 10, bins=b) for b in (64, 256, 1024)] + [experiments.Setting("independent", "add_remove", 10)], RUNS),
+    "w10_budget_split": ("age", lambda: experiments.sweep_split(9, "add_remove", [k / 10 for k in range(1, 10)]), RUNS),
+    "w13_headline": ("age", lambda: experiments.sweep_m("substitute", [200]), RUNS),
     "w14_delta": ("age", lambda: experiments.sweep_budget(9, "add_remove", [1.0], [1e-4, 1e-8, 1e-16]), 5),
     "w15_ablations": ("age", lambda: experiments.ablations(9, "add_remove"), 5),
 }

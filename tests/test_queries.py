@@ -43,3 +43,17 @@ def test_entry(spark):
 def test_small_tables_refuse(spark):
     with pytest.raises(GapTooSmall):
         queries.RELEASES["private_deciles_price_substitute"].run(spark, "/root/testdata/sf0.001").collect()
+
+
+def test_workloads_are_whole(spark):
+    for name in ("w1_age_substitute", "w2_hours_substitute", "w3_age_addremove", "w4_hours_addremove"):
+        _, settings, trials = queries.WORKLOADS[name]
+        assert trials == 200 and sorted({s.m for s in settings()}) == list(range(10, 201, 10)) and len(settings()) == 60
+    grid = [(s.eps, s.delta) for s in queries.WORKLOADS["w7_budgets"][1]()]
+    assert len(set(grid)) == 15 and queries.WORKLOADS["w7_budgets"][2] == 200
+    assert sorted(s.split for s in queries.WORKLOADS["w10_budget_split"][1]()) == [k / 10 for k in range(1, 10)]
+    assert len(queries.WORKLOADS["w8_histogram"][0]) == 5
+    assert {queries.WORKLOADS[w][2] for w in ("w8_histogram", "w10_budget_split", "w13_headline")} == {200}
+    columns, settings, _ = queries.WORKLOADS["w8_histogram"]
+    rows = queries.workload(columns, settings, 2)(spark, "/root/testdata/sf0.001").collect()
+    assert len(rows) == 20 and {r["column"] for r in rows} == set(columns)
