@@ -3,8 +3,9 @@
 Targets: weights share a total of words; a target stops at twice its source, and what is over goes to the others by
 weight until none is above (water filling, solved exactly from the sorted ratios). A source is cut into hash blocks. A
 target of k whole sources plus a rest takes every block k times, then blocks in permuted order until the rest is used
-up; of the last block those documents are taken, in permuted order, that still fit. So a source misses its target by
-less than the smallest document that was left out there.
+up; of the last block those documents are taken, in permuted order, that still fit, and what is left over is carried on
+to documents of the following blocks, until none fits. So a source misses its target by less than the smallest document
+with words that the rest left out. Carried documents belong to the draw of the last block.
 
 Every taking of a block is a draw. The tree starts with each source's number of draws, splits the output shards in two
 and draws, from the multivariate hypergeometric law, how many draws of each source go left; it goes on to single
@@ -90,6 +91,41 @@ def _fill_room(edge: DataFrame, keys: list[str], passes: int = 4) -> DataFrame:
     return edge.drop("__left", "__until")
 
 
+def _carry(edge: DataFrame, later: DataFrame, keys: list[str]) -> DataFrame:
+    """``edge`` and ``later`` with ``more`` = 1 too for documents that use up what the edge blocks left over.
+
+    A round takes, by block, all that fits what is left of the source, and fills the block in which that runs out. A
+    round takes a document at least, and the last one finds that none fits.
+    """
+    spark, given = edge.sparkSession, edge.columns
+    edge = materialize(edge, "mix-edge")
+    left = {r["source"]: r["left"] for r in edge.groupBy("source").agg((F.max("room") - F.sum(F.col("more") * F.col("size"))).alias("left")).collect()}
+    if not left:
+        return edge.unionByName(later)
+
+    def with_left(rows: DataFrame) -> DataFrame:
+        known = spark.createDataFrame(list(left.items()), "l_source string, left double")
+        return rows.join(F.broadcast(known), F.col("source").eqNullSafe(F.col("l_source")), "left").drop("l_source").withColumn("left", F.coalesce("left", F.lit(0.0)))
+
+    able = (F.col("more") == 0) & (F.col("size") > 0) & (F.col("size") <= F.col("left"))
+    every = with_left(edge.unionByName(later))
+    others, open_ = every.where(~able).select(*given), materialize(every.where(able).select(*given), "mix-open")
+    upto = Window.partitionBy("source").orderBy("ordinal").rowsBetween(Window.unboundedPreceding, 0)
+    while True:
+        now = with_left(open_)
+        blocks = now.where(able).groupBy("source", "ordinal", "left").agg(F.sum("size").alias("fits"))
+        if blocks.isEmpty():
+            return others.unionByName(open_)
+        blocks = blocks.select(F.col("source").alias("b_source"), F.col("ordinal").alias("b_ordinal"), "fits", (F.col("left") - F.sum("fits").over(upto) + F.col("fits")).alias("b_room"))
+        met = now.where(able).drop("room").join(blocks, F.col("source").eqNullSafe(F.col("b_source")) & (F.col("ordinal") == F.col("b_ordinal"))).withColumnRenamed("b_room", "room")
+        cut = (F.col("room") > 0) & (F.col("room") < F.col("fits"))
+        taken = _fill_room(met.where(cut), keys).select(*given).unionByName(met.where(~cut).withColumn("more", (F.col("room") > 0).cast("int")).select(*given))
+        taken = materialize(taken, "mix-open")
+        for r in taken.groupBy("source").agg(F.sum(F.col("more") * F.col("size")).alias("words")).collect():
+            left[r["source"]] -= r["words"]
+        open_ = now.where(~able).select(*given).unionByName(taken)
+
+
 def plan_mix(docs: DataFrame, keys: list[str], weights: tuple[float, ...] = (5.0, 2.0, 1.0), share: float = 1.5, shards: int = 16, seed: int = 20, block_words: int = 50_000) -> DataFrame:
     """``docs`` (keys, source, size) with source_size, target, times and the shard of each taking.
 
@@ -111,15 +147,15 @@ def plan_mix(docs: DataFrame, keys: list[str], weights: tuple[float, ...] = (5.0
     counts = {r["source"]: (r["n"], r["used"]) for r in placed.groupBy("source").agg(F.count(F.lit(1)).alias("n"), F.sum((F.col("room") > 0).cast("long")).alias("used")).collect()}
     draws = [p["whole"] * counts.get(p["source"], (0, 0))[0] + counts.get(p["source"], (0, 0))[1] for p in plan]
     ends = split_quotas(draws, shards, seed).cumsum(axis=0)
-    dealt = spark.createDataFrame([(p["source"], counts.get(p["source"], (0, 0))[0], [int(x) for x in ends[:, k]]) for k, p in enumerate(plan)], "d_source string, n_blocks long, ends array<long>")
+    dealt = spark.createDataFrame([(p["source"], counts.get(p["source"], (0, 0))[0], counts.get(p["source"], (0, 0))[1], [int(x) for x in ends[:, k]]) for k, p in enumerate(plan)], "d_source string, n_blocks long, used long, ends array<long>")
 
     located = blocked.join(placed.withColumnRenamed("source", "p_source").withColumnRenamed("block", "p_block"), F.col("source").eqNullSafe(F.col("p_source")) & (F.col("block") == F.col("p_block"))).drop("p_source", "p_block")
     last = (F.col("room") > 0) & (F.col("room") < F.col("block_words"))
-    edge = _fill_room(located.where(last), keys)
     rest = located.where(~last).withColumn("more", (F.col("room") > 0).cast("int"))
-    taken = rest.unionByName(edge).join(F.broadcast(dealt), F.col("source").eqNullSafe(F.col("d_source"))).drop("d_source")
+    carried = _carry(_fill_room(located.where(last), keys), rest.where("more = 0"), keys)
+    taken = rest.where("more = 1").unionByName(carried).join(F.broadcast(dealt), F.col("source").eqNullSafe(F.col("d_source"))).drop("d_source")
     times = F.col("whole") + F.col("more")
-    numbers = F.transform(F.sequence(F.lit(0), times - 1), lambda k: k * F.col("n_blocks") + F.col("ordinal"))
+    numbers = F.transform(F.sequence(F.lit(0), times - 1), lambda k: k * F.col("n_blocks") + F.when(k == F.col("whole"), F.least("ordinal", F.col("used") - 1)).otherwise(F.col("ordinal")))
     in_shards = F.transform(numbers, lambda d: F.size(F.filter("ends", lambda e: e <= d)))
     return taken.select(*docs.columns, "source_size", "target", times.alias("times"), F.when(times > 0, in_shards).otherwise(F.array().cast("array<int>")).alias("shards"))
 

@@ -69,6 +69,19 @@ def test_mix(spark):
     assert mixing.plan_mix(sized.limit(0), ["doc_id", "size"]).count() == 0
 
 
+def test_what_an_edge_block_leaves_is_carried_on(spark):
+    rows = [(s * 1000 + i, f"s{s}", 900 if i % 2 else 7) for s in range(12) for i in range(40)] + [(90_000 + i, None, 900 if i % 2 else 7) for i in range(40)]
+    df = spark.createDataFrame(rows, "doc_id long, source string, size long")
+    found = mixing.plan_mix(df, ["doc_id", "size"], weights=(1.0, 2.0), share=0.7, shards=4, block_words=1000).collect()
+    assert len(found) == len(rows)
+    for source in {r["source"] for r in found}:
+        own = [r for r in found if r["source"] == source]
+        over = own[0]["target"] - sum(r["times"] * r["size"] for r in own)
+        least = min(r["times"] for r in own)
+        assert 0 <= over and all(over < r["size"] for r in own if r["times"] == min(least, 1))
+    assert all(len(r["shards"]) == r["times"] and all(0 <= s < 4 for s in r["shards"]) for r in found)
+
+
 def classes_by_pairs(rows):
     sets = []
     for _, t in rows:
