@@ -1,7 +1,12 @@
 """Experiment workloads: trials of several mechanisms over one column, in parallel over trials.
 
-The column is brought once into a compact form (distinct values and counts); a job runs one trial a row. The form is
-broadcast only if it has at most ``MOST_VALUES`` distinct values; beyond that, run the distributed releases one by one.
+Quantiles of a trial are drawn from a public grid, so every mechanism reads order statistics near grid ranks only. Up to
+``MOST_ROWS`` rows a column is read as a whole; beyond it, windows of ``REACH`` ranks to both sides of each grid rank are
+located exactly (``locate``), so what is broadcast doesn't grow with the data. Smaller columns are repeated in whole
+copies until they have ``LEAST_ROWS``, as the experiments scale theirs.
+
+A trial whose quantiles are too close for the plan is recorded as refused, without an error. Means compare methods over
+the trials that none of them refused.
 """
 
 from __future__ import annotations
@@ -16,11 +21,15 @@ from pyspark.sql import functions as F
 
 from privq.functions import local, prf
 from privq.functions.domain import Domain, separate, to_domain
+from privq.operators import locate, measures
 from privq.plans import accountant, ranks
 from privq.sources.io import table
 
-MOST_VALUES = 4_000_000
-TRIALS = "method string, adjacency string, eps double, delta double, m int, split double, bins int, trial int, max_error bigint, mean_error double, failed boolean"
+MOST_ROWS = 4_000_000
+LEAST_ROWS = 500_000
+REACH = 8192
+GRID = 251
+TRIALS = "method string, adjacency string, eps double, delta double, m int, split double, bins int, trial int, max_error bigint, mean_error double, failed boolean, refused boolean"
 
 
 @dataclass(frozen=True)
@@ -56,66 +65,110 @@ def replicate(values: DataFrame, times: int) -> DataFrame:
     return values.withColumn("copy", F.explode(F.sequence(F.lit(0), F.lit(times - 1))))
 
 
-def spread(x: np.ndarray) -> np.ndarray:
-    """Add i/n to the i-th point in order: least spacing 1/n. Preprocessing of the experiments, not private."""
-    return x + np.arange(len(x)) / len(x)
-
-
-def compact(values: DataFrame) -> tuple[np.ndarray, np.ndarray]:
-    counted = values.groupBy("value").agg(F.count(F.lit(1)).alias("rows"))
-    if (k := counted.count()) > MOST_VALUES:
-        raise ValueError(f"{k} distinct values; trials on one machine take at most {MOST_VALUES}")
-    part = counted.toPandas().sort_values("value")
-    return part["value"].to_numpy(), part["rows"].to_numpy()
+def grid_windows(n: int, reach: int, grid: int = GRID) -> list[tuple[int, int]]:
+    """Ranks within ``reach`` of a grid rank, as merged ranges."""
+    out: list[list[int]] = []
+    for r in ranks.target_ranks([k / grid for k in range(1, grid)], n):
+        lo, hi = max(1, r - reach), min(n, r + reach)
+        if out and lo <= out[-1][1] + 1:
+            out[-1][1] = hi
+        else:
+            out.append([lo, hi])
+    return [(lo, hi) for lo, hi in out]
 
 
-def one_trial(rng: np.random.Generator, x: np.ndarray, runs: tuple[np.ndarray, np.ndarray], qs: list[float], s: Setting, domain: Domain) -> tuple[np.ndarray, bool]:
-    n, lo, hi = len(x), domain.lo, domain.hi
+@dataclass(frozen=True)
+class Column:
+    """What trials need of a column: windows (first rank, values with how often each occurs), rows, domain."""
+
+    windows: list[tuple[int, np.ndarray, np.ndarray]]
+    n: int
+    lo: float
+    hi: float
+
+    def points(self, spaced: bool) -> local.Points:
+        """Values by rank; ``spaced`` adds i / n to the i-th, which is preprocessing of the experiments, not private."""
+        parts = []
+        for first, value, rows in self.windows:
+            x = np.repeat(value, rows)
+            parts.append((first, np.clip(x + (first - 1 + np.arange(len(x))) / self.n, self.lo, self.hi) if spaced else x))
+        return local.Points(parts, self.n, self.lo, self.hi)
+
+
+def read_column(values: DataFrame, domain: Domain, least: int = LEAST_ROWS, most: int = MOST_ROWS, reach: int = REACH) -> Column:
+    index = locate.Index(values, domain)
+    if not index.n:
+        return Column([], 0, domain.lo, domain.hi)
+    if index.n <= most:
+        counted = values.groupBy("value").agg(F.count(F.lit(1)).alias("rows")).toArrow().sort_by("value")
+        copies = -(-least // index.n)
+        return Column([(1, counted.column("value").to_numpy(), counted.column("rows").to_numpy() * copies)], index.n * copies, domain.lo, domain.hi)
+    wanted = grid_windows(index.n, reach)
+    found = index.order_statistics([(k, lo, hi) for k, (lo, hi) in enumerate(wanted)]).toArrow().sort_by("rank")
+    rank, x = found.column("rank").to_numpy(), found.column("x").to_numpy()
+    cuts = [np.searchsorted(rank, [lo, hi + 1]) for lo, hi in wanted]
+    return Column([(lo, x[a:b], np.ones(b - a, np.int64)) for (lo, _), (a, b) in zip(wanted, cuts, strict=True)], index.n, domain.lo, domain.hi)
+
+
+def one_trial(rng: np.random.Generator, x: local.Points, qs: list[float], s: Setting, domain: Domain) -> tuple[np.ndarray, bool]:
+    n, lo, hi = x.n, domain.lo, domain.hi
     if s.method == "slices":
-        psi = (hi - lo) * n
-        p = accountant.plan(s.m, n, psi, s.eps, s.delta, s.adjacency, s.split, arity=s.arity)
+        p = accountant.plan(s.m, n, (hi - lo) * n, s.eps, s.delta, s.adjacency, s.split, arity=s.arity)
         return local.release_slices(rng, x, qs, p, lo, hi, s.clip, s.correlated)
     if s.method.startswith("bisection_"):
         level = accountant.bisection_level_eps(s.m, s.eps, s.delta, s.method.split("_")[1], s.adjacency)
-        return local.release_bisection(rng, *runs, qs, level, lo, hi), False
+        return local.release_bisection(rng, x, qs, level, lo, hi), False
     if s.method == "independent":
-        return local.release_independent(rng, *runs, qs, accountant.independent_eps(s.m, s.eps, s.delta, "pure", s.adjacency), lo, hi), False
+        return local.release_independent(rng, x, qs, accountant.independent_eps(s.m, s.eps, s.delta, "pure", s.adjacency), lo, hi), False
     if s.method == "histogram":
-        return local.release_histogram(rng, x, qs, s.eps, lo, hi, s.bins, s.adjacency), False
+        if len(x.starts) > 1:
+            raise ValueError("the histogram needs the whole column: use baselines.histogram_quantiles")
+        return local.release_histogram(rng, x.x[1:-1], qs, s.eps, lo, hi, s.bins, s.adjacency), False
     raise ValueError(f"unknown method {s.method}")
 
 
-def run(spark: SparkSession, values: DataFrame, domain: Domain, settings: list[Setting], trials: int, seed: str = "7", spaced: bool = True) -> DataFrame:
-    """One row per setting and trial. Fresh quantiles for each trial, the same for all methods of an m.
-
-    A trial whose quantiles are too close for the plan is left out for the slices method, as no release takes place.
-    """
-    value, rows = compact(values)
-    held = spark.sparkContext.broadcast((value, rows))
+def run(spark: SparkSession, values: DataFrame, domain: Domain, settings: list[Setting], trials: int, seed: str = "7", spaced: bool = True, least: int = LEAST_ROWS) -> DataFrame:
+    """One row per setting and trial. Fresh quantiles for each trial, the same for all methods of an m."""
+    held = spark.sparkContext.broadcast(read_column(values, domain, least))
     jobs = spark.range(len(settings) * trials).repartition(max(1, min(len(settings) * trials, 4 * spark.sparkContext.defaultParallelism)), "id")
 
     def work(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        x = np.repeat(*held.value)
-        if spaced:
-            x = np.clip(spread(x), domain.lo, domain.hi)
-        runs = local.runs(x)
+        x = held.value.points(spaced)
         for batch in batches:
             out = []
             for job in batch["id"].tolist():
                 s, trial = settings[job // trials], job % trials
-                qs = ranks.grid_sample(s.m, seed, trial * 1000 + s.m) if s.m <= 250 else ranks.even_quantiles(s.m)
+                qs = ranks.grid_sample(s.m, seed, trial * 1000 + s.m, GRID) if s.m < GRID else ranks.even_quantiles(s.m)
                 rng = np.random.default_rng(int(prf.uniform_of(seed, "trial", job) * (1 << 52)))
+                name = f"{s.method}{'' if s.clip else '_unclipped'}{'' if s.correlated else '_uncorrelated'}"
+                row = (name, s.adjacency, s.eps, s.delta, s.m, s.split, s.bins, trial)
                 try:
-                    z, failed = one_trial(rng, x, runs, qs, s, domain)
+                    z, failed = one_trial(rng, x, qs, s, domain)
                 except ranks.GapTooSmall:
+                    out.append((*row, None, None, None, True))
                     continue
                 errors = local.rank_errors(x, qs, z)
-                out.append((s.method if s.clip and s.correlated else f"{s.method}{'' if s.clip else '_unclipped'}{'' if s.correlated else '_uncorrelated'}", s.adjacency, s.eps, s.delta, s.m, s.split, s.bins, trial, int(errors.max()), float(errors.mean()), failed))
-            yield pd.DataFrame(out, columns=["method", "adjacency", "eps", "delta", "m", "split", "bins", "trial", "max_error", "mean_error", "failed"])
+                out.append((*row, int(errors.max()), float(errors.mean()), failed, False))
+            made = pd.DataFrame(out, columns=[f.split()[0] for f in TRIALS.split(", ")])
+            yield made.astype({"max_error": "Int64", "failed": "boolean"})
 
     return jobs.mapInPandas(work, TRIALS)
 
 
+#: What makes trials comparable: all methods see the same quantiles.
+SAME = ("adjacency", "eps", "delta", "m", "trial")
+
+
+def summary(made: DataFrame, reps: int = 200, key: str = "7") -> DataFrame:
+    """By configuration: mean of the maximum errors over common trials, its bootstrap interval, trials and refusals."""
+    keys = ["method", "adjacency", "eps", "delta", "m", "split", "bins"]
+    refused = made.where("refused").select(*SAME).distinct()
+    common = made.join(refused, list(SAME), "left_anti")
+    means = measures.trial_mean(common, *keys).join(measures.bootstrap_ci(common, keys, reps, key), keys)
+    counts = made.groupBy(*keys).agg(F.sum(F.col("refused").cast("bigint")).alias("refused"), F.avg(F.col("failed").cast("int")).alias("failure_rate"))
+    return counts.join(means, keys, "left")
+
+
 METHODS = ("slices", "bisection_pure", "bisection_zcdp")
 
 

@@ -7,8 +7,9 @@ from pyspark.sql import functions as F
 
 from privq.functions import prf
 from privq.functions.domain import Domain
+from privq.functions.local import noisy_count, random_values
 from privq.operators.select import select_interval
-from privq.operators.slices import release
+from privq.operators.slices import COUNT_SHARE, random_release, release_counted
 from privq.plans import accountant, counting, ranks
 from privq.sources.scratch import materialize
 
@@ -23,66 +24,81 @@ def bound_contributions(df: DataFrame, unit: str, cap: int, key: str, row_key: s
     return df.withColumn("__k", F.row_number().over(order)).where(F.col("__k") <= cap).drop("__k")
 
 
-def grouped_quantiles(values: DataFrame, by: str, groups: list[str], qs: list[float], plan: accountant.Plan, domain: Domain, key: str, sizes: dict[str, int] | None = None) -> DataFrame:
-    """group, i, q, z for a public list of groups, in one pass over the data; groups are disjoint, so they compose in
-    parallel (a substitution that moves a row between groups touches two).
+def grouped_quantiles(values: DataFrame, by: str, groups: list[str], qs: list[float], plan: accountant.Plan, domain: Domain, key: str, sizes: dict[str, int] | None = None, count_eps: float | None = None) -> DataFrame:
+    """group, i, q, z for every one of a public list of groups, in one pass over the data; groups are disjoint, so they
+    compose in parallel (a substitution that moves a row between groups touches two).
 
-    Runs (group, value) are counted before the shuffle; ranks come from a window over a group's distinct values. For
-    groups beyond some 1e8 distinct values use ``grouped_release``, which locates ranks without a window. A group
-    without room for the plan gives no rows.
+    Runs (group, value) are counted before the shuffle. For groups beyond some 1e8 distinct values use
+    ``grouped_release``, which locates ranks without a window.
     """
-    spark, h = values.sparkSession, plan.h
     listed = values.where(F.col(by).isin(groups))
     counted = materialize(listed.groupBy(by, "value").agg(F.count(F.lit(1)).alias("rows")), "grouped-runs")
-    found = {r[by]: r["n"] for r in counted.groupBy(by).agg(F.sum("rows").alias("n")).collect()}
-    windows, params = [], []
-    for g in groups:
-        n = (sizes or found).get(g, 0)
-        target = ranks.target_ranks(qs, n) if n else []
-        if not target or not ranks.is_feasible(target, n, plan.margin):
-            continue
-        noisy = counting.rank_noise(target, plan.eps1, plan.arity, f"{key}/{g}")
-        if not ranks.is_feasible(noisy, n, h):
+    return release_runs(counted, by, groups, qs, plan, domain, key, sizes, count_eps)
+
+
+def release_runs(counted: DataFrame, by: str, groups: list[str], qs: list[float], plan: accountant.Plan, domain: Domain, key: str, sizes: dict[str, int] | None = None, count_eps: float | None = None) -> DataFrame:
+    """The same from stored runs (group, value, rows).
+
+    Numbers of rows are public (``sizes``) or noisy at a cost of ``count_eps``; one of both must be given. A group
+    without room, empty ones included, and one whose noisy ranks overlap gives random values, like any failed release.
+    """
+    if (sizes is None) == (count_eps is None):
+        raise ValueError("give public sizes of the groups, or count_eps for noisy ones")
+    spark, h, m, hi = counted.sparkSession, plan.h, len(qs), float(domain.hi)
+    have = {r[by]: r["n"] for r in counted.groupBy(by).agg(F.sum("rows").alias("n")).collect()}
+    windows, beyond, failed, params = [], [], [], []
+    for at, g in enumerate(groups):
+        own, exact = f"{key}/{g}", have.get(g, 0)
+        n = sizes.get(g, 0) if count_eps is None else noisy_count(exact, count_eps, own)
+        target = ranks.target_ranks(qs, n)
+        noisy = counting.rank_noise(target, plan.eps1, plan.arity, own)
+        names = [at * m + i for i in range(1, m + 1)]
+        if not ranks.has_room(target, n, plan.margin) or not ranks.is_feasible(noisy, n, h) or prf.uniform_of(own, "coin") < plan.gamma:
+            failed += [(g, i, float(q), z) for i, (q, z) in enumerate(zip(qs, random_values(m, float(domain.lo), hi, own, plan.grid), strict=True), 1)]
             continue
-        for i, (q, r) in enumerate(zip(qs, noisy, strict=True), 1):
-            k = len(windows) + 1
-            windows.append((k, g, r - h, r + h, r))
-            params.append((k, g, i, float(q)))
+        params += [(k, g, i, float(q)) for i, (k, q) in enumerate(zip(names, qs, strict=True), 1)]
+        windows += [(k, g, r - h, r + h, r) for k, r in zip(names, noisy, strict=True)]
+        beyond += [(k, x - r + h + 1, hi) for k, r in zip(names, noisy, strict=True) for x in range(max(exact + 1, r - h), r + h + 1)]
+    out = spark.createDataFrame(failed, f"{by} string, i int, q double, z double")
+    if not windows:
+        return out
     frame = spark.createDataFrame(windows, f"i int, {by} string, lo bigint, hi bigint, r bigint")
     upto = Window.partitionBy(by).orderBy("value").rowsBetween(Window.unboundedPreceding, 0)
     placed = counted.withColumn("last", F.sum("rows").over(upto)).withColumn("first", F.col("last") - F.col("rows") + 1)
     met = placed.join(F.broadcast(frame), by).where("first <= hi and last >= lo")
     cut = met.select("i", F.col("value").alias("x"), F.explode(F.sequence(F.greatest("first", "lo"), F.least("last", "hi"))).alias("rank"), "r")
     slices = cut.select("i", (F.col("rank") - F.col("r") + h + 1).alias("pos"), "x")
-    z = select_interval(slices, plan.eps2, domain, h, key)
+    if beyond:
+        slices = slices.unionByName(spark.createDataFrame(beyond, "i int, pos bigint, x double"))
+    keys = spark.createDataFrame([(k, f"{key}/{g}", i) for k, g, i, _ in params], "i int, own string, at int")
+    z = select_interval(slices, plan.eps2, domain, h, key, grid=plan.grid, names=keys)
     names = spark.createDataFrame(params, f"k int, {by} string, i int, q double")
-    return names.join(z.withColumnRenamed("i", "k"), "k").select(by, "i", "q", "z")
+    return names.join(z.withColumnRenamed("i", "k"), "k").select(by, "i", "q", "z").unionByName(out)
 
 
-def grouped_release(values: DataFrame, by: str, groups: list[str], qs: list[float], plan: accountant.Plan, domain: Domain, key: str) -> DataFrame:
-    """One located release for each of a few large groups."""
+def grouped_release(values: DataFrame, by: str, groups: list[str], qs: list[float], eps: float, delta: float, domain: Domain, key: str) -> DataFrame:
+    """One located release, with its own noisy number of rows, for each of a few large groups; all groups give rows."""
     out = None
     for g in groups:
         own = values.where(F.col(by) == g).select("value")
         try:
-            part = release(own, qs, plan, domain, f"{key}/{g}", clip="none").select(F.lit(g).alias(by), "i", "q", "z")
-        except ranks.GapTooSmall:
-            continue
+            made = release_counted(own, qs, eps, delta, domain, f"{key}/{g}", clip="none")
+        except ranks.GapTooSmall:  # decided on the noisy number
+            made = random_release(values.sparkSession, qs, domain, f"{key}/{g}")
+        part = made.select(F.lit(g).alias(by), "i", "q", "z")
         out = part if out is None else out.unionByName(part)
-    if out is None:
-        raise ranks.GapTooSmall("no group has room for the plan")
     return out
 
 
-def rollup_releases(df: DataFrame, levels: list[list[str]], value: str, qs: list[float], eps: float, delta: float, domain: Domain, key: str) -> DataFrame:
-    """level, group, i, q, z for a hierarchy of groupings; every level spends its own share of the budget."""
+def rollup_releases(df: DataFrame, levels: list[tuple[list[str], list[str]]], value: str, qs: list[float], eps: float, delta: float, domain: Domain, key: str, count_share: float = COUNT_SHARE) -> DataFrame:
+    """level, grp, i, q, z for a hierarchy of groupings, each given as (columns, public groups); a group is its column
+    values joined by ``|``, and ``all`` without columns. Every level spends its own share of the budget."""
     share, parts = (eps / len(levels), delta / len(levels)), None
-    rows = df.count()
-    plan = accountant.plan(len(qs), rows, domain.psi, share[0], share[1])
-    for k, names in enumerate(levels):
+    plan = accountant.plan(len(qs), 0, domain.psi, share[0] * (1 - count_share), share[1])
+    for k, (names, groups) in enumerate(levels):
         tagged = df.select(F.concat_ws("|", *names) if names else F.lit("all"), F.col(value)).toDF("grp", "value")
-        groups = [r["grp"] for r in tagged.select("grp").distinct().collect()]  # public keys of the hierarchy
-        made = grouped_quantiles(tagged, "grp", sorted(groups), qs, plan, domain, f"{key}/{k}").select(F.lit(k).alias("level"), "grp", "i", "q", "z")
+        made = grouped_quantiles(tagged, "grp", groups, qs, plan, domain, f"{key}/{k}", count_eps=share[0] * count_share)
+        made = made.select(F.lit(k).alias("level"), "grp", "i", "q", "z")
         parts = made if parts is None else parts.unionByName(made)
     return parts
 

@@ -31,25 +31,31 @@ def intervals(slices: DataFrame, lo: Column, hi: Column, h: int) -> DataFrame:
     return cut.select("i", F.explode(both).alias("v")).select("i", "v.*", (F.col("v.right") - F.col("v.left")).alias("len"))
 
 
-def scores(cuts: DataFrame, eps: float, target: Column | float, key: str, tag: str = "sel") -> DataFrame:
+def scores(cuts: DataFrame, eps: float, target: Column | float, key: str | Column, at: str = "i") -> DataFrame:
     """Log-weight and noisy score of every interval of positive length."""
     weight = F.log("len") - F.lit(eps / 2) * F.abs(F.col("j") - target)
     noisy = cuts.where("len > 0").withColumn("log_weight", weight)
-    return noisy.withColumn("score", F.col("log_weight") + prf.gumbel(key, tag, F.col("i"), F.col("j")))
+    return noisy.withColumn("score", F.col("log_weight") + prf.gumbel(key, "sel", F.col(at), F.col("j")))
 
 
-def select_interval(slices: DataFrame, eps: float, domain: Domain, h: int, key: str, target: float | None = None, bounds: DataFrame | None = None, grid: bool = False) -> DataFrame:
+def select_interval(slices: DataFrame, eps: float, domain: Domain, h: int, key: str, target: float | None = None, bounds: DataFrame | None = None, grid: bool = False, names: DataFrame | None = None) -> DataFrame:
     """i, z: one estimate per slice. ``bounds`` (i, lo, hi), one row a slice, narrows the domain of each.
 
-    A slice whose clamped intervals all have length zero gives its lower bound.
+    A slice whose clamped intervals all have length zero gives its lower bound. ``names`` (i, own, at), one row a slice,
+    gives slices keys and numbers of their own for the noise: those of a group stay the same whatever the other groups.
     """
     lo, hi = F.lit(float(domain.lo)), F.lit(float(domain.hi))
     if bounds is not None:
         slices = slices.join(F.broadcast(bounds), "i")
         lo, hi = F.col("lo"), F.col("hi")
-    scored = scores(intervals(slices, lo, hi, h), eps, h + 0.5 if target is None else target, key)
+    cuts, target = intervals(slices, lo, hi, h), h + 0.5 if target is None else target
+    if names is None:
+        scored, own, at = scores(cuts, eps, target, key), key, "i"
+    else:
+        scored, own, at = scores(cuts.join(F.broadcast(names), "i"), eps, target, F.col("own"), "at"), F.col("own"), "at"
     best = scored.groupBy("i").agg(F.max_by(F.struct("left", "len"), F.struct("score", "j")).alias("b"))
-    z = F.col("b.left") + F.col("b.len") * prf.uniform(key, "pos", F.col("i"))
+    best = best if names is None else best.join(F.broadcast(names), "i")
+    z = F.col("b.left") + F.col("b.len") * prf.uniform(own, "pos", F.col(at))
     if bounds is not None:
         best = bounds.join(best, "i", "left")
         z = F.coalesce(z, F.col("lo"))

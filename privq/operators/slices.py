@@ -1,7 +1,9 @@
 """The release: correlated rank noise, short disjoint slices around the noisy ranks, one selection in each.
 
-Nothing is read before the public precheck has passed. The rank noise is drawn once, on the driver; all other noise is
-a hash of the release key. Exact counts and ranges stay on the driver and are no part of a result.
+The number of rows is public under substitute adjacency. Under add/remove it is private: ``release`` asks for a public
+number then and refuses before anything is read; ``release_counted`` spends a share of the budget on a noisy one. With a
+public number nothing is read before the precheck has passed. The rank noise is drawn once, on the driver; all other
+noise is a hash of the release key. Exact counts and ranges stay on the driver and are no part of a result.
 """
 
 from __future__ import annotations
@@ -13,7 +15,7 @@ from pyspark.sql import functions as F
 
 from privq.functions import prf
 from privq.functions.domain import Domain
-from privq.functions.local import halves
+from privq.functions.local import adaptive_keyed, halves, noisy_count, random_values
 from privq.operators import locate
 from privq.operators.select import select_interval
 from privq.plans import accountant, counting, ranks
@@ -22,6 +24,8 @@ from privq.sources.scratch import materialize
 RESULT = "i int, q double, z double"
 #: Rows of slices that may come to the driver.
 MOST_LOCAL = 1_000_000
+#: Share of the budget that a noisy number of rows gets.
+COUNT_SHARE = 0.05
 
 
 def result_frame(spark: SparkSession, qs: list[float], zs: list[float]) -> DataFrame:
@@ -30,23 +34,7 @@ def result_frame(spark: SparkSession, qs: list[float], zs: list[float]) -> DataF
 
 def random_release(spark: SparkSession, qs: list[float], domain: Domain, key: str, grid: bool = False) -> DataFrame:
     """Uniform values on the domain (on its grid for pure privacy): what a failed or mixed-in release looks like."""
-    us = [prf.uniform_of(key, "rnd", i) for i in range(1, len(qs) + 1)]
-    if grid:
-        count = int(domain.hi - domain.lo) + 1
-        return result_frame(spark, qs, [domain.lo + min(count - 1, int(u * count)) for u in us])
-    return result_frame(spark, qs, [domain.lo + u * (domain.hi - domain.lo) for u in us])
-
-
-def pick_keyed(points: list[float], eps: float, lo: float, hi: float, h: int, key: str, i: int) -> float:
-    """What ``select_interval`` gives for slice i, from its sorted points on the driver."""
-    edges = [lo, *(max(lo, min(hi, x)) for x in points), hi]
-    best = None
-    for j, (left, right) in enumerate(zip(edges, edges[1:], strict=False)):
-        if right > left:
-            score = math.log(right - left) - eps / 2 * abs(j - (h + 0.5)) + prf.gumbel_of(key, "sel", i, j)
-            if best is None or (score, j) > best[:2]:
-                best = (score, j, left, right - left)
-    return lo if best is None else best[2] + best[3] * prf.uniform_of(key, "pos", i)
+    return result_frame(spark, qs, random_values(len(qs), float(domain.lo), float(domain.hi), key, grid))
 
 
 def adaptive(slices: DataFrame, m: int, plan: accountant.Plan, domain: Domain, key: str, most_local: int = MOST_LOCAL) -> list[float]:
@@ -55,48 +43,49 @@ def adaptive(slices: DataFrame, m: int, plan: accountant.Plan, domain: Domain, k
     The slices are m (2h + 1) rows. Up to ``most_local`` of them come to the driver once and the levels run there;
     beyond it they are stored, and each level broadcasts at most m bounds and returns as many estimates.
     """
-    spark, z = slices.sparkSession, [0.0] * m
-    bounds = {(0, m - 1): (float(domain.lo), float(domain.hi))}
-    local = m * (2 * plan.h + 1) <= most_local
-    points: dict[int, list[float]] = {}
-    if local:
+    spark, lo, hi = slices.sparkSession, float(domain.lo), float(domain.hi)
+    if m * (2 * plan.h + 1) <= most_local:
+        points: dict[int, list[float]] = {}
         for r in slices.select("i", "pos", "x").sort("i", "pos").toArrow().to_pylist():
             points.setdefault(r["i"], []).append(r["x"])
-    else:
-        slices = materialize(slices, "slices")
+        return adaptive_keyed(points.__getitem__, m, plan.eps2, lo, hi, plan.h, key)
+    z, bounds, slices = [0.0] * m, {(0, m - 1): (lo, hi)}, materialize(slices, "slices")
     for level in halves(m):
-        if local:
-            for mid, a, b in level:
-                z[mid] = pick_keyed(points[mid + 1], plan.eps2, *bounds[a, b], plan.h, key, mid + 1)
-        else:
-            frame = spark.createDataFrame([(mid + 1, *bounds[a, b]) for mid, a, b in level], "i int, lo double, hi double")
-            for r in select_interval(slices, plan.eps2, domain, plan.h, key, bounds=frame).collect():
-                z[r["i"] - 1] = r["z"]
+        frame = spark.createDataFrame([(mid + 1, *bounds[a, b]) for mid, a, b in level], "i int, lo double, hi double")
+        for r in select_interval(slices, plan.eps2, domain, plan.h, key, bounds=frame).collect():
+            z[r["i"] - 1] = r["z"]
         for mid, a, b in level:
-            lo, hi = bounds.pop((a, b))
-            bounds[a, mid - 1], bounds[mid + 1, b] = (lo, z[mid]), (z[mid], hi)
+            left, right = bounds.pop((a, b))
+            bounds[a, mid - 1], bounds[mid + 1, b] = (left, z[mid]), (z[mid], right)
     return z
 
 
-def release(values: DataFrame, qs: list[float], plan: accountant.Plan, domain: Domain, key: str, n_public: int | None = None, clip: str = "adaptive", noise: str = "correlated", monotone: bool = False) -> DataFrame:
+def release(values: DataFrame, qs: list[float], plan: accountant.Plan, domain: Domain, key: str, n_public: int | None = None, clip: str = "adaptive", noise: str = "correlated", monotone: bool = False, index: locate.Index | None = None) -> DataFrame:
     """i, q, z for ``values`` (one double column inside the domain) under a finished plan.
 
-    noise: correlated, or none for the fixed slices of the naive composition.
+    ``n_public`` is a public or noisy number of rows; it may be left out under substitute adjacency only. Ranks beyond
+    the last row read the upper bound. noise: correlated, or none for the fixed slices of the naive composition.
+    ``monotone`` sorts the estimates, which costs nothing.
     """
     spark, m = values.sparkSession, len(qs)
+    if n_public is None and plan.adjacency != "substitute":
+        raise ValueError("under add/remove the number of rows is private: give n_public, or use release_counted")
     if n_public is not None:
         ranks.precheck(ranks.target_ranks(qs, n_public), n_public, plan.w, plan.h)
-    index = locate.Index(values, domain)
+    index = locate.Index(values, domain) if index is None else index
     n = index.n if n_public is None else n_public
     target = ranks.target_ranks(qs, n)
     ranks.precheck(target, n, plan.w, plan.h)
     noisy = target if noise == "none" else counting.rank_noise(target, plan.eps1, plan.arity, key)
     if prf.uniform_of(key, "coin") < plan.gamma or not ranks.is_feasible(noisy, n, plan.h):
         return random_release(spark, qs, domain, key, plan.grid)
-    found = locate.slices(index, noisy, plan.h)
+    found = locate.slices(index, noisy, plan.h).select("i", "pos", "x")
+    beyond = [(i, r - t + plan.h + 1, float(domain.hi)) for i, t in enumerate(noisy, 1) for r in range(max(index.n + 1, t - plan.h), t + plan.h + 1)]
+    if beyond:
+        found = found.unionByName(spark.createDataFrame(beyond, "i int, pos bigint, x double"))
     if clip == "adaptive":
         zs = adaptive(found, m, plan, domain, key)
-        zs = [float(int(z + 0.5)) if plan.grid else z for z in zs]
+        zs = [float(math.floor(z + 0.5)) if plan.grid else z for z in zs]
         return result_frame(spark, qs, sorted(zs) if monotone else zs)
     picked = select_interval(found, plan.eps2, domain, plan.h, key, grid=plan.grid)
     params = spark.createDataFrame([(i, float(q)) for i, q in enumerate(qs, 1)], "i int, q double")
@@ -106,15 +95,29 @@ def release(values: DataFrame, qs: list[float], plan: accountant.Plan, domain: D
     return out
 
 
-def fixed_slices(values: DataFrame, qs: list[float], plan: accountant.Plan, domain: Domain, key: str) -> DataFrame:
-    """Slices around the exact ranks, composed over all m of them: the naive use of slices."""
-    share = accountant.Plan(**{**plan.__dict__, "eps2": plan.eps / plan.m, "w": 0})
-    return release(values, qs, share, domain, key, clip="none", noise="none")
+def release_counted(values: DataFrame, qs: list[float], eps: float, delta: float, domain: Domain, key: str, count_share: float = COUNT_SHARE, clip: str = "adaptive", monotone: bool = False, **options) -> DataFrame:
+    """A release under add/remove adjacency that nobody knows the number of rows for.
+
+    ``count_share`` of the budget pays for a noisy number; what is left plans the release. ``options`` go to the plan.
+    """
+    plan = accountant.plan(len(qs), 0, domain.psi, eps * (1 - count_share), delta, "add_remove", **options)
+    index = locate.Index(values, domain)
+    return release(values, qs, plan, domain, key, noisy_count(index.n, eps * count_share, key), clip, monotone=monotone, index=index)
+
 
+def release_doubling(values: DataFrame, qs: list[float], eps: float, delta: float, domain: Domain, key: str, n_public: int, clip: str = "adaptive", split: float = 0.5) -> DataFrame:
+    """Slices under the earlier accounting, whose map is two-to-one: of eps only eps - ln 2 is left for noise.
+
+    It can't be run at all for eps up to ln 2. Add/remove adjacency.
+    """
+    plan = accountant.plan_doubling(len(qs), domain.psi, eps, delta, split)
+    return release(values, qs, plan, domain, key, n_public, clip)
 
-def noisy_count(n: int, eps: float, key: str) -> int:
-    """Rows under add/remove adjacency, for callers that don't know n."""
-    return max(0, n + prf.two_sided_geometric_of(key, 1 / eps, "n"))
+
+def fixed_slices(values: DataFrame, qs: list[float], plan: accountant.Plan, domain: Domain, key: str, n_public: int | None = None, index: locate.Index | None = None) -> DataFrame:
+    """Slices around the exact ranks, composed over all m of them: the naive use of slices."""
+    share = accountant.Plan(**{**plan.__dict__, "eps2": plan.eps / plan.m, "w": 0})
+    return release(values, qs, share, domain, key, n_public, clip="none", noise="none", index=index)
 
 
 def cdf_lookup(released: DataFrame, points: DataFrame, domain: Domain) -> DataFrame:

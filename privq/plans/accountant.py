@@ -11,6 +11,7 @@ from dataclasses import dataclass, field
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from privq.functions import prf
 from privq.plans import ranks as rank_plans
 from privq.plans import tails
 
@@ -46,7 +47,7 @@ class Plan:
     @property
     def rank_gap(self) -> int:
         """Least difference of neighbouring target ranks."""
-        return 2 * self.margin + 1
+        return 2 * self.margin + 2
 
     def explain(self) -> str:
         """Public parameters only."""
@@ -129,6 +130,8 @@ def plan(m: int, n: int, psi: float, eps: float, delta: float = 0.0, adjacency:
     else:
         eps1, eps2, delta_cc = split_budget(eps, delta, adjacency, split)
         log_delta = math.log(delta_cc)
+    if log_delta < math.log(prf.LEAST):
+        raise ValueError(f"the plan needs noise of probability {math.exp(log_delta):.3g}; draws resolve {prf.LEAST:.3g}")
     if w_rule == "closed":
         w, k = math.ceil(3 * max(1.0, math.log(m)) * (math.log(2 * m) - log_delta) / eps1), 3 if arity == "auto" else int(arity)
     elif arity == "auto":
@@ -138,6 +141,21 @@ def plan(m: int, n: int, psi: float, eps: float, delta: float = 0.0, adjacency:
     return Plan(eps, delta, adjacency, m, eps1, eps2, math.exp(log_delta), w, half_width_for(m, psi, beta, eps2), k, gamma, pure)
 
 
+def plan_doubling(m: int, psi: float, eps: float, delta: float, split: float = 0.5, beta: float = 0.05) -> Plan:
+    """Parameters under ``doubling_accountant`` (add/remove): ln 2 of eps is spent on the two-to-one map."""
+    left = eps - math.log(2)
+    if left <= 0:
+        raise ValueError("the earlier accounting needs eps above ln 2")
+    eps1, eps2 = split * left, (1 - split) * left
+    w, k = tails.w_best(m, eps1, math.log(delta))
+    return Plan(eps, delta, "add_remove", m, eps1, eps2, delta, w, half_width_for(m, psi, beta, eps2), k)
+
+
+def lower_bound(b: float, delta: float) -> float:
+    """Least order of rank error that any private median needs: log b under pure privacy, its iterated logarithm else."""
+    return math.log(b) if delta == 0 else float(log_star(b))
+
+
 def min_gap(m: int, n: int, b: float, eps1: float, eps2: float, delta: float, beta: float) -> float:
     """Closed-form quantile gap for approximate privacy."""
     return 6 * math.log(m) * math.log(2 * m / delta) / (eps1 * n) + 4 * math.log(2 * b * m / beta) / (eps2 * n)
@@ -150,7 +168,7 @@ def min_gap_pure(m: int, n: int, b: float, eps1: float, eps: float, gamma: float
 
 def fits(m: int, n: int, psi: float, **options) -> bool:
     p = plan(m, n, psi, **options)
-    return rank_plans.is_feasible(rank_plans.target_ranks(rank_plans.even_quantiles(m), n), n, p.margin)
+    return rank_plans.has_room(rank_plans.target_ranks(rank_plans.even_quantiles(m), n), n, p.margin)
 
 
 def max_quantiles(n: int, psi: float, most: int = 4096, **options) -> int:
@@ -196,8 +214,8 @@ def rival_bounds(m: int, b: float, eps: float, delta: float, beta: float) -> dic
         "bisection_even": lm * (math.log(b) + lm) / eps,
         "threshold": threshold_bound(b, eps, delta, beta),
         "slices_merged": (math.log(b) + lm * math.log(m / delta)) / eps,
-        "lower_pure": math.log(b),
-        "lower_approx": float(star),
+        "lower_pure": lower_bound(b, 0.0),
+        "lower_approx": lower_bound(b, delta),
     }
 
 
@@ -287,4 +305,4 @@ def sweep(df: DataFrame) -> DataFrame:
     w = F.ceil(w_closed_column(m, F.col("eps1"), F.col("delta_cc"))).cast("bigint")
     h = F.ceil(2 * F.log(2 * m * b / beta) / F.col("eps2")).cast("bigint")
     df = df.withColumn("w", w).withColumn("h", h)
-    return df.withColumn("min_gap", (2 * (F.col("w") + F.col("h")) + 1) / n)
+    return df.withColumn("min_gap", (2 * (F.col("w") + F.col("h")) + 2) / n)

@@ -50,11 +50,16 @@ def is_feasible(ranks: list[int], n: int, margin: int) -> bool:
     return ranks[0] - margin >= 1 and ranks[-1] <= n - margin and apart
 
 
+def has_room(ranks: list[int], n: int, margin: int) -> bool:
+    """Feasible with gaps larger by one: a shift map may lead to a set whose gaps are smaller by one."""
+    return is_feasible(ranks, n, margin) and all(b - a > 2 * margin + 1 for a, b in zip(ranks, ranks[1:], strict=False))
+
+
 def precheck(ranks: list[int], n: int, w: int, h: int) -> None:
-    """Refuse before any private value is read."""
-    if not is_feasible(ranks, n, w + h):
+    """Refuse target ranks without room; ``n`` is public or noisy."""
+    if not has_room(ranks, n, w + h):
         gaps = [b - a for a, b in zip(ranks, ranks[1:], strict=False)]
-        raise GapTooSmall(f"ranks need gaps above {2 * (w + h)} and ends {w + h} from both sides; least gap {min(gaps, default=n)}, first {ranks[0]}, last {ranks[-1]} of {n}")
+        raise GapTooSmall(f"ranks need gaps above {2 * (w + h) + 1} and ends {w + h} from both sides; least gap {min(gaps, default=n)}, first {ranks[0] if ranks else None}, last {ranks[-1] if ranks else None} of {n}")
 
 
 def merge_close(qs: list[float], n: int, w: int, h: int) -> tuple[list[float], list[int]]:
@@ -70,7 +75,7 @@ def merge_close(qs: list[float], n: int, w: int, h: int) -> tuple[list[float], l
     ranks, reps, of = target_ranks(qs, n), [], []
     for r in ranks:
         moved = min(max(r, least), most)
-        if not reps or moved - reps[-1] > 2 * margin:
+        if not reps or moved - reps[-1] > 2 * margin + 1:
             reps.append(moved)
         of.append(len(reps) - 1)
     return [(r + 0.25) / n for r in reps], of

@@ -8,6 +8,10 @@ import math
 from privq.plans import counting
 
 
+#: Steps of the exponent between none and the least that a node's moments don't have.
+EXPONENTS = 1000
+
+
 def w_closed(m: int, eps1: float, delta: float, base: float = math.e) -> float:
     """3 log(m) log(2m / delta) / eps1, at least with the factor of one level."""
     log = lambda x: math.log(x) / math.log(base)
@@ -39,17 +43,13 @@ def log_mgf(lam: float, eps: float) -> float:
 
 
 @functools.lru_cache(maxsize=4096)
-def w_chernoff(m: int, eps1: float, log_delta: float, arity: int, steps: int = 200) -> int:
-    """Least whole w with P(any of m sums of nodes strays by w or more) <= delta, minimised over the exponent."""
+def w_chernoff(m: int, eps1: float, log_delta: float, arity: int) -> int:
+    """Whole w with P(any of m sums of nodes strays by w or more) <= delta; every exponent gives a bound, and the best of
+    ``EXPONENTS`` evenly spaced ones is taken."""
     depth, most = counting.mgf_terms(m, arity)
     eps = eps1 / depth
     need = math.log(2 * m) - log_delta
-    value = lambda f: (most * log_mgf(f * eps, eps) + need) / (f * eps)
-    lo, hi = 1e-6, 1 - 1e-9
-    for _ in range(steps):  # the bound has one minimum
-        a, b = lo + (hi - lo) / 3, hi - (hi - lo) / 3
-        lo, hi = (lo, b) if value(a) < value(b) else (a, hi)
-    return math.ceil(value((lo + hi) / 2))
+    return math.ceil(min((most * log_mgf(k / EXPONENTS * eps, eps) + need) / (k / EXPONENTS * eps) for k in range(1, EXPONENTS)))
 
 
 def w_best(m: int, eps1: float, log_delta: float) -> tuple[int, int]:

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import datetime as dt
 import functools
 from collections.abc import Callable
 from dataclasses import dataclass, field, replace
@@ -16,6 +17,7 @@ from privq.operators import baselines, bisection, experiments, grouped, locate,
 from privq.plans import accountant, counting, ranks, tails
 from privq.relational import PAIRS
 from privq.sources import io
+from privq.sources.scratch import materialize
 from privq.streaming import windows
 
 KEY = sql.KEY
@@ -39,6 +41,8 @@ IN_DUCKDB = {
     SHIP_DAY[1]: "date_diff('day', DATE '1970-01-01', CAST(l_shipdate AS DATE))",
     COORDINATE[1]: "embedding[1]",
     PROPS[1]: "CAST(json_extract_string(props, '$.k') AS DOUBLE)",
+    "datediff(o_orderdate, DATE'1970-01-01')": "date_diff('day', DATE '1970-01-01', CAST(o_orderdate AS DATE))",
+    "unix_micros(CAST(ts AS TIMESTAMP)) / 1e6 - 1704067200": "epoch_us(ts) / 1e6 - 1704067200",
 }
 
 
@@ -54,27 +58,39 @@ class Release:
     gamma: float = 0.0
     clip: str = "none"
     fixed: bool = False
+    monotone: bool = False
+
+    @property
+    def count_eps(self) -> float | None:
+        """What a noisy number of rows costs; under substitute adjacency the number is public."""
+        return self.eps * slices.COUNT_SHARE if self.adjacency == "add_remove" else None
 
     @property
     def plan(self) -> accountant.Plan:
         d = self.source[2]
         pure = {"gamma": self.gamma, "grid_size": int(d.hi - d.lo) + 1} if self.gamma else {}
-        return accountant.plan(len(self.qs), 0, d.psi, self.eps, 0.0 if self.gamma else self.delta, self.adjacency, **pure)
+        left = self.eps * (1 - slices.COUNT_SHARE) if self.count_eps else self.eps
+        return accountant.plan(len(self.qs), 0, d.psi, left, 0.0 if self.gamma else self.delta, self.adjacency, **pure)
 
     def run(self, spark: SparkSession, sf_dir: str) -> DataFrame:
         _, _, d = self.source
         values = column(spark, sf_dir, self.source)
+        index = locate.Index(values, d)
+        n = slices.noisy_count(index.n, self.count_eps, KEY) if self.count_eps else None
         if self.fixed:
-            out = slices.fixed_slices(values, self.qs, self.plan, d, KEY)
+            out = slices.fixed_slices(values, self.qs, self.plan, d, KEY, n, index)
         else:
-            out = slices.release(values, self.qs, self.plan, d, KEY, clip=self.clip)
+            out = slices.release(values, self.qs, self.plan, d, KEY, n, self.clip, monotone=self.monotone, index=index)
         return out.select("i", "q", F.round("z", 6).alias("z"))
 
     @property
     def sql(self) -> str:
         relation, expr, d = self.source
-        p = replace(self.plan, eps2=self.eps / len(self.qs)) if self.fixed else self.plan
-        return sql.release(relation, IN_DUCKDB.get(expr, expr), d, self.qs, p, correlated=not self.fixed)
+        p = replace(self.plan, eps2=self.plan.eps / len(self.qs)) if self.fixed else self.plan
+        text = sql.release(relation, IN_DUCKDB.get(expr, expr), d, self.qs, p, not self.fixed, 6, self.count_eps, self.clip == "adaptive")
+        if not self.monotone:
+            return text
+        return f"SELECT a.i, a.q, b.z FROM (SELECT *, row_number() OVER (ORDER BY i) AS k FROM ({text})) a JOIN (SELECT z, row_number() OVER (ORDER BY z) AS k FROM ({text})) b USING (k)"
 
 
 def column(spark: SparkSession, sf_dir: str, source: tuple[str, str, Domain]) -> DataFrame:
@@ -102,6 +118,15 @@ RELEASES = {
     "private_json_property": Release(PROPS, QUARTILES),
     "private_part_size": Release(SIZE, [0.5], delta=1e-6),
     "fixed_slices_price": Release(PRICE, fixed=True),
+    "private_deciles_adaptive": Release(PRICE, clip="adaptive"),
+    "private_deciles_adaptive_substitute": Release(PRICE, adjacency="substitute", clip="adaptive"),
+    "private_deciles_monotone": Release(QUANTITY, eps=0.5, delta=1e-6, monotone=True),
+    "private_quartiles_discount": Release(("lineitem", "l_discount", Domain(0.0, 0.125, 1e-4)), QUARTILES),
+    "private_quartiles_tax": Release(("lineitem", "l_tax", Domain(0.0, 0.125, 1e-4)), QUARTILES),
+    "private_median_orderdate": Release(("orders", "datediff(o_orderdate, DATE'1970-01-01')", Domain(9131.0, 11688.0)), [0.5]),
+    "private_median_retailprice": Release(("part", "p_retailprice", Domain(512.0, 1024.0, 0.01)), [0.5], delta=1e-6),
+    "private_median_turn_length": Release(("conversations", "length(text)", Domain(0.0, 65536.0)), [0.5], delta=1e-6, eps=4.0),
+    "private_quartiles_event_time": Release(("events", "unix_micros(CAST(ts AS TIMESTAMP)) / 1e6 - 1704067200", Domain(0.0, 2678400.0)), QUARTILES),
 }
 
 
@@ -133,20 +158,29 @@ def merge_close_quantiles(spark: SparkSession, sf_dir: str) -> DataFrame:
     return spark.createDataFrame([(i + 1, float(q), k + 1, float(reps[k])) for i, (q, k) in enumerate(zip(qs, of, strict=True))], "i int, q double, representative int, rep_q double")
 
 
+def _merge_sql() -> str:
+    p = accountant.plan(9, 0, TOTAL[2].psi, 1.0, 1e-16)
+    return f"""WITH RECURSIVE n AS (SELECT count(*) AS n FROM orders),
+    t AS (SELECT i, i / 401.0::DOUBLE AS q, least(greatest(CAST(floor(i / 401.0::DOUBLE * n + 1e-9) AS BIGINT), {p.margin + 1}), n - {p.margin}) AS moved, n FROM range(1, 401) AS x(i), n),
+    g(i, kept, k) AS (SELECT i, moved, 1 FROM t WHERE i = 1 UNION ALL
+      SELECT t.i, CASE WHEN t.moved - g.kept > {2 * p.margin + 1} THEN t.moved ELSE g.kept END, g.k + CAST(t.moved - g.kept > {2 * p.margin + 1} AS INTEGER) FROM g JOIN t ON t.i = g.i + 1)
+    SELECT CAST(t.i AS INTEGER) AS i, t.q AS q, g.k AS representative, (g.kept + 0.25::DOUBLE) / t.n AS rep_q FROM g JOIN t ON t.i = g.i"""
+
+
+#: Quantiles that the merged release plans for; n rows leave room for fewer representatives.
+MERGED_FOR = 32
+
+
 def merged_release(spark: SparkSession, sf_dir: str) -> DataFrame:
     """A grid finer than the gap: representatives are released and copied to the members."""
-    merged = merge_close_quantiles(spark, sf_dir)
-    reps = [r["rep_q"] for r in merged.select("representative", "rep_q").distinct().orderBy("representative").collect()]
-    p = accountant.plan(len(reps), 0, TOTAL[2].psi, 1.0, 1e-16)
-    values = column(spark, sf_dir, TOTAL)
-    while True:  # fewer representatives never need more room
-        n = values.count()
+    index = locate.Index(column(spark, sf_dir, TOTAL), TOTAL[2])
+    n = slices.noisy_count(index.n, slices.COUNT_SHARE, KEY)
+    p = accountant.plan(MERGED_FOR, 0, TOTAL[2].psi, 1.0 - slices.COUNT_SHARE, 1e-16)
+    qs, of = ranks.merge_close(ranks.even_quantiles(400), n, p.w, p.h)
+    while len(qs) > p.m:  # a plan for more quantiles needs wider gaps
+        p = accountant.plan(len(qs), 0, TOTAL[2].psi, 1.0 - slices.COUNT_SHARE, 1e-16)
         qs, of = ranks.merge_close(ranks.even_quantiles(400), n, p.w, p.h)
-        if len(qs) <= p.m:
-            break
-        p = accountant.plan(len(qs), 0, TOTAL[2].psi, 1.0, 1e-16)
-    p = replace(p, m=len(qs))
-    z = slices.release(values, qs, p, TOTAL[2], KEY, clip="adaptive")
+    z = slices.release(index.values, qs, p, TOTAL[2], KEY, n, "none", index=index)
     members = spark.createDataFrame([(i + 1, k + 1) for i, k in enumerate(of)], "member int, i int")
     return members.join(z, "i").select(F.col("member").alias("i"), F.round("z", 6).alias("z"))
 
@@ -245,10 +279,6 @@ def select_pluggable(spark: SparkSession, sf_dir: str) -> DataFrame:
 PLUGGABLE_SQL = f"{_SLICE_SQL} SELECT CAST(i AS INTEGER) AS i, x AS z FROM s WHERE pos = {_H + 1}"
 
 
-def private_deciles_adaptive(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return replace(Release(PRICE), clip="adaptive").run(spark, sf_dir)
-
-
 def random_release(spark: SparkSession, sf_dir: str) -> DataFrame:
     return slices.random_release(spark, DECILES, PRICE[2], KEY).select("i", "q", F.round("z", 6).alias("z"))
 
@@ -288,6 +318,8 @@ def tree_cdf(spark: SparkSession, sf_dir: str) -> DataFrame:
 TREE_SQL = f"WITH {_cte(TOTAL)}, h AS ({sql.bins_sql(*TOTAL, 64)}) SELECT c.b AS b, CAST(c.k + z.noise AS BIGINT) AS upto FROM (SELECT b + 1 AS b, sum(rows) OVER (ORDER BY b) AS k FROM h) c JOIN ({sql.prefix_noise(64, 1.0, 5)}) z ON z.i = c.b"
 
 FIXED_Z = [0.1 * 131072 * k for k in range(1, 10)]
+#: Estimates at uneven distances, one of them out of order.
+UNEVEN_Z = [4000.5, 9500.25, 21000.0, 20500.0, 33000.75, 47000.0, 60500.5, 80000.0, 101000.0]
 
 
 def rank_error_by_quantile(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -303,11 +335,42 @@ def max_rank_error(spark: SparkSession, sf_dir: str) -> DataFrame:
     return measures.max_rank_error(rank_error_by_quantile(spark, sf_dir)).select("max_error", F.round("mean_error", 6).alias("mean_error"))
 
 
+#: Trials of the rank noise alone: 30 even quantiles of 6,000 rows at eps 1, by two trees; a trial fails when slices of
+#: half-width 60 around the noisy ranks would meet.
+TRIAL_TREES, TRIAL_M, TRIAL_ROWS, TRIAL_H, TRIALS = {"kary": 5, "binary": 2}, 30, 6000, 60, 40
+
+
 def _trials(spark: SparkSession) -> DataFrame:
-    return spark.range(80).select(F.when(F.col("id") < 40, "ours").otherwise("rival").alias("method"), (F.col("id") % 40).alias("trial"), F.floor(prf.uniform(KEY, "err", F.col("id")) * F.when(F.col("id") < 40, 100).otherwise(200)).alias("max_error"), (prf.uniform(KEY, "fail", F.col("id")) < 0.1).alias("failed"))
+    parts = []
+    for name, arity in TRIAL_TREES.items():
+        noise = counting.prefix_noise_frame(spark, TRIAL_M, 1.0, arity, KEY, spark.range(TRIALS).toDF("trial"))
+        at = noise.withColumn("rt", F.floor(F.col("i") / (TRIAL_M + 1) * TRIAL_ROWS + F.lit(1e-9)) + F.col("noise"))
+        step = F.col("rt") - F.lag("rt").over(Window.partitionBy("trial").orderBy("i"))
+        fits = (F.coalesce(step, F.lit(1 << 60)) > 2 * TRIAL_H) & (F.col("rt") - TRIAL_H >= 1) & (F.col("rt") <= TRIAL_ROWS - TRIAL_H)
+        parts.append(at.withColumn("fits", fits).groupBy("trial").agg(F.max(F.abs("noise")).alias("max_error"), (~F.bool_and("fits")).alias("failed")).select(F.lit(name).alias("method"), "trial", "max_error", "failed"))
+    return functools.reduce(DataFrame.unionByName, parts)
+
+
+def _trials_sql() -> str:
+    parts = []
+    for name, arity in TRIAL_TREES.items():
+        z = sql.geometric(counting.node_scale(TRIAL_M, 1.0, arity), "trial", "'cc'", "l", "t")
+        noise = f"SELECT trial, i, CAST(sum(s * {z}) AS BIGINT) AS noise FROM {sql.node_rows(TRIAL_M, arity)}, range({TRIALS}) AS x(trial) GROUP BY trial, i"
+        at = f"SELECT trial, i, noise, CAST(floor(i / CAST({TRIAL_M + 1} AS DOUBLE) * {TRIAL_ROWS} + 1e-9) AS BIGINT) + noise AS rt FROM ({noise})"
+        steps = f"SELECT *, rt - lag(rt) OVER (PARTITION BY trial ORDER BY i) AS step FROM ({at})"
+        parts.append(f"SELECT '{name}' AS method, trial, max(abs(noise)) AS max_error, NOT bool_and(coalesce(step, {1 << 60}) > {2 * TRIAL_H} AND rt - {TRIAL_H} >= 1 AND rt <= {TRIAL_ROWS - TRIAL_H}) AS failed FROM ({steps}) GROUP BY trial")
+    return f"({' UNION ALL '.join(parts)})"
+
+
+_TRIALS_SQL = _trials_sql()
 
 
-_TRIALS_SQL = f"(SELECT CASE WHEN id < 40 THEN 'ours' ELSE 'rival' END AS method, id % 40 AS trial, CAST(floor({sql.uniform(chr(39) + 'err' + chr(39), 'id')} * CASE WHEN id < 40 THEN 100 ELSE 200 END) AS BIGINT) AS max_error, {sql.uniform(chr(39) + 'fail' + chr(39), 'id')} < 0.1 AS failed FROM range(80) AS t(id))"
+def trial_errors(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return _trials(spark)
+
+
+def trial_means(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return measures.trial_mean(_trials(spark), "method").select("method", F.round("mean_max_error", 6).alias("mean_max_error"), "trials")
 
 
 def bootstrap_ci(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -321,7 +384,7 @@ BOOTSTRAP_SQL = f"""WITH d AS (SELECT t.method, r.rep, CAST(floor({sql.uniform(c
 
 def improvement_ratio(spark: SparkSession, sf_dir: str) -> DataFrame:
     means = measures.trial_mean(_trials(spark).withColumn("m", F.lit(9)), "method", "m")
-    return measures.improvement(means, "ours", "rival", ["m"]).select("m", F.round("factor", 6).alias("factor"))
+    return measures.improvement(means, "kary", "binary", ["m"]).select("m", F.round("factor", 6).alias("factor"))
 
 
 def failure_rate(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -352,29 +415,49 @@ SWEEP_SQL = """WITH c AS (SELECT CAST(m AS INTEGER) AS m, 500000 AS n, 50000000.
   s AS (SELECT *, CASE WHEN adjacency = 'substitute' THEN eps / 4 ELSE eps / 2 END AS e1, CASE WHEN adjacency = 'substitute' THEN eps / 6 ELSE eps / 4 END AS e2 FROM c),
   t AS (SELECT *, CASE WHEN adjacency = 'substitute' THEN delta / (1 + exp(e1 + 2 * e2)) ELSE delta END AS dc FROM s),
   u AS (SELECT *, CAST(ceil(3 * greatest(1.0, ln(m)) * ln(2 * m / dc) / e1) AS BIGINT) AS w, CAST(ceil(2 * ln(2 * m * b / beta) / e2) AS BIGINT) AS h FROM t)
-  SELECT m, eps, delta, adjacency, w, h, round((2 * (w + h) + 1) / n::DOUBLE, 9) AS min_gap FROM u"""
+  SELECT m, eps, delta, adjacency, w, h, round((2 * (w + h) + 2) / n::DOUBLE, 9) AS min_gap FROM u"""
+
+
+_CHERNOFF = [(a, m, k) for a in accountant.ADJACENCIES for m in (10, 50, 100, 200) for k in (2, 3, 5, 9, 15, 21)]
 
 
 def w_chernoff_grid(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Numeric bound over m, arity and adjacency, with the gap it asks of 500,000 rows."""
     rows = []
-    for adjacency in accountant.ADJACENCIES:
-        for m in (10, 50, 100, 200):
-            for arity in (2, 3, 5, 9, 15, 21):
-                p = accountant.plan(m, 500_000, 100.0 * 500_000, 1.0, 1e-16, adjacency, arity=arity)
-                rows.append((adjacency, m, arity, p.w, p.h, p.rank_gap / 500_000))
+    for adjacency, m, arity in _CHERNOFF:
+        p = accountant.plan(m, 500_000, 100.0 * 500_000, 1.0, 1e-16, adjacency, arity=arity)
+        rows.append((adjacency, m, arity, p.w, p.h, round(p.rank_gap / 500_000, 9)))
     return spark.createDataFrame(rows, "adjacency string, m int, arity int, w int, h int, gap double")
 
 
+def _chernoff_sql() -> str:
+    listed = ", ".join(f"('{a}', {m}, {k}, {counting.levels(m, k)}, {counting.most_nodes(m, k)})" for a, m, k in _CHERNOFF)
+    return f"""WITH c AS (SELECT *, CASE WHEN adjacency = 'substitute' THEN 0.25::DOUBLE ELSE 0.5::DOUBLE END AS e1, CASE WHEN adjacency = 'substitute' THEN 1 / 6.0::DOUBLE * 0.5 * 2 ELSE 0.25::DOUBLE END AS e2
+      FROM (VALUES {listed}) AS t(adjacency, m, arity, depth, most)),
+    d AS (SELECT *, e1 / depth AS e, CASE WHEN adjacency = 'substitute' THEN 1e-16::DOUBLE / (1 + exp(e1 + 2 * e2)) ELSE 1e-16::DOUBLE END AS dc FROM c),
+    l AS (SELECT *, k / {tails.EXPONENTS}.0::DOUBLE * e AS x, exp(-e) AS a FROM d, range(1, {tails.EXPONENTS}) AS r(k)),
+    w AS (SELECT adjacency, m, arity, any_value(e2) AS e2, CAST(ceil(min((most * (2 * ln(1 - a) - ln(1 - a * exp(x)) - ln(1 - a * exp(-x))) + ln(2 * m) - ln(dc)) / x)) AS INTEGER) AS w FROM l GROUP BY adjacency, m, arity)
+    SELECT adjacency, m, arity, w, CAST(ceil(2 * ln(2 * m * 50000000.0::DOUBLE / 0.05::DOUBLE) / e2) AS INTEGER) AS h, round((2 * (w + CAST(ceil(2 * ln(2 * m * 50000000.0::DOUBLE / 0.05::DOUBLE) / e2) AS INTEGER)) + 2) / 500000.0::DOUBLE, 9) AS gap FROM w"""
+
+
 def bounds_table(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Shapes of this mechanism's and the rivals' errors over m and delta."""
+    """Shapes of this mechanism's and the rivals' errors, lower bounds and the threshold regime, over m and delta."""
     rows = []
     for m in (10, 50, 100, 200):
         for delta in (1e-6, 1e-10, 1e-16):
             b, found = 100.0 * 500_000, accountant.rival_bounds(m, 100.0 * 500_000, 1.0, delta, 0.05)
             more = accountant.advantage(m, b, delta)
-            rows.append((m, delta, accountant.error_bound(m, b, 1.0, 0.05), found["bisection"], found["bisection_even"], found["threshold"], found["slices_merged"], float(more["factor"]), bool(more["beats_threshold"])))
-    return spark.createDataFrame(rows, "m int, delta double, slices double, bisection double, bisection_even double, threshold double, merged double, factor double, beats_threshold boolean")
+            values = (accountant.error_bound(m, b, 1.0, 0.05), found["bisection"], found["bisection_even"], found["threshold"], found["slices_merged"], found["lower_pure"], found["lower_approx"], float(more["factor"]))
+            rows.append((m, delta, *(round(v, 6) for v in values), bool(more["beats_threshold"])))
+    return spark.createDataFrame(rows, "m int, delta double, slices double, bisection double, bisection_even double, threshold double, merged double, lower_pure double, lower_approx double, factor double, beats_threshold boolean")
+
+
+BOUNDS_SQL = """WITH RECURSIVE i(x, k) AS (SELECT 50000000.0::DOUBLE, 0 UNION ALL SELECT log2(x), k + 1 FROM i WHERE x > 1),
+  s AS (SELECT CAST(max(k) AS DOUBLE) AS star, ln(50000000.0::DOUBLE) AS lb FROM i),
+  c AS (SELECT m, d::DOUBLE AS delta, ln(m) AS lm, lb, star FROM (VALUES (10), (50), (100), (200)) AS a(m), (VALUES (1e-6), (1e-10), (1e-16)) AS b(d), s)
+  SELECT m, delta, round(lb + lm * ln(m / 0.05::DOUBLE), 6) AS slices, round(lm * lm * (lb + lm), 6) AS bisection, round(lm * (lb + lm), 6) AS bisection_even,
+    round(star * power(ln(star / (0.05::DOUBLE * delta)), 2), 6) AS threshold, round(lb + lm * ln(m / delta), 6) AS merged, round(lb, 6) AS lower_pure, star AS lower_approx,
+    round(least(lb, lm * lm), 6) AS factor, lb < power(ln(1 / delta), 2) * star AS beats_threshold FROM c"""
 
 
 def pure_worked_example(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -450,34 +533,52 @@ def null_policy(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 NULL_SQL = "SELECT count(*) AS rows, CAST(sum(CASE WHEN x = 0 THEN 1 ELSE 0 END) AS BIGINT) AS at_lo, CAST(sum(CASE WHEN x = 100 THEN 1 ELSE 0 END) AS BIGINT) AS at_hi FROM (SELECT CASE WHEN event_id % 10 = 0 OR value IS NULL THEN 0.0 ELSE greatest(0.0, least(100.0, value)) END AS x FROM events)"
 
-_GROUPS = ["AF", "AO", "NF", "NO", "RF", "RO"]
+#: Public groups; the last one has no rows.
+_GROUPS = ["AF", "AO", "NF", "NO", "RF", "RO", "XX"]
 
 
 def grouped_deciles_returnflag(spark: SparkSession, sf_dir: str) -> DataFrame:
     p = Release(PRICE).plan
     df = io.table(spark, sf_dir, "lineitem", "l_returnflag", "l_linestatus", "l_extendedprice")
     values = to_domain(df.withColumn("grp", F.concat("l_returnflag", "l_linestatus")), "l_extendedprice", PRICE[2], keep=("grp",))
-    return grouped.grouped_quantiles(values, "grp", _GROUPS, DECILES, p, PRICE[2], KEY).select("grp", "i", "q", F.round("z", 6).alias("z"))
+    return grouped.grouped_quantiles(values, "grp", _GROUPS, DECILES, p, PRICE[2], KEY, count_eps=slices.COUNT_SHARE).select("grp", "i", "q", F.round("z", 6).alias("z"))
 
 
 def _grouped_sql() -> str:
-    p, d, key = Release(PRICE).plan, PRICE[2], "'7/' || g"
-    groups = "(VALUES " + ", ".join(f"({k}, '{g}')" for k, g in enumerate(_GROUPS)) + ") AS h(k, g)"
-    margin = p.margin
-    return f"""WITH v AS (SELECT l_returnflag || l_linestatus AS g, {sql.clamp('l_extendedprice', d)} AS value FROM lineitem WHERE l_extendedprice IS NOT NULL),
-    o AS (SELECT g, value, row_number() OVER (PARTITION BY g ORDER BY value) AS rn, count(*) OVER (PARTITION BY g) AS n FROM v),
-    z AS ({sql.prefix_noise(9, p.eps1, p.arity, key, f', {groups}')}),
-    t AS (SELECT h.k * 9 + q.i AS k, h.g, q.i, q.q, CAST(floor(q.q * c.n + 1e-9) AS BIGINT) AS r FROM {groups}, (SELECT * FROM {sql.quantile_rows(DECILES)}) q, (SELECT g, count(*) AS n FROM v GROUP BY g) c WHERE c.g = h.g),
-    ok AS (SELECT g FROM (SELECT g, r, r - lag(r) OVER (PARTITION BY g ORDER BY i) AS step FROM t) GROUP BY g HAVING bool_and(coalesce(step, 1000000000) > {2 * margin} AND r - {margin} >= 1)),
-    r AS (SELECT t.k AS k, t.g, t.i, t.q, t.r + z.noise AS rt FROM t JOIN z ON z.g = t.g AND z.i = t.i JOIN ok ON ok.g = t.g),
-    s AS (SELECT r.k AS i, rn - rt + {p.h + 1} AS pos, value AS x FROM o JOIN r ON o.g = r.g AND rn BETWEEN rt - {p.h} AND rt + {p.h}),
-    {sql.select_sql('s', p.eps2, d, p.h)}
-    SELECT r.g AS grp, CAST(r.i AS INTEGER) AS i, r.q AS q, round(p.z, 6) AS z FROM r JOIN picked p ON r.k = p.i"""
+    rows = f"SELECT l_returnflag || l_linestatus AS g, {sql.clamp('l_extendedprice', PRICE[2])} AS value FROM lineitem WHERE l_extendedprice IS NOT NULL"
+    return f"SELECT g AS grp, CAST(i AS INTEGER) AS i, q, round(z, 6) AS z FROM ({sql.grouped(rows, _GROUPS, DECILES, Release(PRICE).plan, PRICE[2], slices.COUNT_SHARE)})"
+
+
+def by_group(relation: str, column_sql: str, value: str, groups: list[str], qs: list[float], eps: float, delta: float, domain: Domain) -> tuple[Query, str]:
+    """Quantiles of one column by public groups of another, with a noisy number of rows a group."""
+    plan = accountant.plan(len(qs), 0, domain.psi, eps * (1 - slices.COUNT_SHARE), delta)
+
+    def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+        df = io.table(spark, sf_dir, relation).select(F.expr(column_sql).alias("grp"), F.expr(value).alias("x"))
+        values = to_domain(df, "x", domain, keep=("grp",))
+        return grouped.grouped_quantiles(values, "grp", groups, qs, plan, domain, KEY, count_eps=eps * slices.COUNT_SHARE).select("grp", "i", "q", F.round("z", 6).alias("z"))
+
+    rows = f"SELECT {column_sql} AS g, {sql.clamp(f'CAST({value} AS DOUBLE)', domain)} AS value FROM {relation} WHERE {value} IS NOT NULL"
+    return run, f"SELECT g AS grp, CAST(i AS INTEGER) AS i, q, round(z, 6) AS z FROM ({sql.grouped(rows, groups, qs, plan, domain, eps * slices.COUNT_SHARE)})"
+
+
+PRIORITIES = ["1-URGENT", "2-HIGH", "3-MEDIUM", "4-NOT SPECIFIED", "5-LOW"]
+LANGS = ["de", "en", "es", "fr", "it"]
 
 
 def rollup_lang_source(spark: SparkSession, sf_dir: str) -> DataFrame:
     df = to_domain(io.table(spark, sf_dir, "documents", "lang", "n_chars"), "n_chars", CHARS[2], keep=("lang",))
-    return grouped.rollup_releases(df, [[], ["lang"]], "value", [0.5], 4.0, 1e-6, CHARS[2], KEY)
+    made = grouped.rollup_releases(df, [([], ["all"]), (["lang"], LANGS)], "value", [0.5], 4.0, 1e-6, CHARS[2], KEY)
+    return made.select("level", "grp", "i", "q", F.round("z", 6).alias("z"))
+
+
+def _rollup_sql() -> str:
+    plan = accountant.plan(1, 0, CHARS[2].psi, 2.0 * (1 - slices.COUNT_SHARE), 5e-7)
+    value, parts = sql.clamp("CAST(n_chars AS DOUBLE)", CHARS[2]), []
+    for k, (name, groups) in enumerate((("'all'", ["all"]), ("lang", LANGS))):
+        rows = f"SELECT {name} AS g, {value} AS value FROM documents WHERE n_chars IS NOT NULL"
+        parts.append(f"SELECT {k} AS level, g AS grp, CAST(i AS INTEGER) AS i, q, round(z, 6) AS z FROM ({sql.grouped(rows, groups, [0.5], plan, CHARS[2], 2.0 * slices.COUNT_SHARE, f'{KEY}/{k}')})")
+    return " UNION ALL ".join(parts)
 
 
 def bounded_user_contributions(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -487,7 +588,7 @@ def bounded_user_contributions(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 CAP_SQL = f"SELECT user_id, count(*) AS rows, CAST(sum(event_id) AS BIGINT) AS ids FROM (SELECT *, row_number() OVER (PARTITION BY user_id ORDER BY {sql.uniform(chr(39) + 'cap' + chr(39), 'event_id')}, event_id) AS k FROM events) WHERE k <= 5 GROUP BY user_id"
 
-EVENT_TYPES = ["cart", "click", "purchase", "refund", "view"]
+EVENT_TYPES = ["click", "error", "purchase", "refund", "signup", "view"]
 
 
 def noisy_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -520,15 +621,23 @@ SESSION_SQL = """WITH g AS (SELECT user_id, epoch_us(ts) AS t, CASE WHEN epoch_u
   SELECT user_id, min(t) AS start, count(*) AS events, CAST(max(t) - min(t) AS DOUBLE) AS micros FROM s GROUP BY user_id, k"""
 
 
-def tumbling_private_median(spark: SparkSession, sf_dir: str) -> DataFrame:
-    events = io.table(spark, sf_dir, "events", "ts", "value").select(F.col("ts").cast("timestamp").alias("ts"), F.greatest(F.lit(0.0), F.least(F.lit(1024.0), "value")).alias("value"))
-    return windows.window_quantiles(windows.windowed_runs(events, "ts", "value", "7 days"), [0.5], 1.0, 1e-16, EVENT[2], KEY)
+JANUARY = (dt.datetime(2024, 1, 1), dt.datetime(2024, 2, 1))
 
 
-def sliding_private_median(spark: SparkSession, sf_dir: str) -> DataFrame:
-    events = io.table(spark, sf_dir, "events", "ts", "value").select(F.col("ts").cast("timestamp").alias("ts"), F.greatest(F.lit(0.0), F.least(F.lit(1024.0), "value")).alias("value"))
-    runs = windows.windowed_runs(events, "ts", "value", "14 days", "7 days")
-    return windows.window_quantiles(runs, [0.5], 1.0, 1e-10, EVENT[2], KEY, windows.windows_of_event("14 days", "7 days"))
+def window_median(size: str, slide: str | None, delta: float) -> tuple[Query, str]:
+    """Medians of the windows of a public calendar of January 2024, empty ones included."""
+    starts, share = windows.calendar(*JANUARY, size, slide), windows.windows_of_event(size, slide)
+
+    def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+        events = io.table(spark, sf_dir, "events", "ts", "value").select(F.col("ts").cast("timestamp").alias("ts"), F.greatest(F.lit(0.0), F.least(F.lit(1024.0), "value")).alias("value"))
+        made = windows.window_quantiles(windows.windowed_runs(events, "ts", "value", size, slide), starts, [0.5], 1.0, delta, EVENT[2], KEY, share)
+        return made.select(F.unix_micros("start").alias("start"), "i", "q", F.round("z", 6).alias("z"))
+
+    step, long = (int(windows._seconds(x) * 1_000_000) for x in (slide or size, size))
+    plan = accountant.plan(1, 0, EVENT[2].psi, 1.0 / share * (1 - slices.COUNT_SHARE), delta / share)
+    rows = f"SELECT CAST((epoch_us(ts) // {step} - k) * {step} AS VARCHAR) AS g, {sql.clamp('value', EVENT[2])} AS value FROM events, range({long // step}) AS t(k) WHERE value IS NOT NULL"
+    text = sql.grouped(rows, [str(s) for s in starts], [0.5], plan, EVENT[2], slices.COUNT_SHARE / share)
+    return run, f"SELECT CAST(g AS BIGINT) AS start, CAST(i AS INTEGER) AS i, q, round(z, 6) AS z FROM ({text})"
 
 
 def private_running_count(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -580,12 +689,15 @@ def symmetric_difference(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def cdf_lookup_asof(spark: SparkSession, sf_dir: str) -> DataFrame:
-    made = slices.result_frame(spark, DECILES, FIXED_Z)
+    made = slices.result_frame(spark, DECILES, UNEVEN_Z)
     points = io.table(spark, sf_dir, "lineitem", "l_extendedprice").select(F.col("l_extendedprice").alias("x")).distinct()
     return slices.cdf_lookup(made, points, PRICE[2]).select("x", F.round("cdf", 9).alias("cdf"))
 
 
-CDF_SQL = "SELECT x, round(x / 131072.0, 9) AS cdf FROM (SELECT DISTINCT l_extendedprice AS x FROM lineitem)"
+CDF_SQL = f"""WITH z AS (SELECT * FROM (VALUES (0.0::DOUBLE, 0.0::DOUBLE), {', '.join(f'({z!r}::DOUBLE, {q!r}::DOUBLE)' for q, z in zip(DECILES, UNEVEN_Z, strict=True))}, (131072.0::DOUBLE, 1.0::DOUBLE)) AS t(z, q)),
+  k AS (SELECT z, max(q) OVER (ORDER BY z) AS q FROM z), n AS (SELECT z, q, lead(z) OVER (ORDER BY z) AS z2, lead(q) OVER (ORDER BY z) AS q2 FROM k),
+  p AS (SELECT DISTINCT l_extendedprice AS x FROM lineitem)
+  SELECT x, round(q + (q2 - q) * (x - z) / (z2 - z), 9) AS cdf FROM p ASOF JOIN n ON p.x >= n.z"""
 
 
 def sketch_quantiles(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -597,16 +709,16 @@ def kll_quantiles(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def tree_quantiles(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return baselines.tree_quantiles(column(spark, sf_dir, TOTAL), DECILES, 1.0, TOTAL[2], KEY)
+    made = baselines.tree_quantiles(column(spark, sf_dir, TOTAL), DECILES, 1.0, TOTAL[2], KEY, 256, 5)
+    return made.select("i", "q", F.round("z", 6).alias("z"))
 
 
 def workload(name: str | list[str], settings: Callable[[], list[experiments.Setting]], trials: int) -> Query:
-    """Mean of the maximum rank error by method, with its interval; of several columns, each with its name."""
+    """Mean of the maximum rank error by method over common trials, with its interval; of several columns, each named."""
 
     def one(spark: SparkSession, sf_dir: str, source: str) -> DataFrame:
         values, domain = experiments.column(spark, sf_dir, source)
-        made = experiments.run(spark, values, domain, settings(), trials)
-        return measures.trial_mean(made, "method", "adjacency", "eps", "delta", "m", "split", "bins")
+        return experiments.summary(materialize(experiments.run(spark, values, domain, settings(), trials), "trials"))
 
     def run(spark: SparkSession, sf_dir: str) -> DataFrame:
         if isinstance(name, str):
@@ -626,11 +738,11 @@ WORKLOADS = {
     "w3_age_addremove": ("age", lambda: experiments.sweep_m("add_remove", SWEEP), RUNS),
     "w4_hours_addremove": ("hours", lambda: experiments.sweep_m("add_remove", SWEEP), RUNS),
     "w7_budgets": ("age", lambda: experiments.sweep_budget(9, "add_remove", [0.25, 0.5, 1.0, 2.0, 4.0], [1e-6, 1e-10, 1e-16]), RUNS),
-    "w8_histogram": (["age", "hours", "money", "total", "skewed"], lambda: [experiments.Setting("histogram", "add_remove", 10, bins=b) for b in (64, 256, 1024)] + [experiments.Setting("independent", "add_remove", 10)], RUNS),
+    "w8_histogram": (["age", "hours", "money", "total", "skewed"], lambda: [experiments.Setting("histogram", "add_remove", 10, bins=b) for b in (64, 256, 1024)] + [experiments.Setting(k, "add_remove", 10) for k in ("independent", *experiments.METHODS)], RUNS),
     "w10_budget_split": ("age", lambda: experiments.sweep_split(9, "add_remove", [k / 10 for k in range(1, 10)]), RUNS),
     "w13_headline": ("age", lambda: experiments.sweep_m("substitute", [200]), RUNS),
-    "w14_delta": ("age", lambda: experiments.sweep_budget(9, "add_remove", [1.0], [1e-4, 1e-8, 1e-16]), 5),
-    "w15_ablations": ("age", lambda: experiments.ablations(9, "add_remove"), 5),
+    "w14_delta": ("age", lambda: [s for m in (9, 50) for a in accountant.ADJACENCIES for s in experiments.sweep_budget(m, a, [1.0], [1e-4, 1e-8, 1e-16])], RUNS),
+    "w15_ablations": ("age", lambda: [s for m in (9, 50) for s in experiments.ablations(m, "add_remove")], RUNS),
 }
 
 
@@ -645,7 +757,7 @@ def _pairs() -> dict[str, tuple[Query, str | None]]:
     found: dict[str, tuple[Query, str | None]] = {
         "target_ranks_deciles": (target_ranks_deciles, f"SELECT CAST(i AS INTEGER) AS i, q, CAST(floor(q * n + 1e-9) AS BIGINT) AS r FROM {sql.quantile_rows(DECILES)}, (SELECT count(*) AS n FROM lineitem)"),
         "feasible_gap_check": (feasible_gap_check, FEASIBLE_SQL),
-        "merge_close_quantiles": (merge_close_quantiles, None),
+        "merge_close_quantiles": (merge_close_quantiles, _merge_sql()),
         "merged_release": (merged_release, None),
         "trial_quantile_sample": (trial_quantile_sample, SAMPLE_SQL),
         "two_sided_geometric_noise": (geometric_noise, f"SELECT id, {sql.geometric(20.0, chr(39) + 'tsg' + chr(39), 'id')} AS z FROM range(5000) AS t(id)"),
@@ -663,7 +775,6 @@ def _pairs() -> dict[str, tuple[Query, str | None]]:
         "select_interval_grid": select_interval_query(grid=True),
         "select_interval_array": (select_interval_array, median_sql),
         "select_pluggable": (select_pluggable, PLUGGABLE_SQL),
-        "private_deciles_adaptive": (private_deciles_adaptive, None),
         "random_release": (random_release, RANDOM_SQL),
         "bisection_pure": bisection_query("pure"),
         "bisection_zcdp": bisection_query("zcdp"),
@@ -673,18 +784,20 @@ def _pairs() -> dict[str, tuple[Query, str | None]]:
         "histogram_quantiles": histogram_query(256),
         "histogram_quantiles_coarse": histogram_query(64),
         "tree_cdf": (tree_cdf, TREE_SQL),
-        "tree_quantiles": (tree_quantiles, None),
+        "tree_quantiles": (tree_quantiles, sql.tree_quantiles(*TOTAL, DECILES, 1.0, 256, 5)),
         "sketch_quantiles": (sketch_quantiles, None),
         "kll_quantiles": (kll_quantiles, None),
         "rank_error_by_quantile": (rank_error_by_quantile, f"{_ERRORS} SELECT CAST(i AS INTEGER) AS i, q, r, below, abs(below - r) AS error, round(abs(below - r) / CAST(n AS DOUBLE), 9) AS share FROM e"),
         "max_rank_error": (max_rank_error, f"{_ERRORS} SELECT max(abs(below - r)) AS max_error, round(avg(abs(below - r)), 6) AS mean_error FROM e"),
         "value_errors": (value_errors, VALUE_ERRORS_SQL),
+        "trial_errors": (trial_errors, f"SELECT method, trial, max_error, failed FROM {_TRIALS_SQL}"),
+        "trial_means": (trial_means, f"SELECT method, round(avg(max_error), 6) AS mean_max_error, count(*) AS trials FROM {_TRIALS_SQL} GROUP BY method"),
         "bootstrap_ci": (bootstrap_ci, BOOTSTRAP_SQL),
-        "improvement_ratio": (improvement_ratio, f"SELECT 9 AS m, round(avg(max_error) FILTER (method = 'rival') / avg(max_error) FILTER (method = 'ours'), 6) AS factor FROM {_TRIALS_SQL}"),
+        "improvement_ratio": (improvement_ratio, f"SELECT 9 AS m, round(avg(max_error) FILTER (method = 'binary') / avg(max_error) FILTER (method = 'kary'), 6) AS factor FROM {_TRIALS_SQL}"),
         "failure_rate": (failure_rate, f"SELECT method, avg(CAST(failed AS INTEGER)) AS failure_rate FROM {_TRIALS_SQL} GROUP BY method"),
         "w_closed_sweep": (w_closed_sweep, SWEEP_SQL),
-        "w_chernoff_grid": (w_chernoff_grid, None),
-        "bounds_table": (bounds_table, None),
+        "w_chernoff_grid": (w_chernoff_grid, _chernoff_sql()),
+        "bounds_table": (bounds_table, BOUNDS_SQL),
         "pure_worked_example": (pure_worked_example, PURE_EXAMPLE_SQL),
         "replicate_x12": (replicate_x12, f"WITH {_cte(QUANTITY)} SELECT value, count(*) * 12 AS rows FROM v GROUP BY value"),
         "jitter_row_key": (jitter_row_key, JITTER_SQL),
@@ -694,14 +807,18 @@ def _pairs() -> dict[str, tuple[Query, str | None]]:
         "affine_reduction": (unit_interval, "SELECT c_custkey, round((greatest(-1024.0, least(16384.0, c_acctbal)) + 1024.0) / 0.01, 6) AS u FROM customer"),
         "null_policy": (null_policy, NULL_SQL),
         "grouped_deciles_returnflag": (grouped_deciles_returnflag, _grouped_sql()),
-        "rollup_lang": (rollup_lang_source, None),
+        "rollup_lang": (rollup_lang_source, _rollup_sql()),
+        "grouped_totalprice_priority": by_group("orders", "o_orderpriority", "o_totalprice", PRIORITIES, QUARTILES, 1.0, 1e-9, TOTAL[2]),
+        "grouped_value_event_type": by_group("events", "event_type", "value", EVENT_TYPES, [0.5], 1.0, 1e-9, EVENT[2]),
+        "grouped_acctbal_segment": by_group("customer", "c_mktsegment", "c_acctbal", ["AUTOMOBILE", "BUILDING", "FURNITURE", "HOUSEHOLD", "MACHINERY"], [0.5], 2.0, 1e-6, BALANCE[2]),
+        "grouped_chars_source": by_group("documents", "source", "n_chars", [f"src{k}" for k in range(4)], [0.5], 4.0, 1e-6, CHARS[2]),
         "bounded_user_contributions": (bounded_user_contributions, CAP_SQL),
         "noisy_counts": (noisy_counts, NOISY_SQL),
         "tumbling_runs": (tumbling_runs, "SELECT epoch_us(date_trunc('day', ts)) AS start, CAST(floor(value) AS BIGINT) AS value, count(*) AS rows FROM events GROUP BY 1, 2"),
         "sliding_runs": (sliding_runs, SLIDING_SQL),
         "session_lengths": (session_lengths, SESSION_SQL),
-        "tumbling_private_median": (tumbling_private_median, None),
-        "sliding_private_median": (sliding_private_median, None),
+        "tumbling_private_median": window_median("7 days", None, 1e-16),
+        "sliding_private_median": window_median("14 days", "7 days", 1e-10),
         "private_running_count": (private_running_count, _running_sql()),
         "contribution_semi_join": (contribution_semi_join, SEMI_SQL),
         "adjacent_add": (adjacent_pair("add"), ADJACENT_SQL["add"]),

@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import math
+from array import array
 from collections.abc import Iterator
 
 import numpy as np
@@ -11,10 +13,14 @@ from pyspark.sql import functions as F
 from pyspark.sql.functions import udtf
 from pyspark.sql.types import Row
 
-from privq.functions import local, prf
+from privq.functions import local
 from privq.functions.domain import Domain
+from privq.operators.slices import COUNT_SHARE
 from privq.plans import accountant, counting, ranks
 
+#: Rows that a table function holds of one partition.
+MOST_ROWS = 100_000_000
+
 
 @udtf(returnType="i int, q double, r bigint, rt bigint, lo bigint, hi bigint")
 class RankWindows:
@@ -33,51 +39,71 @@ class RankWindows:
 class PrivateQuantiles:
     """private_quantiles(TABLE(t) PARTITION BY (grp), qs, lo, hi, eps, delta, key): one release a partition.
 
-    The table has columns grp and value. A partition is held in one task: for groups of some 1e8 rows at most. A group
-    without room for the plan gives no rows.
+    The table has columns grp and value. A partition is held in one task as numbers of 8 bytes, at most ``MOST_ROWS`` of
+    them: beyond it the function refuses (use ``grouped_release``). The number of rows is noisy, at a share of eps. A
+    group without room gives random values.
     """
 
     def __init__(self) -> None:
-        self.values: list[float] = []
+        self.values = array("d")
         self.options: tuple | None = None
         self.group: str | None = None
 
     def eval(self, row: Row, qs: list, lo: float, hi: float, eps: float, delta: float, key: str) -> None:
         self.group, self.options = row["grp"], (qs, float(lo), float(hi), float(eps), float(delta), key)
         if row["value"] is not None:
+            if len(self.values) >= MOST_ROWS:
+                raise ValueError(f"a group has more than {MOST_ROWS} rows")
             self.values.append(min(float(hi), max(float(lo), float(row["value"]))))
 
     def terminate(self) -> Iterator[tuple]:
         if self.options is None:
             return
         qs, lo, hi, eps, delta, key = self.options
-        x = np.sort(np.array(self.values))
-        try:
-            p = accountant.plan(len(qs), len(x), hi - lo, eps, delta)
-            seed = int(prf.uniform_of(key, f"'{self.group}'") * (1 << 52))
-            z, _ = local.release_slices(np.random.default_rng(seed), x, qs, p, lo, hi)
-        except ranks.GapTooSmall:
-            return
+        own = f"{key}/{self.group}"
+        p = accountant.plan(len(qs), 0, hi - lo, eps * (1 - COUNT_SHARE), delta)
+        n = local.noisy_count(len(self.values), eps * COUNT_SHARE, own)
+        z, _ = local.release_keyed(np.sort(np.array(self.values)), qs, p, lo, hi, own, n)
         for i, (q, v) in enumerate(zip(qs, z, strict=True), 1):
             yield self.group, i, float(q), float(v)
 
 
 def private_quantile(q: float, eps: float, domain: Domain, key: str):
-    """Aggregate for small groups: the interval selector over a whole group at one quantile, at cost eps."""
+    """Aggregate (value, group name) for small groups: the interval selector over a whole group, at cost eps.
 
-    def pick(values: pd.Series) -> float:
+    The name, one a group, goes into the key of the noise.
+    """
+
+    def pick(values: pd.Series, names: pd.Series) -> float:
         x = np.sort(np.clip(values.dropna().to_numpy(float), domain.lo, domain.hi))
-        seed = int(prf.uniform_of(key, len(x)) * (1 << 52))
-        return local.pick(np.random.default_rng(seed), x, eps, domain.lo, domain.hi, np.floor(q * len(x)))
+        return local.pick_keyed(x.tolist(), eps, domain.lo, domain.hi, math.floor(q * len(x)), key, str(names.iloc[0]))
 
-    pick.__annotations__ = {"values": pd.Series, "return": float}
+    pick.__annotations__ = {"values": pd.Series, "names": pd.Series, "return": float}
     return F.pandas_udf(pick, "double")
 
 
+_TWO52 = "4503599627370496D"
+
+
+def _digit_block(k: int) -> str:
+    return f"CAST(conv(substr(d, {13 * k + 1}, 13), 16, 10) AS DOUBLE)"
+
+
+def _sized(k: int) -> str:
+    return f"({_digit_block(k)} + ({_digit_block(k + 1)} + 0.5D) / {_TWO52}) / {' / '.join([_TWO52] * (k + 1))}"
+
+
+#: Parameters, result and body of each SQL function.
 FUNCTIONS = {
-    "prf_uniform": ("k STRING, tag STRING, i BIGINT", "DOUBLE", "(CAST(conv(substr(md5(concat(k, ':', tag, ':', CAST(i AS STRING))), 1, 13), 16, 10) AS DOUBLE) + 0.5D) / 4503599627370496D"),
-    "gumbel": ("k STRING, tag STRING, i BIGINT", "DOUBLE", "-ln(-ln(prf_uniform(k, tag, i)))"),
+    "digest_uniform": ("d STRING", "DOUBLE", f"least(CASE WHEN {_digit_block(0)} > 0 THEN {_sized(0)} WHEN {_digit_block(1)} > 0 THEN {_sized(1)} ELSE {_sized(2)} END, {1 - 2.0**-53!r}D)"),
+    "prf_uniform": ("k STRING, tag STRING, i BIGINT", "DOUBLE", "digest_uniform(sha2(concat(k, ':', tag, ':', CAST(i AS STRING)), 256))"),
+    "gumbel": ("k STRING, tag STRING, i BIGINT", "DOUBLE", "-ln(CASE WHEN prf_uniform(k, tag, i) < 1e-5D THEN prf_uniform(k, tag, i) * (1 + prf_uniform(k, tag, i) * (0.5D + prf_uniform(k, tag, i) / 3)) ELSE -ln(1 - prf_uniform(k, tag, i)) END)"),
     "two_sided_geometric": ("k STRING, tag STRING, i BIGINT, scale DOUBLE", "BIGINT", "CAST(floor(ln(prf_uniform(k, concat(tag, ':', CAST(i AS STRING)), 0)) / (-1D / scale)) - floor(ln(prf_uniform(k, concat(tag, ':', CAST(i AS STRING)), 1)) / (-1D / scale)) AS BIGINT)"),
+    "laplace": ("k STRING, tag STRING, i BIGINT, scale DOUBLE", "DOUBLE", "IF(prf_uniform(k, concat(tag, ':', CAST(i AS STRING)), 1) < 0.5D, 1D, -1D) * scale * ln(prf_uniform(k, concat(tag, ':', CAST(i AS STRING)), 0))"),
+    "clamp_to": ("x DOUBLE, lo DOUBLE, hi DOUBLE", "DOUBLE", "greatest(lo, least(hi, x))"),
+    "target_rank": ("q DOUBLE, n BIGINT", "BIGINT", "CAST(floor(q * n + 1e-9D) AS BIGINT)"),
+    "half_width": ("m INT, psi DOUBLE, beta DOUBLE, eps2 DOUBLE", "BIGINT", "CAST(ceil(2 * ln(2 * m * psi / beta) / eps2) AS BIGINT)"),
+    "rank_error": ("below BIGINT, q DOUBLE, n BIGINT", "BIGINT", "abs(below - CAST(floor(q * n + 1e-9D) AS BIGINT))"),
 }
 
 

@@ -8,18 +8,20 @@ window is never released again.
 
 from __future__ import annotations
 
+import datetime as dt
 import math
 from collections.abc import Callable, Iterator
 
-import numpy as np
 import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql.streaming import DataStreamWriter, StatefulProcessor, StatefulProcessorHandle
 
-from privq.functions import local, prf
 from privq.functions.domain import Domain
-from privq.plans import accountant, counting, ranks
+from privq.operators.grouped import release_runs
+from privq.operators.slices import COUNT_SHARE
+from privq.plans import accountant, counting
+from privq.sources.scratch import materialize
 
 
 def _seconds(text: str) -> float:
@@ -39,36 +41,38 @@ def windowed_runs(events: DataFrame, time: str, value: str, size: str, slide: st
     return events.groupBy(at.alias("w"), *by, F.col(value).alias("value")).agg(F.count(F.lit(1)).alias("rows")).select(F.col("w.start").alias("start"), *by, "value", "rows")
 
 
-def window_quantiles(runs: DataFrame, qs: list[float], eps: float, delta: float, domain: Domain, key: str, share: int = 1, adjacency: str = "add_remove") -> DataFrame:
-    """start, i, q, z for every window with room for the plan; others give no rows.
+def calendar(first: dt.datetime, last: dt.datetime, size: str, slide: str | None = None) -> list[int]:
+    """Starts, in microseconds, of the windows of a public calendar that lie within ``first`` to ``last`` (exclusive)."""
+    step, length = (int(_seconds(x) * 1_000_000) for x in (slide or size, size))
+    lo, hi = (int(t.replace(tzinfo=dt.UTC).timestamp() * 1_000_000) for t in (first, last))
+    return list(range(-(-lo // step) * step, hi - length + 1, step))
 
-    One group is one window's distinct values. The mechanism runs on the sorted runs, with a generator seeded by key and
-    window.
-    """
 
-    def run(part: pd.DataFrame) -> pd.DataFrame:
-        x = np.repeat(part["value"].to_numpy(), part["rows"].to_numpy())
-        x.sort()
-        start = part["start"].iloc[0]
-        none = pd.DataFrame({"start": [], "i": [], "q": [], "z": []}).astype({"start": "datetime64[us]", "i": "int32", "q": "float64", "z": "float64"})
-        try:
-            p = accountant.plan(len(qs), len(x), domain.psi, eps / share, delta / share, adjacency)
-            seed = int(prf.uniform_of(key, "window", int(pd.Timestamp(start).value // 1000)) * (1 << 52))
-            z, _ = local.release_slices(np.random.default_rng(seed), x, qs, p, domain.lo, domain.hi)
-        except ranks.GapTooSmall:
-            return none
-        return pd.DataFrame({"start": [start] * len(qs), "i": range(1, len(qs) + 1), "q": qs, "z": z})
+def window_quantiles(runs: DataFrame, starts: list[int] | None, qs: list[float], eps: float, delta: float, domain: Domain, key: str, share: int = 1, adjacency: str = "add_remove") -> DataFrame:
+    """start, i, q, z for every window of a public list of starts (microseconds), empty ones included.
 
-    return runs.groupBy("start").applyInPandas(run, "start timestamp, i int, q double, z double")
+    ``starts`` None takes the windows that hold events, which shows which of them do. The number of events of a window
+    is noisy; a window without room gives random values. Each window gets its part of the budget.
+    """
+    each = eps / share
+    plan = accountant.plan(len(qs), 0, domain.psi, each * (1 - COUNT_SHARE), delta / share, adjacency)
+    named = materialize(runs.select(F.unix_micros(F.col("start").cast("timestamp")).cast("string").alias("w"), F.col("value").cast("double").alias("value"), "rows"), "window-runs")
+    if starts is None:
+        starts = sorted(int(r["w"]) for r in named.select("w").distinct().collect())
+    made = release_runs(named.where(F.col("w").isin([str(s) for s in starts])), "w", [str(s) for s in starts], qs, plan, domain, key, count_eps=each * COUNT_SHARE)
+    return made.select(F.timestamp_micros(F.col("w").cast("bigint")).alias("start"), "i", "q", "z")
 
 
 def release_closed_windows(events: DataFrame, time: str, value: str, size: str, lateness: str, sink: Callable[[DataFrame, int], None], qs: list[float], eps: float, delta: float, domain: Domain, key: str, slide: str | None = None) -> DataStreamWriter:
-    """Streaming writer: windows that the watermark closed are released in ``foreachBatch``, exactly once each."""
+    """Streaming writer: windows that the watermark closed are released in ``foreachBatch``, exactly once each.
+
+    A window without any event isn't emitted; whether a window is empty counts as public here.
+    """
     runs = windowed_runs(events.withWatermark(time, lateness), time, value, size, slide)
     share = windows_of_event(size, slide)
 
     def batch(closed: DataFrame, batch_id: int) -> None:
-        sink(window_quantiles(closed, qs, eps, delta, domain, key, share), batch_id)
+        sink(window_quantiles(closed, None, qs, eps, delta, domain, key, share), batch_id)
 
     return runs.writeStream.outputMode("append").foreachBatch(batch)
 
@@ -123,3 +127,11 @@ def streaming_counter(events: DataFrame, stream: str, horizon: int, eps: float,
 def deduplicated(events: DataFrame, time: str, lateness: str, ids: list[str]) -> DataFrame:
     """Streaming rows once each, within the watermark."""
     return events.withWatermark(time, lateness).dropDuplicatesWithinWatermark(ids)
+
+
+def with_reference(events: DataFrame, reference: DataFrame, on: str) -> DataFrame:
+    """A stream joined with a static table, whose rows for a key are unique; events without one keep null columns.
+
+    The static side is read anew in each batch and broadcast by Spark where its size allows.
+    """
+    return events.join(reference, on, "left")

@@ -6,7 +6,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from privq import sqlapi
-from privq.functions import prf
+from privq.functions import local, prf
 from privq.functions.domain import Domain, separate, to_domain
 from privq.operators import baselines, bisection, experiments, grouped, locate, measures, select, slices
 from privq.plans import accountant, counting, ranks
@@ -58,9 +58,36 @@ def test_empty_and_small_inputs(spark):
     index = locate.Index(frame(spark, []), DOMAIN)
     assert index.n == 0 and index.order_statistics([(1, 1, 3)]).count() == 0
     assert locate.exact_quantiles(frame(spark, [5.0]), DOMAIN, [0.5]).collect()[0]["x"] == 5.0
-    p = accountant.plan(3, 0, DOMAIN.psi, 1.0, 1e-6)
-    with pytest.raises(ranks.GapTooSmall):
-        slices.release(frame(spark, [1, 2, 3]), [0.25, 0.5, 0.75], p, DOMAIN, "k")
+    p = accountant.plan(3, 0, DOMAIN.psi, 1.0, 1e-6, "substitute")
+    for x in ([1, 2, 3], []):
+        with pytest.raises(ranks.GapTooSmall):
+            slices.release(frame(spark, x), [0.25, 0.5, 0.75], p, DOMAIN, "k")
+        with pytest.raises(ranks.GapTooSmall):
+            slices.release_counted(frame(spark, x), [0.25, 0.5, 0.75], 1.0, 1e-6, DOMAIN, "k")
+
+
+def test_private_number_of_rows(spark):
+    tracker, group = spark.sparkContext.statusTracker(), "private-n"
+    values, qs, d = frame(spark, np.arange(20_000) / 200), [0.25, 0.5, 0.75], DOMAIN
+    spark.sparkContext.setJobGroup(group, "none")
+    with pytest.raises(ValueError, match="private"):
+        slices.release(values, qs, accountant.plan(3, 0, d.psi, 1.0, 1e-6), d, "k")
+    assert not tracker.getJobIdsForGroup(group)
+    for clip in ("none", "adaptive"):
+        z = sorted((r["i"], r["z"]) for r in slices.release_counted(values, qs, 1.0, 1e-6, d, "k", clip=clip).collect())
+        assert all(abs(v - 100 * q) < 3 for (_, v), q in zip(z, qs, strict=True))
+    # a public number above the true one: ranks beyond the last row read the upper bound
+    p = accountant.plan(1, 0, d.psi, 1.0, 1e-6)
+    out = slices.release(values, [0.5], p, d, "k", n_public=40_060).collect()
+    assert len(out) == 1 and out[0]["z"] >= 98
+
+
+def test_earlier_accounting_costs_ln_2(spark):
+    values, d = frame(spark, np.arange(30_000) / 300), DOMAIN
+    out = slices.release_doubling(values, [0.25, 0.5, 0.75], 1.0, 1e-6, d, "k", 30_000).collect()
+    assert len(out) == 3 and accountant.plan_doubling(3, d.psi, 1.0, 1e-6).w > accountant.plan(3, 0, d.psi, 1.0, 1e-6).w
+    with pytest.raises(ValueError, match="ln 2"):
+        accountant.plan_doubling(3, d.psi, 0.69, 1e-6)
 
 
 def test_precheck_starts_no_job(spark):
@@ -83,12 +110,15 @@ def test_release_is_accurate_and_repeatable(spark):
     d, qs = Domain(0.0, 1024.0), ranks.even_quantiles(9)
     p = accountant.plan(9, len(x), d.psi, 1.0, 1e-16)
     for clip in ("none", "adaptive"):
-        out = slices.release(frame(spark, x), qs, p, d, "7", clip=clip)
+        out = slices.release(frame(spark, x), qs, p, d, "7", len(x), clip)
         z = [r["z"] for r in sorted(out.collect(), key=lambda r: r["i"])]
         errors = np.abs(np.searchsorted(x, z) - np.array(ranks.target_ranks(qs, len(x))))
         assert errors.max() <= p.margin
-        again = slices.release(frame(spark, x).repartition(7), qs, p, d, "7", clip=clip)
+        again = slices.release(frame(spark, x).repartition(7), qs, p, d, "7", len(x), clip)
         assert [r["z"] for r in sorted(again.collect(), key=lambda r: r["i"])] == z
+        local_z, failed = local.release_keyed(x, qs, p, d.lo, d.hi, "7", len(x), clip == "adaptive")
+        assert not failed and local_z == pytest.approx(z)
+        assert [r["z"] for r in slices.release(frame(spark, x), qs, p, d, "7", len(x), clip, monotone=True).collect()] == pytest.approx(sorted(z))
 
 
 def test_adaptive_levels_agree_on_and_off_the_driver(spark):
@@ -104,7 +134,10 @@ def test_pure_release_is_on_the_grid(spark):
     d = Domain(0.0, 64.0)
     p = accountant.plan(3, 0, d.psi, 1.0, gamma=0.01, grid_size=65)
     for clip in ("none", "adaptive"):
-        assert all(r["z"] == int(r["z"]) for r in slices.release(frame(spark, x), [0.25, 0.5, 0.75], p, d, "7", clip=clip).collect())
+        assert all(r["z"] == int(r["z"]) for r in slices.release(frame(spark, x), [0.25, 0.5, 0.75], p, d, "7", len(x), clip).collect())
+    low = Domain(-64.0, 0.0)
+    z = slices.release(frame(spark, -x), [0.25, 0.5, 0.75], p, low, "7", len(x)).collect()
+    assert all(-64 <= r["z"] <= 0 and r["z"] == int(r["z"]) for r in z)
     assert all(0 <= r["z"] <= 64 and r["z"] == int(r["z"]) for r in slices.random_release(spark, [0.5] * 20, d, "9", grid=True).collect())
 
 
@@ -163,10 +196,15 @@ def test_groups_and_caps(spark):
     df = spark.createDataFrame(rows, "grp string, value double")
     d = Domain(0.0, 128.0)
     p = accountant.plan(3, 0, d.psi, 1.0, 1e-9)
-    out = grouped.grouped_quantiles(df, "grp", ["a", "b", "none"], [0.25, 0.5, 0.75], p, d, "k").collect()
-    assert {r["grp"] for r in out} == {"a"} and len(out) == 3
-    alone = grouped.grouped_release(df, "grp", ["a", "b"], [0.25, 0.5, 0.75], p, d, "k").collect()
-    assert {r["grp"] for r in alone} == {"a"}
+    with pytest.raises(ValueError, match="sizes"):
+        grouped.grouped_quantiles(df, "grp", ["a"], [0.5], p, d, "k")
+    out = grouped.grouped_quantiles(df, "grp", ["a", "b", "none"], [0.25, 0.5, 0.75], p, d, "k", count_eps=0.1).collect()
+    assert sorted((r["grp"], r["i"]) for r in out) == [(k, i) for k in ("a", "b", "none") for i in (1, 2, 3)]
+    assert all(abs(r["z"] - 100 * r["q"]) < 10 for r in out if r["grp"] == "a") and all(0 <= r["z"] <= 128 for r in out)
+    alone = grouped.grouped_release(df, "grp", ["a", "b", "none"], [0.25, 0.5, 0.75], 1.0, 1e-9, d, "k").collect()
+    assert sorted((r["grp"], r["i"]) for r in alone) == sorted((r["grp"], r["i"]) for r in out)
+    rolled = grouped.rollup_releases(df, [([], ["all"]), (["grp"], ["a", "b"])], "value", [0.5], 2.0, 1e-6, d, "k").collect()
+    assert sorted((r["level"], r["grp"]) for r in rolled) == [(0, "all"), (1, "a"), (1, "b")]
     capped = grouped.bound_contributions(df.withColumn("id", F.monotonically_increasing_id()), "grp", 7, "k", "id")
     assert {r["grp"]: r["count"] for r in capped.groupBy("grp").count().collect()} == {"a": 7, "b": 7}
 
@@ -188,7 +226,7 @@ def test_sql_entry_points(spark):
     z = spark.sql("SELECT * FROM private_quantiles(TABLE(points) PARTITION BY (grp), array(0.25D, 0.5D, 0.75D), 0D, 100D, 1D, 1e-9D, '7') ORDER BY i").collect()
     assert [abs(r["z"] - 100 * r["q"]) < 6 for r in z] == [True] * 3
     agg = sqlapi.private_quantile(0.5, 1.0, Domain(0.0, 100.0), "7")
-    assert abs(spark.table("points").groupBy("grp").agg(agg("value").alias("z")).first()["z"] - 50) < 5
+    assert abs(spark.table("points").groupBy("grp").agg(agg("value", "grp").alias("z")).first()["z"] - 50) < 5
 
 
 def test_formats_and_sinks(spark, tmp_path):
@@ -224,8 +262,23 @@ def test_stream_windows_are_released_once(spark, tmp_path):
     query.awaitTermination()
     starts = [r["start"] for r in found]
     assert len(starts) == len(set(starts)) >= 2
-    batch = {r["start"]: r["z"] for r in windows.window_quantiles(windows.windowed_runs(events, "ts", "value", "7 days"), [0.5], 1.0, 1e-6, d, "k").collect()}
-    assert all(batch[r["start"]] == r["z"] for r in found)
+    runs = windows.windowed_runs(events, "ts", "value", "7 days")
+    starts = windows.calendar(dt.datetime(2024, 1, 1), dt.datetime(2024, 3, 1), "7 days")
+    batch = {r["start"]: r["z"] for r in windows.window_quantiles(runs, starts, [0.5], 1.0, 1e-6, d, "k").collect()}
+    assert len(batch) == len(starts)  # empty windows too
+    assert all(batch[r["start"]] == pytest.approx(r["z"]) for r in found if r["start"] in batch)
+
+
+def test_stream_static_join_and_duplicates(spark, tmp_path):
+    _events(spark, tmp_path)
+    schema = T.StructType([T.StructField("ts", T.TimestampType()), T.StructField("value", T.DoubleType())])
+    stream = io.stream(spark, f"{tmp_path}/events", schema).withColumn("kind", (F.col("value") % 3).cast("int"))
+    names = spark.createDataFrame([(0, "none"), (1, "one")], "kind int, name string")
+    once = windows.deduplicated(stream.unionByName(stream), "ts", "1 hour", ["ts"])
+    query = windows.with_reference(once, names, "kind").writeStream.format("memory").queryName("joined").option("checkpointLocation", f"{tmp_path}/check3").trigger(availableNow=True).start()
+    query.awaitTermination()
+    rows = spark.sql("SELECT kind, name, count(*) AS n FROM joined GROUP BY kind, name").collect()
+    assert {(r["kind"], r["name"]) for r in rows} == {(0, "none"), (1, "one"), (2, None)} and sum(r["n"] for r in rows) == 4000
 
 
 def test_streaming_counter(spark, tmp_path):

@@ -140,7 +140,11 @@ def _positions(values):
     return {k + 1: v for k, v in enumerate(values)} | {0: -1, len(values) + 1: 10**6}
 
 
-@pytest.mark.parametrize("n,m,h", [(n, m, h) for n in range(3, 10) for m in (1, 2, 3) for h in (1,)])
+def _contiguous(change):
+    return all(c in (0, change[-1]) for c in change) and list(change) == sorted(change, key=abs)
+
+
+@pytest.mark.parametrize("n,m,h", [(n, m, h) for n in range(3, 13) for m in (1, 2, 3) for h in (1, 2)])
 def test_shift_maps_are_injective_and_cheap(n, m, h):
     vectors = [r for r in itertools.combinations(range(1, n + 1), m) if ranks.is_feasible(list(r), n, h)]
     x = list(range(10, 10 + 2 * n, 2))
@@ -149,6 +153,7 @@ def test_shift_maps_are_injective_and_cheap(n, m, h):
         images = set()
         for r in vectors:
             image = tuple(c + (c - h >= s) for c in r)
+            assert ranks.is_feasible(list(image), n + 1, h) and _contiguous([u - c for u, c in zip(image, r, strict=True)])
             a, b = _slices(_positions(x), r, h), _slices(_positions(grown), image, h)
             assert sum(len(set(p) - set(q)) for p, q in zip(a, b, strict=True)) <= 1
             images.add(image)
@@ -160,12 +165,120 @@ def test_shift_maps_are_injective_and_cheap(n, m, h):
             left = [k for k, c in enumerate(r) if c + h < s]
             p = left[-1] if left else 0
             image = tuple(c - (k >= p) for k, c in enumerate(r))
+            assert ranks.is_feasible(list(image), n, h - 1) and _contiguous([u - c for u, c in zip(image, r, strict=True)])
             a, b = _slices(_positions(x), r, h), _slices(_positions(less), image, h)
             assert sum(len(set(u) - set(v)) for u, v in zip(a, b, strict=True)) <= 2
             images.add(image)
         assert len(images) == len(vectors)
 
 
+# The whole mechanism on a tiny domain: m = 2 ranks, slices of three points, values 0..3, all noise up to a reach.
+RANKS, ROWS, H, TOP, REACH = [8, 17], 24, 1, 3, 40
+
+
+def _density(points, eps):
+    """Odds of each unit cell of 0..TOP under the interval selector."""
+    law, edges, out = _selection_law(points, eps, 0, TOP, H + 0.5), [0, *points, TOP], np.zeros(TOP)
+    for p, (a, b) in zip(law, itertools.pairwise(edges), strict=True):
+        for cell in range(a, b):
+            out[cell] += p / (b - a)
+    return out
+
+
+def _grid_law(points, eps):
+    """Odds of each grid value after rounding: half of a cell goes to either side."""
+    cells = _density(points, eps) / 2
+    return np.concatenate([cells, [0]]) + np.concatenate([[0], cells])
+
+
+class _Audit:
+    """Exact law of a release of multisets with counts of 0..TOP, and the delta of its parameters."""
+
+    def __init__(self, eps1, eps2, gamma=0.0):
+        assert {(level, t) for i in (1, 2) for _, level, t in counting.nodes(i, 2, 2)} == {(0, 0), (1, 0)}  # one node a prefix
+        noise = _pmf(counting.node_scale(2, eps1, 2), REACH)
+        self.gamma, span = gamma, range(-REACH, REACH + 1)
+        self.fits = np.array([[noise[a + REACH] * noise[b + REACH] * ranks.is_feasible([RANKS[0] + a, RANKS[1] + b], ROWS, H) for b in span] for a in span])
+        w = max(k for k in range(ROWS) if ranks.has_room(RANKS, ROWS, k + H))
+        inside = noise[REACH - w + 1 : REACH + w].sum()
+        self.delta = 1 - inside**2  # some noise strays by w or more
+        law = _grid_law if gamma else _density
+        self.cells = {p: law(p, eps2) for p in itertools.combinations_with_replacement(range(TOP + 1), 3)}
+        self.known = {}
+
+    def law(self, counts):
+        if counts not in self.known:
+            x = [v for v, c in enumerate(counts) for _ in range(c)]
+            at = lambda r: x[r - 1] if 1 <= r <= len(x) else (0 if r < 1 else TOP)
+            one, two = (np.array([self.cells[tuple(at(r + k + j) for j in (-1, 0, 1))] for k in range(-REACH, REACH + 1)]) for r in RANKS)
+            k = one.shape[1]
+            self.known[counts] = (1 - self.gamma) * (one.T @ self.fits @ two + (1 - self.fits.sum()) / k**2) + self.gamma / k**2
+        return self.known[counts]
+
+
+def _multisets(n):
+    for cut in itertools.combinations(range(n + TOP), TOP):
+        ends = [-1, *cut, n + TOP]
+        yield tuple(b - a - 1 for a, b in itertools.pairwise(ends))
+
+
+def _beyond(p, q, eps):
+    return np.maximum(0, p - math.exp(eps) * q).sum()
+
+
+@pytest.mark.parametrize("eps1,eps2", [(2.0, 0.3), (3.0, 0.5), (5.0, 1.0)])
+def test_release_privacy_by_enumeration(eps1, eps2):
+    audit = _Audit(eps1, eps2)
+    add, remove = accountant.one_sided(eps1, eps2)["add"], accountant.one_sided(eps1, eps2)["remove"]
+    total, delta_sub = accountant.compose(eps1, eps2, audit.delta, "substitute")
+    assert audit.delta < 0.5
+    for counts in _multisets(ROWS):
+        grown = [tuple(c + (k == v) for k, c in enumerate(counts)) for v in range(TOP + 1)]
+        for g in grown:
+            assert _beyond(audit.law(counts), audit.law(g), add) <= audit.delta + 1e-9  # g has one point more
+            assert _beyond(audit.law(g), audit.law(counts), remove) <= audit.delta + 1e-9
+        for a, b in itertools.permutations(grown, 2):
+            assert _beyond(audit.law(a), audit.law(b), total) <= delta_sub + 1e-9
+
+
+def test_pure_release_by_enumeration():
+    eps1, eps2 = 5.0, 1.0
+    eps = accountant.compose(eps1, eps2, 0, "add_remove")[0]
+    plain = _Audit(eps1, eps2, 1e-9)
+    gamma = accountant.mixing_probability(math.log(plain.delta), 2, TOP + 1, eps)
+    audit = _Audit(eps1, eps2, gamma)
+    for counts in _multisets(ROWS):
+        for v in range(TOP + 1):
+            p, q = audit.law(counts), audit.law(tuple(c + (k == v) for k, c in enumerate(counts)))
+            assert (p <= math.exp(eps) * q * (1 + 1e-9)).all() and (q <= math.exp(eps) * p * (1 + 1e-9)).all()
+
+
+@pytest.mark.parametrize("gamma", [0.0, 0.2])
+def test_release_has_the_enumerated_law(gamma):
+    """The release itself, over many keys, against the law that the audits use."""
+    eps1, eps2, counts, draws = 2.0, 0.7, (9, 5, 4, 6), 4000
+    law = _Audit(eps1, eps2, gamma).law(counts)
+    x = np.repeat(np.arange(TOP + 1.0), counts)
+    qs = [(r + 0.5) / ROWS for r in RANKS]
+    p = accountant.Plan(eps1 + 2 * eps2, 0.1, "add_remove", 2, eps1, eps2, 0.1, 1, H, 2, gamma, gamma > 0)
+    found = np.zeros_like(law)
+    for k in range(draws):
+        z, _ = local.release_keyed(x, qs, p, 0.0, float(TOP), f"audit{k}", ROWS, clip=False)
+        found[tuple(min(int(v), law.shape[0] - 1) for v in z)] += 1 / draws
+    assert np.abs(found - law).max() < 4.5 * math.sqrt(0.25 / draws) and abs(found.sum() - 1) < 1e-9
+
+
+def test_noise_reaches_the_tails_that_plans_need():
+    pure = accountant.plan(9, 0, 131072, 1.0, gamma=0.01, grid_size=131073)
+    assert prf.from_blocks([0.0, 0.0, 0.0, 0.0]) < 2.0**-208 < prf.LEAST < pure.delta_cc < 1e-47
+    assert prf.from_blocks([2.0**52 - 1] * 4) < 1
+    assert prf.from_blocks([0.0, 3.0, 1.0, 0.0]) == pytest.approx(3 / 2.0**104, rel=1e-12)
+    with pytest.raises(ValueError, match="probability"):
+        accountant.plan(20, 0, 131072, 1.0, gamma=0.01, grid_size=131073)
+    scale = counting.node_scale(9, pure.eps1, pure.arity)
+    assert -math.log(prf.LEAST) * scale > pure.w / tails.counting.most_nodes(9, pure.arity)  # a draw can be as large as its share of w
+
+
 def _selection_law(points, eps, lo, hi, target):
     edges = [lo, *points, hi]
     weights = [(b - a) * math.exp(-eps / 2 * abs(j - target)) for j, (a, b) in enumerate(itertools.pairwise(edges))]
@@ -197,17 +310,17 @@ def test_methods_order_at_many_quantiles():
     """With many quantiles the slices win under both adjacencies, and tiny delta hurts the approximate rival."""
     rng, n, m = np.random.default_rng(3), 500_000, 150
     x = np.sort(np.clip(np.round(rng.normal(40, 12, n)) + rng.normal(0, 0.1, n), 0, 100))
-    runs = local.runs(x)
+    points = local.Points.whole(x, 0, 100)
     for adjacency in accountant.ADJACENCIES:
         errors = {"slices": [], "pure": [], "zcdp": []}
         for t in range(3):
             qs = ranks.grid_sample(m, "7", t)
             p = accountant.plan(m, n, 100 * n, 1.0, 1e-16, adjacency)
-            z, failed = local.release_slices(rng, x, qs, p, 0, 100)
+            z, failed = local.release_slices(rng, points, qs, p, 0, 100)
             assert not failed
-            errors["slices"].append(local.rank_errors(x, qs, z).max())
+            errors["slices"].append(local.rank_errors(points, qs, z).max())
             for c in ("pure", "zcdp"):
-                z = local.release_bisection(rng, *runs, qs, accountant.bisection_level_eps(m, 1.0, 1e-16, c, adjacency), 0, 100)
+                z = local.release_bisection(rng, points, qs, accountant.bisection_level_eps(m, 1.0, 1e-16, c, adjacency), 0, 100)
                 errors[c].append(local.rank_errors(x, qs, z).max())
         means = {k: np.mean(v) for k, v in errors.items()}
         assert means["slices"] < means["pure"] < means["zcdp"]
