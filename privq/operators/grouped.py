@@ -2,17 +2,23 @@
 
 from __future__ import annotations
 
+import bisect
+
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from privq.functions import prf
 from privq.functions.domain import Domain
 from privq.functions.local import noisy_count, random_values
+from privq.operators import locate
 from privq.operators.select import select_interval
 from privq.operators.slices import COUNT_SHARE, random_release, release_counted
 from privq.plans import accountant, counting, ranks
 from privq.sources.scratch import materialize
 
+#: Equal-width buckets of the domain by which a group's ranks are located.
+GROUP_BUCKETS = 1024
+
 
 def bound_contributions(df: DataFrame, unit: str, cap: int, key: str, row_key: str) -> DataFrame:
     """At most ``cap`` rows of each unit, by keyed order; a release then costs ``cap`` times as much for a unit.
@@ -28,27 +34,34 @@ def grouped_quantiles(values: DataFrame, by: str, groups: list[str], qs: list[fl
     """group, i, q, z for every one of a public list of groups, in one pass over the data; groups are disjoint, so they
     compose in parallel (a substitution that moves a row between groups touches two).
 
-    Runs (group, value) are counted before the shuffle. For groups beyond some 1e8 distinct values use
-    ``grouped_release``, which locates ranks without a window.
+    Runs (group, value) are counted before the shuffle. For a few groups whose values crowd into single buckets use
+    ``grouped_release``, which cuts crowded cells again.
     """
     listed = values.where(F.col(by).isin(groups))
     counted = materialize(listed.groupBy(by, "value").agg(F.count(F.lit(1)).alias("rows")), "grouped-runs")
     return release_runs(counted, by, groups, qs, plan, domain, key, sizes, count_eps)
 
 
-def release_runs(counted: DataFrame, by: str, groups: list[str], qs: list[float], plan: accountant.Plan, domain: Domain, key: str, sizes: dict[str, int] | None = None, count_eps: float | None = None) -> DataFrame:
+def release_runs(counted: DataFrame, by: str, groups: list[str], qs: list[float], plan: accountant.Plan, domain: Domain, key: str, sizes: dict[str, int] | None = None, count_eps: float | None = None, buckets: int = GROUP_BUCKETS) -> DataFrame:
     """The same from stored runs (group, value, rows).
 
+    A count by group and bucket comes first (its rows, groups x ``buckets`` at most, reach the driver); only buckets that
+    hold wanted ranks are numbered, each in a window of its own.
+
     Numbers of rows are public (``sizes``) or noisy at a cost of ``count_eps``; one of both must be given. A group
     without room, empty ones included, and one whose noisy ranks overlap gives random values, like any failed release.
     """
     if (sizes is None) == (count_eps is None):
         raise ValueError("give public sizes of the groups, or count_eps for noisy ones")
     spark, h, m, hi = counted.sparkSession, plan.h, len(qs), float(domain.hi)
-    have = {r[by]: r["n"] for r in counted.groupBy(by).agg(F.sum("rows").alias("n")).collect()}
+    counted = counted.withColumn("bucket", locate.bucket(F.col("value"), domain, buckets))
+    ends: dict[str, list[tuple[int, int]]] = {}  # bucket and rows up to its end
+    for r in sorted(counted.groupBy(by, "bucket").agg(F.sum("rows").alias("n")).collect(), key=lambda r: r["bucket"]):
+        own = ends.setdefault(r[by], [])
+        own.append((r["bucket"], r["n"] + (own[-1][1] if own else 0)))
     windows, beyond, failed, params = [], [], [], []
     for at, g in enumerate(groups):
-        own, exact = f"{key}/{g}", have.get(g, 0)
+        own, exact = f"{key}/{g}", ends[g][-1][1] if g in ends else 0
         n = sizes.get(g, 0) if count_eps is None else noisy_count(exact, count_eps, own)
         target = ranks.target_ranks(qs, n)
         noisy = counting.rank_noise(target, plan.eps1, plan.arity, own)
@@ -57,15 +70,19 @@ def release_runs(counted: DataFrame, by: str, groups: list[str], qs: list[float]
             failed += [(g, i, float(q), z) for i, (q, z) in enumerate(zip(qs, random_values(m, float(domain.lo), hi, own, plan.grid), strict=True), 1)]
             continue
         params += [(k, g, i, float(q)) for i, (k, q) in enumerate(zip(names, qs, strict=True), 1)]
-        windows += [(k, g, r - h, r + h, r) for k, r in zip(names, noisy, strict=True)]
+        for k, r in zip(names, noisy, strict=True):
+            upto = [e for _, e in ends.get(g, [])]
+            for b in range(bisect.bisect_left(upto, r - h), min(len(upto), bisect.bisect_left(upto, r + h) + 1)):
+                windows.append((k, g, ends[g][b][0], upto[b - 1] if b else 0, r - h, r + h, r))
         beyond += [(k, x - r + h + 1, hi) for k, r in zip(names, noisy, strict=True) for x in range(max(exact + 1, r - h), r + h + 1)]
     out = spark.createDataFrame(failed, f"{by} string, i int, q double, z double")
-    if not windows:
+    if not params:
         return out
-    frame = spark.createDataFrame(windows, f"i int, {by} string, lo bigint, hi bigint, r bigint")
-    upto = Window.partitionBy(by).orderBy("value").rowsBetween(Window.unboundedPreceding, 0)
-    placed = counted.withColumn("last", F.sum("rows").over(upto)).withColumn("first", F.col("last") - F.col("rows") + 1)
-    met = placed.join(F.broadcast(frame), by).where("first <= hi and last >= lo")
+    frame = spark.createDataFrame(windows, f"i int, {by} string, bucket int, before bigint, lo bigint, hi bigint, r bigint")
+    cells = frame.select(by, "bucket", "before").distinct()
+    upto = Window.partitionBy(by, "bucket").orderBy("value").rowsBetween(Window.unboundedPreceding, 0)
+    placed = counted.join(F.broadcast(cells), [by, "bucket"]).withColumn("last", F.col("before") + F.sum("rows").over(upto)).withColumn("first", F.col("last") - F.col("rows") + 1)
+    met = placed.drop("before").join(F.broadcast(frame.drop("before")), [by, "bucket"]).where("first <= hi and last >= lo")
     cut = met.select("i", F.col("value").alias("x"), F.explode(F.sequence(F.greatest("first", "lo"), F.least("last", "hi"))).alias("rank"), "r")
     slices = cut.select("i", (F.col("rank") - F.col("r") + h + 1).alias("pos"), "x")
     if beyond:

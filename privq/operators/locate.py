@@ -1,15 +1,17 @@
 """Exact order statistics around many ranks without a global sort.
 
 The domain is public, so equal-width buckets need no look at the data. Pass 1 counts them (partial aggregates, at most
-``BUCKETS`` rows reach the driver) and finds the bucket of every wanted rank. Buckets that hold more rows than ``cap``
-and more than one value are cut again within their own least and greatest value. The last pass reads only values of
-wanted cells, as runs (value, count), so a value that a third of all rows share is one row; runs are numbered inside a
-cell by a window and shifted by the cell's offset; copies are only made inside the wanted windows.
+``BUCKETS`` rows reach the driver) and finds the bucket of every wanted rank. Wanted cells that hold more rows than
+``cap`` and more than one value are cut again within their own least and greatest value, up to ``ROUNDS`` times, so that
+skewed values don't end in one task. The last pass reads only values of wanted cells, as runs (value, count), so a value
+that a third of all rows share is one row; runs are numbered inside a cell by a window and shifted by the cell's offset;
+copies are only made inside the wanted windows.
 """
 
 from __future__ import annotations
 
 import bisect
+import math
 from dataclasses import dataclass
 
 from pyspark.sql import Column, DataFrame, SparkSession, Window
@@ -21,6 +23,9 @@ from privq.sources.scratch import materialize
 BUCKETS = 1 << 14
 SUB_BUCKETS = 1 << 10
 CAP = 1 << 16
+ROUNDS = 3
+#: Distinct values that one part of a rank index should hold, and the most parts.
+PART_VALUES, MOST_PARTS = 1 << 14, 1 << 16
 
 
 def bucket(x: Column, domain: Domain, buckets: int = BUCKETS) -> Column:
@@ -31,8 +36,11 @@ def bucket(x: Column, domain: Domain, buckets: int = BUCKETS) -> Column:
 
 @dataclass(frozen=True)
 class Cell:
+    """Values lo..hi of a bucket: ``before`` rows are smaller, ``rows`` are inside."""
+
     bucket: int
-    sub: int
+    lo: float
+    hi: float
     before: int
     rows: int
 
@@ -42,10 +50,15 @@ def _histogram(values: DataFrame, domain: Domain, buckets: int) -> list:
     return cut.groupBy("bucket").agg(F.count(F.lit(1)).alias("rows"), F.min("value").alias("lo"), F.max("value").alias("hi")).collect()
 
 
-def _sub(buckets: int) -> Column:
-    """Part of a bucket by its own bounds s_lo, s_hi; -1 where the bucket isn't cut."""
-    at = F.floor((F.col("value") - F.col("s_lo")) * (buckets / (F.col("s_hi") - F.col("s_lo")))).cast("int")
-    return F.when(F.col("s_lo").isNull(), F.lit(-1)).otherwise(F.greatest(F.lit(0), F.least(F.lit(buckets - 1), at)))
+def _touched(cells: list[Cell], windows: list[tuple[int, int]]) -> list[Cell]:
+    """Cells that some window of ranks (1-based, inclusive) meets; cells are in order."""
+    ends, out = [c.before + c.rows for c in cells], set()
+    for lo, hi in windows:
+        k = bisect.bisect_left(ends, lo)
+        while k < len(cells) and cells[k].before < hi:
+            out.add(k)
+            k += 1
+    return [cells[k] for k in sorted(out)]
 
 
 class Index:
@@ -54,66 +67,45 @@ class Index:
     def __init__(self, values: DataFrame, domain: Domain, buckets: int = BUCKETS, cap: int = CAP):
         self.values, self.domain, self.buckets, self.cap = values, domain, buckets, cap
         self.spark: SparkSession = values.sparkSession
-        self.histogram = sorted(_histogram(values, domain, buckets), key=lambda r: r["bucket"])
-        self.ends, total = [], 0
-        for r in self.histogram:
+        self.cells, total = [], 0
+        for r in sorted(_histogram(values, domain, buckets), key=lambda r: r["bucket"]):
+            self.cells.append(Cell(r["bucket"], r["lo"], r["hi"], total, r["rows"]))
             total += r["rows"]
-            self.ends.append(total)
         self.n = total
 
-    def _touched(self, windows: list[tuple[int, int]], ends: list[int]) -> set[int]:
-        """Positions in ``ends`` of the parts that some window of ranks (1-based, inclusive) meets."""
-        out: set[int] = set()
-        for lo, hi in windows:
-            out.update(range(bisect.bisect_left(ends, max(1, lo)), bisect.bisect_left(ends, min(hi, ends[-1])) + 1))
-        return out
-
-    def _cells(self, windows: list[tuple[int, int]]) -> tuple[list[Cell], list[tuple[int, float, float]]]:
-        """Cells to read, and the buckets that are cut again with their bounds."""
-        touched = sorted(self._touched(windows, self.ends))
-        cells, cut = [], []
-        for k in touched:
-            r = self.histogram[k]
-            if r["rows"] > self.cap and r["lo"] < r["hi"]:
-                cut.append(k)
-            else:
-                cells.append(Cell(r["bucket"], -1, self.ends[k] - r["rows"], r["rows"]))
-        if not cut:
-            return cells, []
-        bounds = [(self.histogram[k]["bucket"], self.histogram[k]["lo"], self.histogram[k]["hi"]) for k in cut]
-        parts = self._inside(bounds).groupBy("bucket", "sub").agg(F.count(F.lit(1)).alias("rows")).collect()
-        by: dict[int, list] = {}
-        for p in parts:
-            by.setdefault(p["bucket"], []).append((p["sub"], p["rows"]))
-        for k in cut:
-            own, at, ends = sorted(by[self.histogram[k]["bucket"]]), self.ends[k] - self.histogram[k]["rows"], []
-            for _, rows in own:
-                at += rows
-                ends.append(at)
-            for j in self._touched([(max(lo, ends[0] - own[0][1] + 1), hi) for lo, hi in windows if hi > ends[0] - own[0][1] and lo <= ends[-1]], ends):
-                cells.append(Cell(self.histogram[k]["bucket"], own[j][0], ends[j] - own[j][1], own[j][1]))
-        return sorted(cells, key=lambda c: c.before), bounds
-
-    def _inside(self, bounds: list[tuple[int, float, float]]) -> DataFrame:
-        """Values with bucket and part, for the buckets that are cut again; the list is no longer than the windows'."""
-        frame = self.spark.createDataFrame(bounds, "bucket int, s_lo double, s_hi double")
-        cut = self.values.select(bucket(F.col("value"), self.domain, self.buckets).alias("bucket"), "value")
-        return cut.join(F.broadcast(frame), "bucket").select("bucket", _sub(SUB_BUCKETS).alias("sub"), "value")
-
-    def runs(self, windows: list[tuple[int, int]]) -> DataFrame:
-        """bucket, sub, value, first, last: runs of equal values with their ranks, for all cells the windows meet."""
-        cells, bounds = self._cells(windows)
-        wanted = self.spark.createDataFrame([(c.bucket, c.sub, c.before) for c in cells], "bucket int, sub int, before bigint")
-        plain = [c.bucket for c in cells if c.sub < 0]
-        picked = None
-        if plain:
-            picked = self.values.select(bucket(F.col("value"), self.domain, self.buckets).alias("bucket"), F.lit(-1).alias("sub"), "value").where(F.col("bucket").isin(plain))
-        if bounds:
-            picked = self._inside(bounds) if picked is None else picked.unionByName(self._inside(bounds))
-        counted = picked.groupBy("bucket", "sub", "value").agg(F.count(F.lit(1)).alias("rows")).join(F.broadcast(wanted), ["bucket", "sub"])
-        upto = Window.partitionBy("bucket", "sub").orderBy("value").rowsBetween(Window.unboundedPreceding, 0)
+    def wanted(self, windows: list[tuple[int, int]]) -> list[Cell]:
+        """Cells that the windows meet, none with more than ``cap`` rows unless that is one value or rounds are over."""
+        found = _touched(self.cells, windows)
+        for _ in range(ROUNDS):
+            large = [c for c in found if c.rows > self.cap and c.lo < c.hi]
+            if not large:
+                break
+            frame = self.spark.createDataFrame([(k, c.bucket, c.lo, c.hi) for k, c in enumerate(large)], "cell int, bucket int, lo double, hi double")
+            inside = self._inside(frame)
+            at = F.floor((F.col("value") - F.col("lo")) * (SUB_BUCKETS / (F.col("hi") - F.col("lo")))).cast("int")
+            sub = F.greatest(F.lit(0), F.least(F.lit(SUB_BUCKETS - 1), at)).alias("sub")
+            parts = inside.groupBy("cell", sub).agg(F.count(F.lit(1)).alias("rows"), F.min("value").alias("least"), F.max("value").alias("most")).collect()
+            cut: list[Cell] = [c for c in found if not (c.rows > self.cap and c.lo < c.hi)]
+            totals = [c.before for c in large]
+            for r in sorted(parts, key=lambda r: (r["cell"], r["sub"])):
+                cut.append(Cell(large[r["cell"]].bucket, r["least"], r["most"], totals[r["cell"]], r["rows"]))
+                totals[r["cell"]] += r["rows"]
+            found = _touched(sorted(cut, key=lambda c: c.before), windows)
+        return found
+
+    def _inside(self, cells: DataFrame) -> DataFrame:
+        """Values with the cell (bucket, lo, hi, ...) that they lie in; cells are no more than the windows meet."""
+        placed = self.values.select(bucket(F.col("value"), self.domain, self.buckets).alias("bucket"), "value")
+        return placed.join(F.broadcast(cells), "bucket").where("value >= lo and value <= hi")
+
+    def runs(self, windows: list[tuple[int, int]]) -> tuple[DataFrame, list[Cell]]:
+        """cell, value, first, last: runs of equal values with their ranks, for all cells the windows meet; the cells."""
+        cells = self.wanted(windows)
+        frame = self.spark.createDataFrame([(k, c.bucket, c.lo, c.hi, c.before) for k, c in enumerate(cells)], "cell int, bucket int, lo double, hi double, before bigint")
+        counted = self._inside(frame).groupBy("cell", "before", "value").agg(F.count(F.lit(1)).alias("rows"))
+        upto = Window.partitionBy("cell").orderBy("value").rowsBetween(Window.unboundedPreceding, 0)
         counted = counted.withColumn("last", F.col("before") + F.sum("rows").over(upto))
-        return counted.select("bucket", "sub", "value", (F.col("last") - F.col("rows") + 1).alias("first"), "last")
+        return counted.select("cell", "value", (F.col("last") - F.col("rows") + 1).alias("first"), "last"), cells
 
     def order_statistics(self, windows: list[tuple[int, int, int]]) -> DataFrame:
         """i, rank, x for windows (i, first rank, last rank); ranks outside 1..n are left out."""
@@ -121,22 +113,16 @@ class Index:
         windows = [w for w in windows if w[1] <= w[2]]
         if not windows or not self.n:
             return self.spark.createDataFrame([], "i int, rank bigint, x double")
-        runs = self.runs([(lo, hi) for _, lo, hi in windows])
-        cells, _ = self._cells_of(windows)
-        placed = self.spark.createDataFrame(cells, "bucket int, sub int, i int, lo bigint, hi bigint")
-        met = runs.join(F.broadcast(placed), ["bucket", "sub"]).where("first <= hi and last >= lo")
-        return met.select("i", F.explode(F.sequence(F.greatest("first", "lo"), F.least("last", "hi"))).alias("rank"), F.col("value").alias("x"))
-
-    def _cells_of(self, windows: list[tuple[int, int, int]]) -> tuple[list[tuple], None]:
-        cells, _ = self._cells([(lo, hi) for _, lo, hi in windows])
-        ends = [c.before + c.rows for c in cells]
-        out = []
+        runs, cells = self.runs([(lo, hi) for _, lo, hi in windows])
+        ends, placed = [c.before + c.rows for c in cells], []
         for i, lo, hi in windows:
             k = bisect.bisect_left(ends, lo)
             while k < len(cells) and cells[k].before < hi:
-                out.append((cells[k].bucket, cells[k].sub, i, lo, hi))
+                placed.append((k, i, lo, hi))
                 k += 1
-        return out, None
+        frame = self.spark.createDataFrame(placed, "cell int, i int, lo bigint, hi bigint")
+        met = runs.join(F.broadcast(frame), "cell").where("first <= hi and last >= lo")
+        return met.select("i", F.explode(F.sequence(F.greatest("first", "lo"), F.least("last", "hi"))).alias("rank"), F.col("value").alias("x"))
 
 
 def slices(index: Index, ranks: list[int], h: int) -> DataFrame:
@@ -160,19 +146,20 @@ def exact_quantiles(values: DataFrame, domain: Domain, qs: list[float]) -> DataF
 
 
 def build_index(values: DataFrame, domain: Domain, name: str = "rank-index") -> DataFrame:
-    """All runs of a column, stored: bucket, value, rows, upto (points up to the value), next (following value or hi).
+    """All runs of a column, stored: part, value, rows, upto (points up to the value), next (following value or hi).
 
-    One sort by range; used where a release reads the whole column several times. A first row at the lower bound
-    (rows 0, or its own count) opens the first interval.
+    One sort by range of the distinct values, in parts of about ``PART_VALUES``; used where a release reads the whole
+    column several times. A first row at the lower bound (rows 0, or its own count) opens the first interval.
     """
     spark = values.sparkSession
     start = spark.createDataFrame([(float(domain.lo), 0)], "value double, rows bigint")
-    counted = values.groupBy("value").agg(F.count(F.lit(1)).alias("rows")).unionByName(start).groupBy("value").agg(F.sum("rows").alias("rows"))
-    placed = materialize(counted.withColumn("bucket", bucket(F.col("value"), domain)), f"{name}-runs")
-    totals = placed.groupBy("bucket").agg(F.sum("rows").alias("total"), F.min("value").alias("least"))  # at most BUCKETS rows
-    by = Window.orderBy("bucket")
-    offsets = totals.select("bucket", F.coalesce(F.sum("total").over(by.rowsBetween(Window.unboundedPreceding, -1)), F.lit(0)).alias("before"), F.coalesce(F.lead("least").over(by), F.lit(float(domain.hi))).alias("beyond"))
-    inner = Window.partitionBy("bucket").orderBy("value")
-    joined = placed.join(F.broadcast(offsets), "bucket")
-    indexed = joined.select("bucket", "value", "rows", (F.col("before") + F.sum("rows").over(inner.rowsBetween(Window.unboundedPreceding, 0))).alias("upto"), F.coalesce(F.lead("value").over(inner), F.col("beyond")).alias("next"))
+    counted = materialize(values.groupBy("value").agg(F.count(F.lit(1)).alias("rows")).unionByName(start).groupBy("value").agg(F.sum("rows").alias("rows")), f"{name}-runs")
+    count = min(MOST_PARTS, math.ceil(counted.count() / PART_VALUES))
+    placed = materialize(counted.repartitionByRange(count, "value").withColumn("part", F.spark_partition_id()), f"{name}-parts")
+    totals = placed.groupBy("part").agg(F.sum("rows").alias("total"), F.min("value").alias("least"))  # at most MOST_PARTS rows
+    by = Window.orderBy("part")
+    offsets = totals.select("part", F.coalesce(F.sum("total").over(by.rowsBetween(Window.unboundedPreceding, -1)), F.lit(0)).alias("before"), F.coalesce(F.lead("least").over(by), F.lit(float(domain.hi))).alias("beyond"))
+    inner = Window.partitionBy("part").orderBy("value")
+    joined = placed.join(F.broadcast(offsets), "part")
+    indexed = joined.select("part", "value", "rows", (F.col("before") + F.sum("rows").over(inner.rowsBetween(Window.unboundedPreceding, 0))).alias("upto"), F.coalesce(F.lead("value").over(inner), F.col("beyond")).alias("next"))
     return materialize(indexed, name)

@@ -36,6 +36,8 @@ HTML = ("pages", "length(html)", Domain(0.0, 262144.0))
 COORDINATE = ("embeddings", "element_at(embedding, 1)", Domain(-1.0, 1.0, 1e-4))
 PROPS = ("events", "CAST(get_json_object(props, '$.k') AS DOUBLE)", Domain(0.0, 128.0))
 SIZE = ("part", "p_size", Domain(0.0, 64.0))
+#: The sweep of the experiments, and their runs a point.
+SWEEP, RUNS = list(range(10, 201, 10)), 200
 #: Expressions that DuckDB writes in another way.
 IN_DUCKDB = {
     SHIP_DAY[1]: "date_diff('day', DATE '1970-01-01', CAST(l_shipdate AS DATE))",
@@ -440,6 +442,30 @@ def _chernoff_sql() -> str:
     SELECT adjacency, m, arity, w, CAST(ceil(2 * ln(2 * m * 50000000.0::DOUBLE / 0.05::DOUBLE) / e2) AS INTEGER) AS h, round((2 * (w + CAST(ceil(2 * ln(2 * m * 50000000.0::DOUBLE / 0.05::DOUBLE) / e2) AS INTEGER)) + 2) / 500000.0::DOUBLE, 9) AS gap FROM w"""
 
 
+#: Rows and domain length of the published gap figures.
+GAP_ROWS, GAP_PSI = 500_000, 100.0 * 500_000
+
+
+def gap_sweep(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The gap that m even quantiles of 500,000 rows need at the best arity, and whether they have it."""
+    rows = []
+    for adjacency in accountant.ADJACENCIES:
+        for m in SWEEP:
+            p = accountant.plan(m, GAP_ROWS, GAP_PSI, 1.0, 1e-16, adjacency)
+            rows.append((adjacency, m, p.w, p.h, round(p.rank_gap / GAP_ROWS, 9), GAP_ROWS // (m + 1) >= p.rank_gap))
+    return spark.createDataFrame(rows, "adjacency string, m int, w int, h int, gap double, fits boolean")
+
+
+def _gap_sql() -> str:
+    listed = ", ".join(f"('{a}', {m}, {counting.levels(m, k)}, {counting.most_nodes(m, k)})" for a in accountant.ADJACENCIES for m in SWEEP for k in [2, *range(3, min(51, 2 * m + 3) + 1, 2)])
+    return f"""WITH c AS (SELECT *, CASE WHEN adjacency = 'substitute' THEN 0.25::DOUBLE ELSE 0.5::DOUBLE END AS e1, CASE WHEN adjacency = 'substitute' THEN 1 / 6.0::DOUBLE ELSE 0.25::DOUBLE END AS e2 FROM (VALUES {listed}) AS t(adjacency, m, depth, most)),
+    d AS (SELECT *, e1 / depth AS e, CASE WHEN adjacency = 'substitute' THEN 1e-16::DOUBLE / (1 + exp(e1 + 2 * e2)) ELSE 1e-16::DOUBLE END AS dc FROM c),
+    l AS (SELECT *, k / {tails.EXPONENTS}.0::DOUBLE * e AS x, exp(-e) AS a FROM d, range(1, {tails.EXPONENTS}) AS r(k)),
+    w AS (SELECT adjacency, m, any_value(e2) AS e2, CAST(ceil(min((most * (2 * ln(1 - a) - ln(1 - a * exp(x)) - ln(1 - a * exp(-x))) + ln(2 * m) - ln(dc)) / x)) AS INTEGER) AS w FROM l GROUP BY adjacency, m),
+    h AS (SELECT *, CAST(ceil(2 * ln(2 * m * {GAP_PSI!r}::DOUBLE / 0.05::DOUBLE) / e2) AS INTEGER) AS h FROM w)
+    SELECT adjacency, m, w, h, round((2 * (w + h) + 2) / {GAP_ROWS}.0::DOUBLE, 9) AS gap, {GAP_ROWS} // (m + 1) >= 2 * (w + h) + 2 AS fits FROM h"""
+
+
 def bounds_table(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Shapes of this mechanism's and the rivals' errors, lower bounds and the threshold regime, over m and delta."""
     rows = []
@@ -729,9 +755,6 @@ def workload(name: str | list[str], settings: Callable[[], list[experiments.Sett
     return run
 
 
-#: The sweep of the experiments, and their runs a point.
-SWEEP, RUNS = list(range(10, 201, 10)), 200
-
 WORKLOADS = {
     "w1_age_substitute": ("age", lambda: experiments.sweep_m("substitute", SWEEP), RUNS),
     "w2_hours_substitute": ("hours", lambda: experiments.sweep_m("substitute", SWEEP), RUNS),
@@ -797,6 +820,7 @@ def _pairs() -> dict[str, tuple[Query, str | None]]:
         "failure_rate": (failure_rate, f"SELECT method, avg(CAST(failed AS INTEGER)) AS failure_rate FROM {_TRIALS_SQL} GROUP BY method"),
         "w_closed_sweep": (w_closed_sweep, SWEEP_SQL),
         "w_chernoff_grid": (w_chernoff_grid, _chernoff_sql()),
+        "gap_sweep": (gap_sweep, _gap_sql()),
         "bounds_table": (bounds_table, BOUNDS_SQL),
         "pure_worked_example": (pure_worked_example, PURE_EXAMPLE_SQL),
         "replicate_x12": (replicate_x12, f"WITH {_cte(QUANTITY)} SELECT value, count(*) * 12 AS rows FROM v GROUP BY value"),

@@ -216,6 +216,54 @@ def test_trials_run_in_parallel(spark):
     assert set(means) == set(experiments.METHODS) and all(v < 600 for v in means.values())
 
 
+def test_trials_from_windows_equal_those_from_all_rows(spark):
+    d = Domain(0.0, 100.0)
+    values = frame(spark, np.round(np.random.default_rng(4).normal(40, 12, 30_000), 1).clip(0, 100))
+    whole = experiments.read_column(values, d, least=1).points(True)
+    parts = experiments.read_column(values, d, least=1, most=10, reach=700)
+    assert [w[0] for w in parts.windows] == [lo for lo, _ in experiments.grid_windows(30_000, 700)]
+    near = experiments.read_column(values, d, least=1, most=10, reach=40).points(True)
+    assert len(near.starts) > 50 and whole.n == near.n
+    for r in (np.array([120, 239, 14_945]), np.array([29_870])):
+        assert (whole.around(r, 30, 30) == near.around(r, 30, 30)).all()
+    with pytest.raises(IndexError):
+        near.around(np.array([180]), 30, 30)
+    for method in experiments.METHODS:
+        s = experiments.Setting(method, "add_remove", 5)
+        qs = ranks.even_quantiles(5)
+        a, b = (experiments.one_trial(np.random.default_rng(1), x, qs, s, d)[0] for x in (whole, parts.points(True)))
+        assert (a == b).all() and (local.rank_errors(whole, qs, a) == local.rank_errors(parts.points(True), qs, b)).all()
+
+
+def test_refused_trials_are_recorded(spark):
+    d = Domain(0.0, 100.0)
+    made = experiments.run(spark, frame(spark, np.arange(2000) / 20), d, experiments.sweep_m("add_remove", [3, 60]), 2, least=1)
+    rows = made.collect()
+    assert len(rows) == 12 and {(r["method"], r["refused"]) for r in rows if r["m"] == 60} == {("slices", True), ("bisection_pure", False), ("bisection_zcdp", False)}
+    assert all((r["max_error"] is None) == r["refused"] for r in rows)
+    means = experiments.summary(made, reps=20).collect()
+    assert all(r["trials"] is None and r["refused"] == (2 if r["method"] == "slices" else 0) for r in means if r["m"] == 60)
+
+
+def test_bisection_reads_parts_near_its_targets(spark):
+    index = locate.build_index(frame(spark, np.arange(200_000) / 2000), DOMAIN)
+    parts = bisection.Parts.of(index)
+    assert len(parts.rows) > 5 and parts.n == 200_000
+    read = parts.for_node(0.0, 100.0, 100_000, 1.0)
+    assert 0 < len(read) < len(parts.rows) and any(r[0] in read and r[3] <= 100_000 <= r[4] for r in parts.rows)
+    plan = bisection.select_over_index(index, parts, [(1, 0.0, 100.0, 100_000)], 1.0, "k")._jdf.queryExecution().executedPlan().toString()
+    assert "NestedLoop" not in plan and "SinglePartition" not in plan
+
+
+def test_skewed_cells_are_cut_until_they_are_small(spark):
+    x = np.concatenate([np.random.default_rng(5).random(4000) * 1e-6, [99.0]])
+    index = locate.Index(frame(spark, x), DOMAIN, buckets=64, cap=100)
+    cells = index.wanted([(2000, 2010)])
+    assert all(c.rows <= 100 for c in cells) and sum(c.rows for c in cells) < 400
+    got = {r["rank"]: r["x"] for r in index.order_statistics([(1, 2000, 2010)]).collect()}
+    assert got == {k: v for k, v in enumerate(np.sort(x)[1999:2010].tolist(), 2000)}
+
+
 def test_sql_entry_points(spark):
     g = np.random.default_rng(4)
     sqlapi.register(spark, {"points": spark.createDataFrame([("a", float(v)) for v in g.random(5000) * 100], "grp string, value double")})

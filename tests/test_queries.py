@@ -56,4 +56,11 @@ def test_workloads_are_whole(spark):
     assert {queries.WORKLOADS[w][2] for w in ("w8_histogram", "w10_budget_split", "w13_headline")} == {200}
     columns, settings, _ = queries.WORKLOADS["w8_histogram"]
     rows = queries.workload(columns, settings, 2)(spark, "/root/testdata/sf0.001").collect()
-    assert len(rows) == 20 and {r["column"] for r in rows} == set(columns)
+    assert len(rows) == 35 and {r["column"] for r in rows} == set(columns) and all(r["ci_low"] <= r["mean_max_error"] <= r["ci_high"] for r in rows)
+
+
+def test_headline_at_a_small_scale(spark):
+    """m = 200 under substitution: the slices win, the approximate rival is last, the factor is near 2."""
+    rows = queries.workload("age", lambda: queries.experiments.sweep_m("substitute", [200]), 6)(spark, SF).collect()
+    means = {r["method"]: r["mean_max_error"] for r in rows}
+    assert means["slices"] * 1.4 < means["bisection_pure"] < means["bisection_zcdp"] and all(r["refused"] == 0 for r in rows)
