@@ -1,25 +1,32 @@
 """N-gram Jaccard join: documents whose sets of five-word shingles have a Jaccard similarity of 0.8 or more.
 
-Equal sets are one node (a 64-bit digest of the sorted set; the odds that two different sets among N share one are
-N*N / 2**65). Any two sets that link share a shingle among the first ``n - ceil(0.8 n) + 1`` of each in one common
-order, so nodes meet in tiles of such a shingle. The order puts shingles that recur within a batch last, by how often:
-they are found first, and there are at most ``MOST_COMMON`` of them. Any order is right; this one keeps tiles small.
-
-* Rare shingles: rows are packed by hash range, and a task makes a tile's pairs whose sizes are within a band of 0.8
-  and whose remaining shingles could still reach the overlap.
-* Common shingles: rows are first joined with one leader a size band (the least node), these pairs are verified, and
-  what is linked is one component. Then the tile is cut into blocks of about ``BLOCK_ROWS`` and pairs of blocks are
-  compared by their bitmaps in one numpy step a size; only pairs of different components that the bitmaps can't rule
-  out leave the task. So a large group of near copies costs a pair a member, and components are whole. Pairs inside a
-  component are not all tested that way; ``Join.links`` tests those too and gives every link.
-
-A pair is tested in two steps. Hashed bitmaps of 4096 bits: half of the differing bits can't be shared, which bounds
-the overlap from above. What is left is decided by intersecting both sorted shingle arrays exactly. Nodes linked by
-tested pairs form components (alternating star contraction), and a component's id is its least document id.
+Texts are shingled once; set size, a digest of 128 bits, a hashed bitmap and the sorted shingles are stored. Equal
+digests are one set (two different sets among N share one with odds N*N / 2**129). Candidates are named by the first
+half of the digest; a half that two sets share only causes additional tests.
+
+Any two sets that link share a shingle among the first ``n - ceil(0.8 n) + 1`` of each in one common order. The order
+puts last the shingles that recurred within a task's batches, by how often; it keeps tiles small, and any order is
+right, so it may hold the ``MOST_ORDERED`` most frequent ones only. Prefix rows (shingle, node, size, place) are dealt by
+shingle. Rows of a shingle known to be frequent are spread, as they pass through; a shingle that isn't among them holds
+less than one row in ``MOST_ORDERED``, so no task gets a hot key.
+
+* A tile of up to ``HOT_FROM`` sets makes its pairs whose sizes are within a band of 0.8 and whose remaining shingles
+  could still reach the overlap.
+* Larger tiles are cut by size band. Every set first meets the leader that it shares most tiles with; what these pairs
+  link becomes one component. Then a tile's rows are those of its most frequent component and the others,
+  each cut into blocks of about ``BLOCK_ROWS``; pairs of blocks of the same or neighbouring bands are compared by their
+  bitmaps, unless both are of that component. Of the pairs that these don't rule out a round tests each component's
+  nearest few; components grow, and rounds go on with ever more pairs until none was left out. So a group of near copies
+  costs a few tests a member. Pairs of one component are not tested; ``Join.links`` tests those too and gives every link.
+
+A pair is tested in two steps. Hashed bitmaps of at least four bits a shingle (at most 4096): every differing bit is a
+shingle that is not shared, which bounds the overlap from above. What is left is decided by intersecting both sorted
+shingle arrays exactly. Linked sets form components (alternating star contraction), and a component's id is its least
+document id.
 
 Null and empty texts, and texts of white space only, have no shingles and link with nothing. Texts of fewer than five
-words are one shingle. Repeated rows share a node. Nothing that grows with the documents reaches the driver: only the
-common shingles and a bit set of fixed size do, which spares reading arrays of nodes that are in no pair.
+words have one. Repeated rows are equal sets. A row without id belongs to a component, but never names it. Extra
+columns are never read.
 """
 
 from __future__ import annotations
@@ -28,27 +35,35 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from privq.llm.common import table, text_or_empty
-from privq.sources.scratch import materialize
+from privq.llm.common import small_batches, table, text_or_empty, tidy
+from privq.sources.scratch import Scratch, materialize
 
 WORDS = 5
-MOST_COMMON = 200_000
+#: Frequent shingles that the common order puts last.
+MOST_ORDERED = 200_000
 COMMON_FROM = 2
-HOT_FROM = 64
+#: Sets of a tile from which it goes through leaders and blocks.
+HOT_FROM = 32
+#: Least common shingles of a set that tell which one of its tiles is responsible for a pair.
+FIRST_SHINGLES = 16
 #: Shingles among which recurrence is counted at a time.
-RECUR_AMONG = 2_000_000
-SLICE_BYTES = 2_000_000
+RECUR_AMONG = 1_000_000
+#: Bytes of texts that are shingled at a time.
+SLICE_BYTES = 500_000
+#: Longest bitmap, in words of 64 bits.
 BITMAP_WORDS = 64
-#: Words of a bitmap that a block compares for all pairs; the rest is for the pairs that these leave.
-FIRST_WORDS = 16
-SIEVE_BITS = 22
-#: Rows of a common shingle's tile that one block holds.
-BLOCK_ROWS = 1024
-#: Rows of rare shingles that a tile task should get.
+#: Bits of the set of wanted nodes: eight a node, up to this power of two.
+MOST_SIEVE_BITS = 26
+BLOCK_ROWS = 512
+#: Rows of prefix shingles that a tile task should get, and rows of blocks.
 TILE_ROWS = 150_000
+DEALT_ROWS = 20_000
+#: Pairs of a component that a pair of blocks may name in the first round, and how much more in each next one.
+FIRST_NEAREST, MORE_NEAREST = 1, 64
 
 _SPACES = np.zeros(256, bool)
 _SPACES[[0x20, *range(0x09, 0x0E)]] = True
@@ -59,6 +74,7 @@ _BYTE_CODE = _rng.integers(0, 1 << 63, 256, dtype=np.uint64)[_LOWER] * np.uint64
 _PLACE_CODE = _rng.integers(0, 1 << 63, WORDS, dtype=np.uint64) * np.uint64(2) + np.uint64(1)
 _BASE = np.uint64(0x9E3779B97F4A7C15)
 _BACK = np.uint64(pow(int(_BASE), -1, 1 << 64))
+_SECOND = np.uint64(0xD6E8FEB86659FD93)
 
 
 def _mix(x: np.ndarray) -> np.ndarray:
@@ -68,7 +84,7 @@ def _mix(x: np.ndarray) -> np.ndarray:
 
 
 class Shingler:
-    """Distinct shingle hashes of texts, from the bytes of an Arrow column at once."""
+    """Distinct shingle hashes of texts, from the bytes of an Arrow column, in slices of bounded size."""
 
     def __init__(self) -> None:
         self.up, self.back = np.ones(1, np.uint64), np.ones(1, np.uint64)
@@ -79,23 +95,41 @@ class Shingler:
             self.up = np.cumprod(np.concatenate([[np.uint64(1)], np.full(n, _BASE)]))
             self.back = np.cumprod(np.concatenate([[np.uint64(1)], np.full(n, _BACK)]))
 
-    def sets(self, data: np.ndarray, offsets: np.ndarray) -> list[np.ndarray]:
-        """Sorted distinct hashes of each text; text k is ``data[offsets[k]:offsets[k + 1]]``."""
-        n, count = len(data), len(offsets) - 1
-        empty = np.zeros(0, np.uint64)
+    def words(self, data: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """Hashes of all words, and the first word of each text; text k is ``data[offsets[k]:offsets[k + 1]]``."""
+        n = len(data)
         if not n:
-            return [empty] * count
+            return np.zeros(0, np.uint64), np.zeros(len(offsets), np.int64)
         self._powers(n)
         solid = ~_SPACES[data]
         border = np.zeros(n + 1, bool)
         border[offsets] = True
         starts = np.flatnonzero(solid & (border[:-1] | np.concatenate([[True], ~solid[:-1]])))
         ends = np.flatnonzero(solid & (border[1:] | np.concatenate([~solid[1:], [True]]))) + 1
-        if not len(starts):
-            return [empty] * count
-        total = np.concatenate([[np.uint64(0)], np.cumsum(_BYTE_CODE[data] * self.up[:n])])
+        total = np.empty(n + 1, np.uint64)
+        total[0] = 0
+        np.cumsum(_BYTE_CODE[data] * self.up[:n], out=total[1:])
         words = _mix((total[ends] - total[starts]) * self.back[starts] + (ends - starts).astype(np.uint64))
-        first = np.searchsorted(starts, offsets)
+        return words, np.searchsorted(starts, offsets)
+
+    def long_words(self, data: np.ndarray) -> np.ndarray:
+        """Word hashes of one long text, from pieces that end at white space."""
+        found, lo = [], 0
+        while lo < len(data):
+            hi, step = min(len(data), lo + SLICE_BYTES), SLICE_BYTES
+            while hi < len(data):
+                gaps = np.flatnonzero(_SPACES[data[hi - step : hi]])
+                if len(gaps):
+                    hi = hi - step + int(gaps[-1]) + 1
+                    break
+                hi = min(len(data), hi + step)
+            found.append(self.words(data[lo:hi], np.array([0, hi - lo]))[0])
+            lo = hi
+        return np.concatenate([*found, np.zeros(0, np.uint64)])
+
+    @staticmethod
+    def shingles(words: np.ndarray, first: np.ndarray) -> list[np.ndarray]:
+        """Sorted distinct shingle hashes of each text."""
         whole = np.zeros(max(0, len(words) - WORDS + 1), np.uint64)
         for k in range(WORDS):
             whole += words[k : k + len(whole)] * _PLACE_CODE[k]
@@ -109,9 +143,14 @@ class Shingler:
                 short = (words[lo:hi] * _PLACE_CODE[: hi - lo]).sum(dtype=np.uint64) + np.uint64(hi - lo)
                 out.append(_mix(np.array([short], np.uint64)))
             else:
-                out.append(empty)
+                out.append(np.zeros(0, np.uint64))
         return out
 
+    def sets_of(self, data: np.ndarray) -> np.ndarray:
+        """Sorted distinct shingle hashes of one text."""
+        words = self.long_words(data)
+        return self.shingles(words, np.array([0, len(words)]))[0]
+
     def batch(self, texts: pa.Array) -> Iterator[tuple[int, list[np.ndarray]]]:
         """First row and sets of slices of about ``SLICE_BYTES``, or of one longer text."""
         texts = texts.cast(pa.large_binary())
@@ -121,50 +160,86 @@ class Shingler:
         while lo < len(texts):
             hi = max(lo + 1, int(np.searchsorted(offsets, offsets[lo] + SLICE_BYTES, "right")) - 1)
             hi = min(hi, len(texts))
-            yield lo, self.sets(data[offsets[lo] : offsets[hi]], offsets[lo : hi + 1] - offsets[lo])
+            if hi == lo + 1 and offsets[hi] - offsets[lo] > SLICE_BYTES:
+                yield lo, [self.sets_of(data[offsets[lo] : offsets[hi]])]
+            else:
+                yield lo, self.shingles(*self.words(data[offsets[lo] : offsets[hi]], offsets[lo : hi + 1] - offsets[lo]))
             lo = hi
 
 
-def node_of(own: np.ndarray) -> int:
-    """Digest of a set, as a signed 64-bit number."""
-    return int(_mix(np.array([_mix(own * _BASE).sum(dtype=np.uint64) + np.uint64(len(own))], np.uint64)).view(np.int64)[0])
+def digest(own: np.ndarray) -> tuple[int, int]:
+    """Both halves of a set's digest, as signed 64-bit numbers."""
+    n = np.uint64(len(own))
+    halves = np.array([_mix(own * _BASE).sum(dtype=np.uint64) + n, _mix((own ^ _SECOND) * _BACK).sum(dtype=np.uint64) ^ n], np.uint64)
+    node, more = _mix(halves).view(np.int64).tolist()
+    return node, more
 
 
 def prefix_length(n: int) -> int:
     return n - (4 * n + 4) // 5 + 1
 
 
-def _profile_batches(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """Rows of documents (id, size, node), and rows of shingles that recur within some sets (hash, times)."""
-    names = ["doc_id", "n", "node", "is_shingle"]
-    shingler = Shingler()
+def bitmap(own: np.ndarray) -> bytes:
+    """Hashed bitmap of a set: a power of two of words, with at least four bits a shingle while the longest allows."""
+    words = min(BITMAP_WORDS, 1 << max(0, (-(-len(own) // 16) - 1).bit_length()))
+    line = np.zeros(words * 64, np.uint8)
+    line[(own >> np.uint64(40)) & np.uint64(words * 64 - 1)] = 1
+    return np.packbits(line, bitorder="little").tobytes()
+
+
+def fold(maps: list[bytes]) -> np.ndarray:
+    """Bitmaps as rows of words, longer ones folded to the shortest."""
+    words = min(len(m) for m in maps) // 8
+    if all(len(m) == 8 * words for m in maps):
+        return np.frombuffer(b"".join(maps), np.uint64).reshape(len(maps), words)
+    out = np.empty((len(maps), words), np.uint64)
+    for k, m in enumerate(maps):
+        out[k] = np.bitwise_or.reduce(np.frombuffer(m, np.uint64).reshape(-1, words), axis=0)
+    return out
+
+
+SETS = "doc_id bigint, n bigint, node bigint, more bigint, row bigint, bits binary, shingles binary, is_shingle boolean"
+_SETS = pa.schema([("doc_id", pa.int64()), ("n", pa.int64()), ("node", pa.int64()), ("more", pa.int64()), ("row", pa.int64()), ("bits", pa.binary()), ("shingles", pa.binary()), ("is_shingle", pa.bool_())])
+
+
+def _set_batches(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Rows of documents, with bitmap and shingles at the first of equal sets among some, and rows of shingles that recur
+    within these (hash, times). ``row`` is a mixed number of the row, one to one."""
+    shingler, context = Shingler(), TaskContext.get()
+    count = (context.partitionId() if context else 0) << 33
+    seen: set[tuple[int, int]] = set()
+    fresh, held = [], 0
     for batch in batches:
-        nodes, sizes, fresh = [], [], []
-        seen: set[int] = set()
-        held = 0
-        found = []
-        for _, sets in shingler.batch(batch.column(1)):
+        ids = batch.column(0)
+        for at, sets in shingler.batch(batch.column(1)):
+            nodes, more, bits, arrays = [], [], [], []
             for own in sets:
-                node = node_of(own)
-                nodes.append(node)
-                sizes.append(len(own))
-                if node not in seen:
-                    seen.add(node)
+                name = digest(own)
+                new = len(own) > 0 and name not in seen
+                nodes.append(name[0])
+                more.append(name[1])
+                bits.append(bitmap(own) if new else None)
+                arrays.append(own.tobytes() if new else None)
+                if new:
+                    seen.add(name)
                     fresh.append(own)
                     held += len(own)
+            sizes = [len(own) for own in sets]
+            rows = _mix(np.arange(count, count + len(sets), dtype=np.uint64)).view(np.int64)
+            count += len(sets)
+            yield pa.RecordBatch.from_arrays([ids.slice(at, len(sets)), pa.array(sizes, pa.int64()), pa.array(nodes, pa.int64()), pa.array(more, pa.int64()), pa.array(rows), pa.array(bits, pa.binary()), pa.array(arrays, pa.binary()), pa.array([False] * len(sets))], schema=_SETS)
             if held >= RECUR_AMONG:
-                found.append(_recurring(fresh))
-                fresh, held = [], 0
-        found.append(_recurring(fresh))
-        yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(sizes, pa.int64()), pa.array(nodes, pa.int64()), pa.array([False] * len(nodes), pa.bool_())], names)
-        values, times = (np.concatenate(x) for x in zip(*found, strict=True))
-        yield pa.RecordBatch.from_arrays([pa.nulls(len(values), batch.column(0).type), pa.array(times.astype(np.int64)), pa.array(values.view(np.int64)), pa.array(np.ones(len(values), bool))], names)
+                yield _recurring(fresh)
+                fresh, held, seen = [], 0, set()
+    yield _recurring(fresh)
 
 
-def _recurring(sets: list[np.ndarray]) -> tuple[np.ndarray, np.ndarray]:
+def _recurring(sets: list[np.ndarray]) -> pa.RecordBatch:
     values, times = np.unique(np.concatenate([*sets, np.zeros(0, np.uint64)]), return_counts=True)
     often = times >= COMMON_FROM
-    return values[often], times[often]
+    values, times = values[often].view(np.int64), times[often].astype(np.int64)
+    columns = {"n": pa.array(times), "node": pa.array(values), "is_shingle": pa.array(np.ones(len(values), bool))}
+    return pa.RecordBatch.from_arrays([columns.get(f.name, pa.nulls(len(values), f.type)) for f in _SETS], schema=_SETS)
 
 
 class Order:
@@ -178,7 +253,7 @@ class Order:
         self.sieve[(values >> np.uint64(44)).astype(np.int64)] = True
 
     def prefix(self, own: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-        """First shingles of a set in this order, and which of them are common enough for a leader."""
+        """First shingles of a set in this order, and which of them are known to be frequent."""
         p = prefix_length(len(own))
         maybe = np.flatnonzero(self.sieve[(own >> np.uint64(44)).astype(np.int64)]) if len(self.values) else np.zeros(0, np.int64)
         if len(maybe):
@@ -192,127 +267,47 @@ class Order:
         return own[:p], np.zeros(p, bool)
 
 
-_ROWS = np.dtype([("shingle", "<u8"), ("node", "<i8"), ("n", "<i4"), ("at", "<i4")])
-
-
-def _bitmap(own: np.ndarray) -> np.ndarray:
-    line = np.zeros(BITMAP_WORDS * 64, np.uint8)
-    line[(own >> np.uint64(40)).astype(np.int64) % len(line)] = 1
-    return np.packbits(line).view(np.int64)
+#: ``size`` holds the set's size and the shingle's place (31 bits each), and is negative for frequent shingles.
+PREFIX = "shingle bigint, node bigint, size bigint"
 
 
-def _rare_batches(order: Order, buckets: int):
-    """Packed rows of rare prefix shingles by bucket."""
+def _prefix_batches(order: Order):
+    """Prefix rows of sets, from their stored arrays."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        shingler, width = Shingler(), -(-(1 << 64) // buckets)
+        names = ["shingle", "node", "size"]
         for batch in batches:
-            seen: set[int] = set()
-            parts = []
-            for _, sets in shingler.batch(batch.column(0)):
-                for own in sets:
-                    if not len(own) or (node := node_of(own)) in seen:
-                        continue
-                    seen.add(node)
-                    first, hot = order.prefix(own)
-                    rows = np.empty(len(first), _ROWS)
-                    rows["shingle"], rows["node"], rows["n"], rows["at"] = first, node, len(own), np.arange(len(first))
-                    parts.append(rows[~hot] if hot.any() else rows)
-            rows = np.concatenate(parts) if parts else np.empty(0, _ROWS)
-            bucket = (rows["shingle"] // np.uint64(width)).astype(np.int64)
-            by = np.argsort(bucket, kind="stable")
-            rows, bucket = rows[by], bucket[by]
-            cuts = np.flatnonzero(np.concatenate([[True], bucket[1:] != bucket[:-1]])) if len(rows) else np.zeros(0, np.int64)
-            blobs = [rows[a:b].tobytes() for a, b in zip(cuts, [*cuts[1:], len(rows)], strict=False)]
-            yield pa.RecordBatch.from_arrays([pa.array(bucket[cuts].astype(np.int32)), pa.array(blobs, pa.binary())], ["bucket", "rows"])
+            parts, held = [], 0
+            for node, blob in zip(batch.column(0).to_pylist(), batch.column(1), strict=True):
+                own = np.frombuffer(blob.as_buffer(), np.uint64)
+                first, hot = order.prefix(own)
+                parts.append((first.view(np.int64), node, len(own), hot))
+                held += len(first)
+                if held >= 50_000:
+                    yield pa.RecordBatch.from_arrays(_prefix_rows(parts), names)
+                    parts, held = [], 0
+            if parts:
+                yield pa.RecordBatch.from_arrays(_prefix_rows(parts), names)
 
     return run
 
 
-def _hot_batches(order: Order):
-    """Rows of common prefix shingles with their sets' bitmaps."""
+def _prefix_rows(parts: list[tuple]) -> list[pa.Array]:
+    counts = [len(p[0]) for p in parts]
+    at = np.concatenate([np.arange(c) for c in counts])
+    nodes, sizes = np.array([p[1] for p in parts], np.int64), np.array([p[2] for p in parts], np.int64)
+    size = np.repeat(sizes, counts) << 31 | at
+    return [pa.array(x) for x in (np.concatenate([p[0] for p in parts]), np.repeat(nodes, counts), np.where(np.concatenate([p[3] for p in parts]), -size, size))]
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        shingler = Shingler()
-        for batch in batches:
-            seen: set[int] = set()
-            for _, sets in shingler.batch(batch.column(0)):
-                shingles, nodes, sizes, maps, others = [], [], [], [], []
-                for own in sets:
-                    if not len(own):
-                        continue
-                    first, hot = order.prefix(own)
-                    if not hot.any() or (node := node_of(own)) in seen:
-                        continue
-                    seen.add(node)
-                    common = first[hot].view(np.int64)
-                    k = len(common)
-                    shingles += common.tolist()
-                    nodes += [node] * k
-                    sizes += [len(own)] * k
-                    maps += [_bitmap(own).tobytes()] * k
-                    others += [np.sort(common).tobytes()] * k
-                yield pa.RecordBatch.from_arrays([pa.array(shingles, pa.int64()), pa.array(nodes, pa.int64()), pa.array(sizes, pa.int32()), pa.array(maps, pa.binary()), pa.array(others, pa.binary())], ["shingle", "node", "n", "bitmap", "others"])
 
-    return run
-
-
-def bitmap_pairs(left: np.ndarray, right: np.ndarray, n: np.ndarray, m: np.ndarray, apart: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """Rows of left and right that are ``apart`` and could link: sizes within the band, half of the differing bits off."""
-    total = n[:, None].astype(np.int64) + m[None, :]
-    good = apart & (5 * np.minimum(n[:, None], m[None, :]) >= 4 * np.maximum(n[:, None], m[None, :]))
-    differ = np.zeros(good.shape, np.int32)
-    for k in range(FIRST_WORDS):
-        differ += np.bitwise_count(left[:, k, None] ^ right[None, :, k])
-    x, y = np.nonzero(good & (9 * (total - differ) >= 8 * total))
-    all_bits = np.bitwise_count(left[x] ^ right[y]).sum(axis=1, dtype=np.int64)
-    could = 9 * (total[x, y] - all_bits) >= 8 * total[x, y]
-    return x[could], y[could]
+_ROWS = np.dtype([("shingle", "<i8"), ("node", "<i8"), ("n", "<i4"), ("at", "<i4")])
 
 
-def _block_batches(every: bool):
-    """Pairs of nodes from blocks i <= j of a shingle's tile, each at the least shingle that both have.
+def tile_pairs(rows: np.ndarray) -> np.ndarray:
+    """Pairs of nodes that share a shingle, are within the size band and could still overlap enough.
 
-    Columns: shingle, i, j, own, node, root, n, bitmap, others. Without ``every``, pairs of one root are left out.
+    ``rows`` are sorted by shingle and size, without repeats.
     """
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        held = [b for b in batches if b.num_rows]
-        if not held:
-            return
-        rows = pa.Table.from_batches(held)
-        shingle, i, j, own, node, root, n = (rows.column(k).to_numpy() for k in range(7))
-        bits = np.frombuffer(b"".join(rows.column(7).to_pylist()), np.uint64).reshape(-1, BITMAP_WORDS)
-        others = [np.frombuffer(x, np.int64) for x in rows.column(8).to_pylist()]
-        order = np.lexsort((n, own, j, i, shingle))
-        new = np.concatenate([[True], (np.diff(shingle[order]) != 0) | (np.diff(i[order]) != 0) | (np.diff(j[order]) != 0)])
-        cuts = [*np.flatnonzero(new).tolist(), len(order)]
-        for lo, hi in zip(cuts[:-1], cuts[1:], strict=True):
-            tile = order[lo:hi]
-            first = tile[own[tile] == i[tile[0]]]
-            second = tile[own[tile] == j[tile[0]]]
-            if not every and len(np.unique(root[tile])) < 2:
-                continue
-            for at in range(0, len(first), 256):
-                part = first[at : at + 256]
-                apart = np.ones((len(part), len(second)), bool) if every else root[part][:, None] != root[second][None, :]
-                if i[tile[0]] == j[tile[0]]:
-                    apart &= node[part][:, None] < node[second][None, :]
-                x, y = bitmap_pairs(bits[part], bits[second], n[part], n[second], apart)
-                p, q = part[x], second[y]
-                least = np.array([np.intersect1d(others[u], others[v], assume_unique=True)[0] == shingle[u] for u, v in zip(p.tolist(), q.tolist(), strict=True)], bool)
-                p, q = node[p[least]], node[q[least]]
-                yield pa.RecordBatch.from_arrays([pa.array(np.minimum(p, q)), pa.array(np.maximum(p, q))], ["a", "b"])
-
-    return run
-
-
-def tile_pairs(rows: np.ndarray) -> np.ndarray:
-    """Pairs of nodes that share a shingle, are within the size band and could still overlap enough."""
-    rows = rows[np.lexsort((rows["node"], rows["n"], rows["shingle"]))]
-    if len(rows) > 1:
-        again = (rows["shingle"][1:] == rows["shingle"][:-1]) & (rows["node"][1:] == rows["node"][:-1])
-        rows = rows[np.concatenate([[True], ~again])]
     found = []
     left = np.arange(len(rows))
     step = 1
@@ -320,44 +315,192 @@ def tile_pairs(rows: np.ndarray) -> np.ndarray:
         left = left[left + step < len(rows)]
         right = left + step
         n, m = rows["n"][left].astype(np.int64), rows["n"][right].astype(np.int64)
-        near = (rows["shingle"][left] == rows["shingle"][right]) & (5 * n >= 4 * m)  # sorted by size: m >= n
+        near = (rows["shingle"][left] == rows["shingle"][right]) & (5 * n >= 4 * m)  # m >= n
         left, right, n, m = left[near], right[near], n[near], m[near]
-        room = 1 + np.minimum(n - rows["at"][left], m - rows["at"][right]) - 1
+        room = np.minimum(n - rows["at"][left], m - rows["at"][right])
         good = 9 * room >= 4 * (n + m)
         a, b = rows["node"][left[good]], rows["node"][right[good]]
         if len(a):
-            found.append(np.unique(np.stack([np.minimum(a, b), np.maximum(a, b)], axis=1), axis=0))
+            found.append(np.stack([np.minimum(a, b), np.maximum(a, b)], axis=1))
         step += 1
     return np.unique(np.concatenate(found), axis=0) if found else np.zeros((0, 2), np.int64)
 
 
-def _tile_batches(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    blobs = [x.as_buffer().to_pybytes() for batch in batches for x in batch.column(0)]
-    pairs = tile_pairs(np.frombuffer(b"".join(blobs), _ROWS))
+def _finished(rows: np.ndarray, hot_from: int) -> Iterator[pa.RecordBatch]:
+    """Pairs of whole small tiles (x, y, no n); the rows of larger ones (shingle, node, n)."""
+    if not len(rows):
+        return
+    cuts = np.flatnonzero(np.concatenate([[True], rows["shingle"][1:] != rows["shingle"][:-1], [True]]))
+    large = np.repeat(np.diff(cuts) > hot_from, np.diff(cuts))
+    if large.any():
+        yield _hot(rows[large])
+    pairs = tile_pairs(rows[~large])
+    for lo in range(0, len(pairs), 50_000):
+        part = pairs[lo : lo + 50_000]
+        yield pa.RecordBatch.from_arrays([pa.array(part[:, 0].copy()), pa.array(part[:, 1].copy()), pa.nulls(len(part), pa.int32())], ["x", "y", "n"])
+
+
+def _hot(rows: np.ndarray) -> pa.RecordBatch:
+    return pa.RecordBatch.from_arrays([pa.array(rows[c].copy()) for c in ("shingle", "node", "n")], ["x", "y", "n"])
+
+
+def _tile_batches(hot_from: int):
+    """Goes through rows sorted by shingle, size and node; holds one batch and one small tile."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held, passing = np.empty(0, _ROWS), None
+        for batch in batches:
+            rows, size = np.empty(batch.num_rows, _ROWS), batch.column(2).to_numpy()
+            rows["shingle"], rows["node"], known = batch.column(0).to_numpy(), batch.column(1).to_numpy(), size < 0
+            rows["n"], rows["at"] = np.abs(size) >> 31, np.abs(size) & ((1 << 31) - 1)
+            if passing is not None:
+                known |= rows["shingle"] == passing
+            if known.any():
+                yield _hot(rows[known])
+                rows = rows[~known]
+            if not len(rows):
+                continue
+            passing = None
+            rows = np.concatenate([held, rows])
+            again = (rows["shingle"][1:] == rows["shingle"][:-1]) & (rows["node"][1:] == rows["node"][:-1])
+            rows = rows[np.concatenate([[True], ~again])]
+            cut = int(np.flatnonzero(np.concatenate([[True], rows["shingle"][1:] != rows["shingle"][:-1]]))[-1])
+            yield from _finished(rows[:cut], hot_from)
+            held = rows[cut:]
+            if len(held) > hot_from:
+                yield _hot(held)
+                passing, held = held["shingle"][0], np.empty(0, _ROWS)
+        yield from _finished(held, hot_from)
+
+    return run
+
+
+def bitmap_pairs(left: np.ndarray, right: np.ndarray, n: np.ndarray, m: np.ndarray, apart: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Rows of left and right that are ``apart`` and could link (sizes within the band, few enough bits differ), and the
+    share of bits that differ."""
+    total = n[:, None].astype(np.int64) + m[None, :]
+    x, y = np.nonzero(apart & (5 * np.minimum(n[:, None], m[None, :]) >= 4 * np.maximum(n[:, None], m[None, :])))
+    differ, total = np.zeros(len(x), np.int64), total[x, y]
+    for k in range(0, left.shape[1], 8):
+        differ += np.bitwise_count(left[x, k : k + 8] ^ right[y, k : k + 8]).sum(axis=1, dtype=np.int64)
+        could = 9 * differ <= total
+        x, y, differ, total = x[could], y[could], differ[could], total[could]
+    return x, y, differ / np.maximum(1, total)
+
+
+def _nearest(pairs: np.ndarray, roots: np.ndarray, share: np.ndarray, most: int) -> np.ndarray:
+    """Which pairs are among the ``most`` nearest of a root at either end."""
+    keep = np.zeros(len(pairs), bool)
+    for side in (0, 1):
+        order = np.lexsort((pairs[:, 1], pairs[:, 0], share, roots[:, side]))
+        own = roots[order, side]
+        first = np.flatnonzero(np.concatenate([[True], own[1:] != own[:-1]]))
+        place = np.arange(len(own)) - np.repeat(first, np.diff(np.append(first, len(own))))
+        keep[order[place < most]] = True
+    return keep
+
+
+def least_common(x: np.ndarray, y: np.ndarray, shingle: np.ndarray) -> np.ndarray:
+    """Whether ``shingle`` is responsible for a pair of sets with the given least common-tile shingles (ascending, padded
+    with ``_NO_SHINGLE``).
+
+    The least element of what both lists hold is the least that both sets have. Where the lists have nothing in common,
+    every shingle of the pair is responsible.
+    """
+    out = np.zeros(len(x), bool)
+    for lo in range(0, len(x), 20_000):
+        a, b = x[lo : lo + 20_000], y[lo : lo + 20_000]
+        both = np.where((a[:, :, None] == b[:, None, :]).any(axis=2), a, _NO_SHINGLE).min(axis=1)
+        out[lo : lo + 20_000] = (both == _NO_SHINGLE) | (both == shingle[lo : lo + 20_000])
+    return out
+
+
+_NO_SHINGLE = np.int64((1 << 63) - 1)
+
+
+def _block_batches(most: int | None):
+    """Pairs of different roots between the sides of each group that bitmaps don't rule out, each at the one shingle that
+    is responsible for it: all, or each root's ``most`` nearest, with a row of nulls where that left some out.
+
+    Columns group, side (0 left, 1 right, 2 both), node, root, n, shingle, bits, firsts; sorted by group.
+    """
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held: list[pa.RecordBatch] = []
+        for batch in batches:
+            group = batch.column(0).to_numpy()
+            if held and held[0].column(0)[0].as_py() == group[-1]:
+                held.append(batch)
+                continue
+            last = int(np.searchsorted(group, group[-1], "left")) if len(group) else 0
+            yield from _groups(pa.Table.from_batches([*held, batch.slice(0, last)]) if held or last else None, most)
+            held = [batch.slice(last)] if last < batch.num_rows else []
+        yield from _groups(pa.Table.from_batches(held) if held else None, most)
+
+    return run
+
+
+def _groups(rows: pa.Table | None, most: int | None) -> Iterator[pa.RecordBatch]:
+    if rows is None or not rows.num_rows:
+        return
+    group, side, node, root, n, shingle = (rows.column(k).to_numpy() for k in range(6))
+    maps, firsts = rows.column(6).to_pylist(), np.full((rows.num_rows, FIRST_SHINGLES), _NO_SHINGLE)
+    for k, own in enumerate(rows.column(7).to_pylist()):
+        firsts[k, : len(own)] = own
+    cuts = np.flatnonzero(np.concatenate([[True], group[1:] != group[:-1], [True]]))
+    found, left_out = [], False
+    for lo, hi in zip(cuts[:-1].tolist(), cuts[1:].tolist(), strict=True):
+        bits, own = fold(maps[lo:hi]), []
+        first, second = np.flatnonzero(side[lo:hi] != 1), np.flatnonzero(side[lo:hi] != 0)
+        for at in range(0, len(first), 128):
+            part = first[at : at + 128]
+            apart = root[lo + part][:, None] != root[lo + second][None, :]
+            if not apart.any():
+                continue
+            x, y, share = bitmap_pairs(bits[part], bits[second], n[lo + part], n[lo + second], apart)
+            p, q = lo + part[x], lo + second[y]
+            here = (p != q) & least_common(firsts[p], firsts[q], shingle[p])
+            p, q, share = p[here], q[here], share[here]
+            p, q = np.where(node[p] < node[q], p, q), np.where(node[p] < node[q], q, p)
+            own.append((np.stack([node[p], node[q]], axis=1), np.stack([root[p], root[q]], axis=1), share))
+        if own:
+            pairs, roots, share = (np.concatenate(c) for c in zip(*own, strict=True))
+            if most is not None:
+                keep = _nearest(pairs, roots, share, most)
+                left_out |= not keep.all()
+                pairs = pairs[keep]
+            found.append(pairs)
+    if left_out:
+        yield pa.RecordBatch.from_arrays([pa.nulls(1, pa.int64()), pa.nulls(1, pa.int64())], ["a", "b"])
+    pairs = np.unique(np.concatenate(found), axis=0) if found else np.zeros((0, 2), np.int64)
     for lo in range(0, len(pairs), 50_000):
         part = pairs[lo : lo + 50_000]
         yield pa.RecordBatch.from_arrays([pa.array(part[:, 0].copy()), pa.array(part[:, 1].copy())], ["a", "b"])
 
 
-def _record_batches(sieve: bytes, arrays: bool):
-    """Node, size, and bitmap or sorted array, of sets that the bit set lets pass."""
-    bits = np.unpackbits(np.frombuffer(sieve, np.uint8), bitorder="little")
+def _near_batches(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """Pairs whose bitmaps don't rule them out; sizes and bitmaps are the last four columns."""
+    for batch in batches:
+        n, m = (batch.column(k).to_numpy() for k in (6, 7))
+        x, y = batch.column(8).to_pylist(), batch.column(9).to_pylist()
+        keep = np.zeros(batch.num_rows, bool)
+        width = np.array([min(len(p), len(q)) for p, q in zip(x, y, strict=True)], np.int64)
+        for w in np.unique(width).tolist():
+            at = np.flatnonzero(width == w)
+            both = fold([b"\0" * w, *(x[k] for k in at.tolist()), *(y[k] for k in at.tolist())])[1:]
+            differ = np.bitwise_count(both[: len(at)] ^ both[len(at) :]).sum(axis=1, dtype=np.int64)
+            keep[at] = 9 * differ <= n[at] + m[at]
+        yield batch.select(list(range(6))).filter(pa.array(keep))
+
+
+def _sieved_batches(sieve: bytes, bits: int):
+    """Rows whose first column, a mixed number, has its place in the bit set taken."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        shingler = Shingler()
+        taken = np.frombuffer(sieve, np.uint8)
         for batch in batches:
-            seen: set[int] = set()
-            for _, sets in shingler.batch(batch.column(0)):
-                nodes, sizes, values = [], [], []
-                for own in sets:
-                    node = node_of(own)
-                    if not len(own) or not bits[(node >> 8) & ((1 << SIEVE_BITS) - 1)] or node in seen:
-                        continue
-                    seen.add(node)
-                    nodes.append(node)
-                    sizes.append(len(own))
-                    values.append(own.tobytes() if arrays else _bitmap(own).tolist())
-                yield pa.RecordBatch.from_arrays([pa.array(nodes, pa.int64()), pa.array(sizes, pa.int64()), pa.array(values, pa.binary() if arrays else pa.list_(pa.int64()))], ["node", "n", "value"])
+            place = (batch.column(0).to_numpy().view(np.uint64) >> np.uint64(64 - bits)).astype(np.int64)
+            yield batch.filter(pa.array((taken[place >> 3] >> (place & 7).astype(np.uint8) & 1).astype(bool)))
 
     return run
 
@@ -365,11 +508,16 @@ def _record_batches(sieve: bytes, arrays: bool):
 def _overlap_batches(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     for batch in batches:
         keep = []
-        for x, y in zip(batch.column(2), batch.column(3), strict=True):
+        for x, y in zip(batch.column(4), batch.column(5), strict=True):
             x, y = (np.frombuffer(z.as_buffer(), np.uint64) for z in (x, y))
-            both = len(np.intersect1d(x, y, assume_unique=True))
+            merged = np.sort(np.concatenate([x, y]), kind="stable")
+            both = int(np.count_nonzero(merged[1:] == merged[:-1]))
             keep.append(100 * both >= 80 * (len(x) + len(y) - both))
-        yield batch.select([0, 1]).filter(pa.array(keep, pa.bool_()))
+        yield batch.select([0, 1, 2, 3]).filter(pa.array(keep, pa.bool_()))
+
+
+_PAIR = "a bigint, a_more bigint, b bigint, b_more bigint"
+_NEAR = f"{_PAIR}, a_row bigint, b_row bigint"
 
 
 class Join:
@@ -377,133 +525,177 @@ class Join:
 
     def __init__(self, docs: DataFrame, text: str = "text", id_column: str = "doc_id"):
         self.spark = docs.sparkSession
-        self.bodies = docs.select(docs[id_column].cast("long").alias("doc_id"), text_or_empty(text).cast("binary").alias("body"))
-
-    def profile(self) -> DataFrame:
-        """Documents with set size and node; also learns the common order."""
-        both = materialize(self.bodies.mapInArrow(_profile_batches, "doc_id bigint, n bigint, node bigint, is_shingle boolean"), "join-profile")
-        common = both.where("is_shingle").groupBy("node").agg(F.sum("n").alias("times")).orderBy(F.desc("times"), "node").limit(MOST_COMMON).toArrow()
-        self.order = Order(common.column("node").to_numpy().view(np.uint64), common.column("times").to_numpy())
-        return both.where("not is_shingle").select("doc_id", "n", "node")
-
-    def rare_pairs(self, profile: DataFrame) -> DataFrame:
-        rows = (profile.agg(F.coalesce(F.sum(F.col("n") / 5 + 1), F.lit(0))).first()[0]) or 1
-        buckets = int(max(int(self.spark.conf.get("spark.sql.shuffle.partitions")), rows // TILE_ROWS + 1))
-        packed = self.bodies.select("body").mapInArrow(_rare_batches(self.order, buckets), "bucket int, rows binary").repartition(buckets, "bucket")
-        return packed.select("rows").mapInArrow(_tile_batches, "a bigint, b bigint").distinct()
-
-    def hot_rows(self) -> DataFrame:
-        return self.bodies.select("body").mapInArrow(_hot_batches(self.order), "shingle bigint, node bigint, n int, bitmap binary, others binary")
-
-    @staticmethod
-    def leader_pairs(hot: DataFrame) -> DataFrame:
-        """Each node of a common shingle with the least node of its own and of the next smaller size band."""
-        banded = hot.select("shingle", "node", "n", F.floor(F.log(F.col("n").cast("double")) / F.log(F.lit(1.25))).cast("int").alias("band")).distinct()
-        leaders = banded.groupBy("shingle", "band").agg(F.min(F.struct("node", "n")).alias("lead"))
-        near = banded.select("shingle", "node", "n", F.explode(F.array(F.col("band"), F.col("band") - 1)).alias("band"))
-        met = near.join(leaders, ["shingle", "band"]).where("node <> lead.node and 5 * least(n, lead.n) >= 4 * greatest(n, lead.n)")
-        return met.select(F.least("node", "lead.node").alias("a"), F.greatest("node", "lead.node").alias("b")).distinct()
+        self.steps = Scratch(self.spark)
+        bodies = docs.select(docs[id_column].cast("long").alias("doc_id"), text_or_empty(text).cast("binary").alias("body"))
+        with small_batches(self.spark):
+            self.sets = self.steps.store(bodies.mapInArrow(tidy(_set_batches), SETS), "join-sets")
+        self.profile = self.sets.where("not is_shingle").select("doc_id", "n", "node", "more")
+        self.arrays = self.sets.where("shingles is not null")
+        maps = self.arrays.groupBy("node", "more").agg(F.min(F.struct("row", "n", "bits")).alias("one")).select("node", "more", "one.*")
+        self.maps = self.steps.store(maps, "join-maps")
+
+    def order(self) -> Order:
+        common = self.sets.where("is_shingle").groupBy("node").agg(F.sum("n").alias("times")).orderBy(F.desc("times"), "node").limit(MOST_ORDERED).toArrow()
+        return Order(common.column("node").to_numpy().view(np.uint64), common.column("times").to_numpy())
+
+    def _parts(self, rows: int, each: int) -> int:
+        return int(max(int(self.spark.conf.get("spark.sql.shuffle.partitions")), rows // each + 1))
+
+    def tiles(self) -> tuple[DataFrame, DataFrame]:
+        """Candidate pairs (a, b) of small tiles, and rows (shingle, node, n, band) of the larger ones."""
+        rows = int(self.maps.agg(F.coalesce(F.sum(F.col("n") / 5 + 1), F.lit(0))).first()[0])
+        prefixes = self.arrays.select("node", "shingles").mapInArrow(tidy(_prefix_batches(self.order())), PREFIX)
+        salt = F.when(F.col("size") < 0, F.pmod(F.xxhash64("node"), F.lit(1024))).otherwise(0)
+        dealt = prefixes.repartition(self._parts(rows, TILE_ROWS), "shingle", salt).sortWithinPartitions("shingle", "size", "node")
+        made = self.steps.store(dealt.mapInArrow(tidy(_tile_batches(HOT_FROM)), "x bigint, y bigint, n int"), "join-tiles")
+        band = F.floor(F.log(F.col("n").cast("double")) / F.log(F.lit(1.26))).cast("int").alias("band")
+        hot = made.where("n is not null").distinct().select(F.col("x").alias("shingle"), F.col("y").alias("node"), "n", band)
+        hot = self.steps.store(hot, "join-hot")
+        firsts = hot.groupBy("node").agg(F.slice(F.sort_array(F.collect_set("shingle")), 1, FIRST_SHINGLES).alias("firsts"))
+        self.hot_maps = self.steps.store(self.sieved(self.maps.select("node", "bits"), hot.select("node").distinct()).join(firsts, "node"), "join-hot-maps")
+        return made.where("n is null").select(F.col("x").alias("a"), F.col("y").alias("b")).distinct(), hot
 
     @staticmethod
-    def block_pairs(hot: DataFrame, roots: DataFrame | None) -> DataFrame:
-        """Pairs within the tiles of common shingles that bitmaps don't rule out; given ``roots``, of different components only."""
-        placed = hot.dropDuplicates(["shingle", "node"])
+    def rooted(hot: DataFrame, roots: DataFrame | None) -> DataFrame:
+        """``hot`` with the component of each node: itself where there are no links."""
         if roots is None:
-            placed = placed.withColumn("root", F.col("node"))
-        else:
-            placed = placed.join(roots, "node", "left").withColumn("root", F.coalesce("root", "node"))
-        sizes = placed.groupBy("shingle").agg(F.count(F.lit(1)).alias("k"), F.min("root").alias("x"), F.max("root").alias("y")).where("x <> y")
-        blocks = F.ceil(F.col("k") / BLOCK_ROWS).cast("int")
-        cut = placed.join(sizes.select("shingle", blocks.alias("blocks")), "shingle").withColumn("own", F.pmod(F.xxhash64("node"), F.col("blocks")).cast("int"))
-        dealt = cut.withColumn("other", F.explode(F.expr("sequence(0, blocks - 1)")))
-        dealt = dealt.select("shingle", F.least("own", "other").alias("i"), F.greatest("own", "other").alias("j"), "own", "node", "root", "n", "bitmap", "others")
-        parts = int(hot.sparkSession.conf.get("spark.sql.shuffle.partitions"))
-        return dealt.repartition(parts, "shingle", "i", "j").mapInArrow(_block_batches(roots is None), "a bigint, b bigint").distinct()
-
-    def records(self, pairs: DataFrame, arrays: bool) -> DataFrame:
-        """Bitmap or array of every node in ``pairs``; a bit set of fixed size keeps most others from being shuffled."""
-        every = pairs.select(F.explode(F.array("a", "b")).alias("node"))
-        place = F.shiftright(F.col("node"), 8).bitwiseAND(F.lit((1 << SIEVE_BITS) - 1))
-        words = every.select(F.shiftright(place, 5).cast("int").alias("w"), F.call_function("shiftleft", F.lit(1).cast("long"), place.bitwiseAND(31).cast("int")).alias("m")).groupBy("w").agg(F.bit_or("m").alias("m")).toArrow()
-        sieve = np.zeros(1 << (SIEVE_BITS - 5), np.uint32)
+            return hot.withColumn("root", F.col("node"))
+        return hot.join(roots.select("node", F.col("root.node").alias("root")).dropDuplicates(["node"]), "node", "left").withColumn("root", F.coalesce("root", "node"))
+
+    def leader_pairs(self, hot: DataFrame) -> DataFrame:
+        """Each node with the leader that it meets in most tiles of its own and the next smaller band."""
+        leaders = hot.groupBy("shingle", "band").agg(F.min(F.struct(F.xxhash64("node").alias("key"), "node", "n")).alias("lead"))
+        near = hot.withColumn("band", F.explode(F.array(F.col("band"), F.col("band") - 1)))
+        met = near.join(leaders, ["shingle", "band"]).where("node <> lead.node and 5 * least(n, lead.n) >= 4 * greatest(n, lead.n)")
+        often = met.groupBy("node", F.col("lead.node").alias("other")).agg(F.count(F.lit(1)).alias("k"))
+        most = often.groupBy("node").agg(F.max(F.struct("k", "other")).alias("best"))
+        return most.select(F.least("node", "best.other").alias("a"), F.greatest("node", "best.other").alias("b")).distinct()
+
+    def block_pairs(self, hot: DataFrame, roots: DataFrame | None, most: int | None = None) -> DataFrame:
+        """Pairs of different components within the larger tiles that bitmaps don't rule out: all, or the ``most`` nearest
+        of each component in a pair of blocks, with a row of nulls if that left some out."""
+        placed = self.steps.store(self.rooted(hot, roots), "join-rooted")
+        by_root = placed.groupBy("shingle", "band", "root").agg(F.count(F.lit(1)).alias("k"))
+        tiles = by_root.groupBy("shingle", "band").agg(F.max(F.struct("k", "root")).alias("main"), F.sum("k").alias("k"))
+        pieces = F.array(F.struct(F.lit(0).alias("kind"), F.col("main.root").alias("of"), F.col("main.k").alias("k")), F.struct(F.lit(1).alias("kind"), F.lit(None).cast("long").alias("of"), (F.col("k") - F.col("main.k")).alias("k")))
+        kinds = tiles.select("shingle", "band", F.inline(pieces)).where("k > 0").withColumn("blocks", F.ceil(F.col("k") / BLOCK_ROWS).cast("int"))
+        kinds = self.steps.store(kinds, "join-kinds")
+        x, y = (kinds.select("shingle", *[F.col(c).alias(f"{c}_{s}") for c in ("band", "kind", "of", "k", "blocks")]) for s in "xy")
+        met = x.join(y, "shingle").where("((band_x = band_y and kind_x <= kind_y) or band_y = band_x + 1) and not coalesce(of_x = of_y, false)")
+        same = (F.col("band_x") == F.col("band_y")) & (F.col("kind_x") == F.col("kind_y"))
+        met = met.withColumn("i", F.explode(F.sequence(F.lit(0), F.col("blocks_x") - 1))).withColumn("j", F.explode(F.sequence(F.when(same, F.col("i")).otherwise(0), F.col("blocks_y") - 1)))
+        met = self.steps.store(met.withColumn("group", F.xxhash64("shingle", "band_x", "kind_x", "i", "band_y", "kind_y", "j")), "join-blocks")
+        alone = same & (F.col("i") == F.col("j"))
+        left = met.select("shingle", F.col("band_x").alias("band"), F.col("kind_x").alias("kind"), F.col("i").alias("block"), "group", F.when(alone, 2).otherwise(0).alias("side"))
+        right = met.where(~alone).select("shingle", F.col("band_y").alias("band"), F.col("kind_y").alias("kind"), F.col("j").alias("block"), "group", F.lit(1).alias("side"))
+        rows = int(met.agg(F.coalesce(F.sum(F.col("k_x") / F.col("blocks_x") + F.col("k_y") / F.col("blocks_y")), F.lit(0))).first()[0])
+        own = placed.join(kinds.where("kind = 0").select("shingle", "band", "of"), ["shingle", "band"]).withColumn("kind", F.when(F.col("root") == F.col("of"), 0).otherwise(1))
+        own = own.join(kinds.select("shingle", "band", "kind", "blocks"), ["shingle", "band", "kind"]).withColumn("block", F.pmod(F.xxhash64("node"), F.col("blocks")).cast("int"))
+        dealt = own.join(left.union(right), ["shingle", "band", "kind", "block"]).join(self.hot_maps, "node").select("group", "side", "node", "root", "n", "shingle", "bits", "firsts")
+        dealt = dealt.repartition(self._parts(rows, DEALT_ROWS), "group").sortWithinPartitions("group")
+        return dealt.mapInArrow(tidy(_block_batches(most)), "a bigint, b bigint").distinct()
+
+    def sieved(self, rows: DataFrame, names: DataFrame) -> DataFrame:
+        """``rows`` whose first column is among ``names`` (one column), and few others: a bit set keeps the rest from
+        being shuffled."""
+        (name,) = names.columns
+        bits = int(min(MOST_SIEVE_BITS, max(16, (8 * names.count()).bit_length())))
+        place = F.call_function("shiftrightunsigned", F.col(name), F.lit(64 - bits))
+        words = names.select(F.shiftright(place, 5).cast("int").alias("w"), F.call_function("shiftleft", F.lit(1).cast("long"), place.bitwiseAND(31).cast("int")).alias("m")).groupBy("w").agg(F.bit_or("m").alias("m")).toArrow()
+        sieve = np.zeros(1 << (bits - 5), np.uint32)
         sieve[words.column("w").to_numpy()] = words.column("m").to_numpy().astype(np.uint32)
-        kind = "binary" if arrays else "array<bigint>"
-        made = self.bodies.select("body").mapInArrow(_record_batches(sieve.tobytes(), arrays), f"node bigint, n bigint, value {kind}")
-        return materialize(made.dropDuplicates(["node"]), "join-records")
-
-    def within_bitmaps(self, pairs: DataFrame) -> DataFrame:
-        """Pairs that their bitmaps don't rule out."""
-        maps = self.records(pairs, arrays=False)
-        x, y = (maps.toDF(side, f"n_{side}", f"map_{side}") for side in ("a", "b"))
-        differ = F.aggregate(F.zip_with("map_a", "map_b", lambda p, q: F.bit_count(p.bitwiseXOR(q))), F.lit(0), lambda s, v: s + v)
-        total = F.col("n_a") + F.col("n_b")
-        return pairs.join(x, "a").join(y, "b").where(9 * (total - differ) >= 8 * total).select("a", "b")
+        return rows.mapInArrow(tidy(_sieved_batches(sieve.tobytes(), bits)), rows.schema)
 
     def verified(self, pairs: DataFrame) -> DataFrame:
-        """Pairs whose arrays overlap enough, exactly."""
-        arrays = self.records(pairs, arrays=True)
-        p, q = (arrays.select("node", "value").toDF(side, f"shingles_{side}") for side in ("a", "b"))
-        met = pairs.join(p, "a").join(q, "b").select("a", "b", "shingles_a", "shingles_b")
-        return materialize(met.mapInArrow(_overlap_batches, "a bigint, b bigint"), "join-links")
+        """Of pairs of nodes (a, b), the pairs of sets that link, exactly."""
+        maps = self.sieved(self.maps, pairs.select(F.explode(F.array("a", "b")).alias("node")))
+        x, y = (maps.select(F.col("node").alias(s), *[F.col(c).alias(f"{s}_{c}") for c in ("more", "row", "n", "bits")]) for s in "ab")
+        met = pairs.join(x, "a").join(y, "b").select("a", "a_more", "b", "b_more", "a_row", "b_row", "a_n", "b_n", "a_bits", "b_bits")
+        near = self.steps.store(met.mapInArrow(tidy(_near_batches), _NEAR), "join-near")
+        arrays = self.sieved(self.arrays.select("row", "shingles"), near.select(F.explode(F.array("a_row", "b_row")).alias("row")))
+        x, y = (arrays.toDF(f"{s}_row", f"{s}_shingles") for s in "ab")
+        met = near.join(x, "a_row").join(y, "b_row").select("a", "a_more", "b", "b_more", "a_shingles", "b_shingles")
+        links = self.steps.store(met.mapInArrow(tidy(_overlap_batches), _PAIR), "join-links")
+        return links.select(F.struct(F.col("a").alias("node"), F.col("a_more").alias("more")).alias("a"), F.struct(F.col("b").alias("node"), F.col("b_more").alias("more")).alias("b"))
 
     def classes(self) -> DataFrame:
         """doc_id, n_shingles, component_id; one row per input row."""
-        profile = self.profile()
-        hot = materialize(self.hot_rows(), "join-hot")
-        pairs = materialize(self.rare_pairs(profile).union(self.leader_pairs(hot)).distinct(), "join-pairs")
-        links = self.verified(materialize(self.within_bitmaps(pairs), "join-pairs"))
-        roots = components(links)
-        more = materialize(self.block_pairs(hot, roots).join(pairs, ["a", "b"], "left_anti"), "join-pairs")
-        if not more.isEmpty() and not (found := self.verified(more)).isEmpty():
-            roots = components(links.union(found))
-        return self._placed(profile, roots).select("doc_id", "n_shingles", "component_id")
-
-    @staticmethod
-    def _placed(profile: DataFrame, roots: DataFrame) -> DataFrame:
-        """doc_id, n_shingles, component_id, node."""
-        placed = materialize(profile.join(roots, "node", "left").select("doc_id", "n", "node", F.coalesce("root", "node").alias("root")), "join-placed")
+        with small_batches(self.spark):
+            return self._classes()
+
+    def _classes(self) -> DataFrame:
+        pairs, hot = self.tiles()
+        pairs = self.steps.store(pairs.union(self.leader_pairs(hot)).distinct(), "join-pairs")
+        links = self.verified(pairs)
+        roots = components(links, self.steps)
+        most, left_out = FIRST_NEAREST, not hot.isEmpty()
+        while left_out:
+            found = self.steps.store(self.block_pairs(hot, roots, most), "join-pairs")
+            left_out, most = not found.where("a is null").isEmpty(), most * MORE_NEAREST
+            pairs, links, roots = self._joined(found.where("a is not null"), pairs, links, roots)
+        placed = self._placed(roots)
+        self.steps.clear()
+        return placed.select("doc_id", "n_shingles", "component_id")
+
+    def _joined(self, more: DataFrame, pairs: DataFrame, links: DataFrame, roots: DataFrame) -> tuple[DataFrame, DataFrame, DataFrame]:
+        """Tested pairs, links and components after the pairs in ``more`` that were not tested yet."""
+        more = self.steps.store(more.join(pairs, ["a", "b"], "left_anti"), "join-pairs")
+        if more.isEmpty():
+            return pairs, links, roots
+        found, pairs = self.verified(more), pairs.union(more)
+        if found.isEmpty():
+            return pairs, links, roots
+        return pairs, links.union(found), components(links.union(found), self.steps)
+
+    def _placed(self, roots: DataFrame) -> DataFrame:
+        """doc_id, n_shingles, component_id, id; stored apart from the steps."""
+        own = self.profile.select("doc_id", "n", F.struct("node", "more").alias("id"))
+        placed = materialize(own.join(roots.select(F.col("node").alias("node"), F.col("more"), "root"), (own["id.node"] == F.col("node")) & (own["id.more"] == F.col("more")), "left").select("doc_id", "n", "id", F.coalesce("root", "id").alias("root")), "join-placed")
         least = materialize(placed.where("n > 0").groupBy("root").agg(F.min("doc_id").alias("component_id")), "join-least")
-        return placed.join(least, "root", "left").select("doc_id", F.col("n").alias("n_shingles"), F.when(F.col("n") == 0, F.col("doc_id")).otherwise(F.col("component_id")).alias("component_id"), "node")
+        return placed.join(least, "root", "left").select("doc_id", F.col("n").alias("n_shingles"), F.when(F.col("n") == 0, F.col("doc_id")).otherwise(F.col("component_id")).alias("component_id"), "id")
 
-    def links(self, profile: DataFrame) -> DataFrame:
-        """Every pair of different sets that link, a < b; pairs of one component are tested like all others."""
-        hot = materialize(self.hot_rows(), "join-hot")
-        near = self.within_bitmaps(materialize(self.rare_pairs(profile), "join-pairs"))
-        return self.verified(materialize(near.union(self.block_pairs(hot, None)).distinct(), "join-pairs"))
+    def links(self) -> DataFrame:
+        """Every pair of different sets that link; pairs of one component are tested like all others."""
+        pairs, hot = self.tiles()
+        return self.verified(self.steps.store(pairs.union(self.block_pairs(hot, None)).distinct(), "join-pairs"))
 
     def classes_with_links(self) -> DataFrame:
         """doc_id, n_shingles, component_id, n_links (other rows that a row links with, its copies included)."""
-        profile = self.profile()
-        links = self.links(profile)
-        copies = materialize(profile.where("n > 0").groupBy("node").agg(F.count(F.lit(1)).alias("copies")), "join-copies")
-        both = links.union(links.select("b", "a")).toDF("node", "other")
-        near = both.join(copies.toDF("other", "copies"), "other").groupBy("node").agg(F.sum("copies").alias("near"))
-        count = copies.join(near, "node", "left").select("node", (F.col("copies") - 1 + F.coalesce("near", F.lit(0))).alias("n_links"))
-        placed = self._placed(profile, components(links)).join(count, "node", "left")
+        with small_batches(self.spark):
+            return self._classes_with_links()
+
+    def _classes_with_links(self) -> DataFrame:
+        links = self.links()
+        copies = self.profile.where("n > 0").groupBy(F.struct("node", "more").alias("id")).agg(F.count(F.lit(1)).alias("copies"))
+        both = links.union(links.select("b", "a")).toDF("id", "other")
+        near = both.join(copies.toDF("other", "copies"), "other").groupBy("id").agg(F.sum("copies").alias("near"))
+        count = materialize(copies.join(near, "id", "left").select("id", (F.col("copies") - 1 + F.coalesce("near", F.lit(0))).alias("n_links")), "join-counts")
+        placed = self._placed(components(links, self.steps)).join(count, "id", "left")
+        self.steps.clear()
         return placed.select("doc_id", "n_shingles", "component_id", F.coalesce("n_links", F.lit(0)).alias("n_links"))
 
 
-def components(links: DataFrame) -> DataFrame:
-    """node, root (least node of its component) for every node of ``links``.
+def components(links: DataFrame, steps: Scratch | None = None) -> DataFrame:
+    """node (and more), root (least of its component) for every end of ``links``; ends are numbers or structs.
 
-    Alternating star contraction: each node is tied to the least of its neighbours, first by larger nodes, then by
-    smaller ones, until nothing changes; the rounds grow with the logarithm of the size. Leasts come from aggregates
-    with a join back, so that the many links of one node are never gathered.
+    Alternating star contraction: each end is tied to the least of its neighbours, first by larger ones, then by
+    smaller ones, until all components are stars; the rounds grow with the logarithm of the size. Leasts come from aggregates
+    with a join back, so that the many links of one end are never gathered.
     """
-    edges = materialize(links.select(F.greatest("a", "b").alias("u"), F.least("a", "b").alias("v")).where("u <> v").distinct(), "star")
-    mark = None
+    steps = Scratch(links.sparkSession) if steps is None else steps
+    edges = steps.store(links.select(F.greatest("a", "b").alias("u"), F.least("a", "b").alias("v")).where("u <> v").distinct(), "star")
     while True:
+        ends = edges.select(F.col("u").alias("x"), F.lit(1).alias("up")).union(edges.select("v", F.lit(0)))
+        degrees = ends.groupBy("x").agg(F.sum("up").alias("up"), F.sum(1 - F.col("up")).alias("down"))
+        if degrees.where("up > 1 or (up = 1 and down > 0)").isEmpty():  # all are stars
+            named = ["u.node", "u.more"] if edges.schema["u"].dataType.typeName() == "struct" else [F.col("u").alias("node")]
+            return edges.select(*named, F.col("v").alias("root"))
         both = edges.union(edges.select("v", "u"))
         least = both.groupBy("u").agg(F.least(F.min("v"), F.col("u")).alias("m"))
-        large = both.join(least, "u").where("v > u").select(F.col("v").alias("u"), F.col("m").alias("v")).distinct()
-        large = materialize(large.where("u <> v"), "star")
+        large = both.join(least, "u").where("v > u").select(F.col("v").alias("u"), F.col("m").alias("v")).where("u <> v").distinct()
         least = large.groupBy("u").agg(F.min("v").alias("m"))
         small = large.join(least, "u").select(F.col("v").alias("u"), F.col("m").alias("v")).union(least.select("u", F.col("m").alias("v")))
-        edges = materialize(small.where("u <> v").distinct(), "star")
-        now = edges.agg(F.count(F.lit(1)), F.sum(F.xxhash64("u", "v").cast("decimal(38,0)"))).first()
-        if now == mark:
-            return edges.select(F.col("u").alias("node"), F.col("v").alias("root"))
-        mark = now
+        edges = steps.store(small.where("u <> v").distinct(), "star")
 
 
 def keep_one_of_each(docs: DataFrame) -> DataFrame:

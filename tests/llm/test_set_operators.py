@@ -127,6 +127,8 @@ def near_copies(seed, count):
 @pytest.mark.parametrize("hot,block", [(64, 1024), (3, 4)])
 def test_join_equals_all_pairs(spark, monkeypatch, hot, block):
     monkeypatch.setattr(ngram_join, "HOT_FROM", hot)
+    monkeypatch.setattr(ngram_join, "FIRST_NEAREST", 1)
+    monkeypatch.setattr(ngram_join, "MORE_NEAREST", 3)
     monkeypatch.setattr(ngram_join, "BLOCK_ROWS", block)
     rows = list(enumerate(near_copies(11, 260)))
     df = spark.createDataFrame([(i, t, "x") for i, t in rows], "doc_id long, text string, node string")
@@ -154,6 +156,41 @@ def test_links_inside_a_group_of_near_copies(spark, monkeypatch, hot, block):
     assert [r[:3] for r in rows] == sorted(tuple(r) for r in ngram_join.Join(df).classes().collect())
 
 
+def test_tiles_beyond_the_order_are_split_too(spark, monkeypatch):
+    """No shingle is known to be frequent: tile tasks find the large tiles themselves."""
+    monkeypatch.setattr(ngram_join, "MOST_ORDERED", 0)
+    monkeypatch.setattr(ngram_join, "HOT_FROM", 5)
+    monkeypatch.setattr(ngram_join, "BLOCK_ROWS", 6)
+    rows = list(enumerate(near_copies(12, 120)))
+    df = spark.createDataFrame(rows, "doc_id long, text string")
+    assert sorted(tuple(r) for r in ngram_join.Join(df).classes().collect()) == classes_by_pairs(rows)
+
+
+def test_long_texts_and_slices(monkeypatch):
+    """A text beyond a slice, with a word beyond one too, has the same shingles as in one piece."""
+    shingler, text = ngram_join.Shingler(), ("Lorem ipsum  dolor\tsit amet " * 300 + "x" * 5000 + " end of it all " * 40).encode()
+    whole = shingler.sets_of(np.frombuffer(text, np.uint8))
+    monkeypatch.setattr(ngram_join, "SLICE_BYTES", 700)
+    pieces = ngram_join.Shingler().sets_of(np.frombuffer(text, np.uint8))
+    assert (whole == pieces).all() and len(whole) > 10
+
+
+def test_long_near_copies_stay_linear(spark):
+    """Rows of the common tiles hold a shingle, a set and its size: no more than a fifth of the words each."""
+    g = random.Random(3)
+    base = [f"w{k}" for k in range(3000)]
+    texts = []
+    for _ in range(90):
+        own = list(base)
+        own[g.randrange(3000)] = "other"
+        texts.append(" ".join(own))
+    df = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string")
+    join = ngram_join.Join(df)
+    _, hot = join.tiles()
+    assert hot.count() <= 90 * 601 and set(hot.columns) == {"shingle", "node", "n", "band"}
+    assert {r["component_id"] for r in join.classes().collect()} == {0}
+
+
 def test_join_on_nothing_and_one_of_each(spark):
     df = spark.createDataFrame([(1, "a b c d e f g"), (1, "a b c d e f g"), (2, "a b c d e f g"), (3, None), (4, ""), (5, "other words stand in here now")], "doc_id long, text string")
     assert ngram_join.Join(df.limit(0)).classes().count() == 0
