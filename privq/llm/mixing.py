@@ -24,7 +24,7 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from privq.llm.common import WORD, table, text_or_empty
-from privq.sources.scratch import materialize
+from privq.sources.scratch import Scratch, materialize
 
 MOST_SOURCES = 1_000_000
 MOST_BLOCKS = 65_536
@@ -172,6 +172,24 @@ def write_mix(mixed: DataFrame, path: str, parts: int = 64) -> None:
     mixed.withColumn("part", part).repartition("shard", "part").sortWithinPartitions("shard", "part", "shuffle_key").write.partitionBy("shard").parquet(path)
 
 
+def mix_documents(docs: DataFrame, id_column: str = "doc_id", text: str = "text", source: str = "source", parts: int = 64, **options) -> DataFrame:
+    """Rows of ``docs`` as often as the mix takes them, shard after shard, shuffled within each.
+
+    The plan is made on a stored narrow frame without texts; rows that agree in id, source and text are one unit there,
+    taken or left together. Texts are shuffled twice: to the plan's rows, and to their place in the shards.
+    """
+    names = {"__mix_id": docs[id_column], "__mix_source": docs[source].cast("string"), "__mix_digest": F.xxhash64(docs[text])}
+    words = F.regexp_count(text_or_empty(text), F.lit(WORD)).cast("long")
+    steps = Scratch(docs.sparkSession)
+    narrow = docs.select(*[c.alias(n) for n, c in names.items()], words.alias("size")).withColumnRenamed("__mix_source", "source")
+    units = steps.store(narrow.groupBy("__mix_id", "source", "__mix_digest").agg(F.sum("size").alias("size")), "mix-units")
+    keys = ["__mix_id", "__mix_digest"]
+    drawn = steps.store(draws(plan_mix(units, keys, **options), keys).select(*keys, F.col("source").alias("__mix_source"), F.col("shard").alias("__mix_shard"), "shuffle_key").withColumnRenamed("shuffle_key", "__mix_order"), "mix-draws")
+    met = [c.eqNullSafe(drawn[n]) for n, c in names.items()]
+    placed = docs.join(drawn, met[0] & met[1] & met[2])
+    return placed.repartition("__mix_shard", F.pmod("__mix_order", F.lit(parts))).sortWithinPartitions("__mix_shard", "__mix_order").select(*[docs[c] for c in docs.columns])
+
+
 def sizes_of(docs: DataFrame) -> DataFrame:
     return docs.select("doc_id", F.col("source").cast("string").alias("source"), F.regexp_count(text_or_empty(), F.lit(WORD)).cast("long").alias("size"))
 
