@@ -2,17 +2,16 @@
 
 Each stage takes (spark, docs, sf_dir), works on all documents its predecessor kept and returns a frame; ``run``
 writes it as Parquet into the shared folder and reads it back as the next stage's documents. All stages but the last
-return the columns of ``documents``. The mixing stage repeats a document as often as the mix takes it. The last stage
-returns one row per document of the mix with its ids and digests.
+return the columns of ``documents``. The mixing stage repeats a document as often as the mix takes it and leaves the
+rows in the order of the shards, shuffled within each. The last stage returns one row per document of the mix with its ids and digests.
 """
 
 from __future__ import annotations
 
 from pyspark.sql import DataFrame, SparkSession
-from pyspark.sql import functions as F
 
 from privq.llm import bpe, mixing, ngram_join, secrets, toxicity
-from privq.llm.common import WORD, table, text_or_empty
+from privq.llm.common import table
 from privq.sources.scratch import materialize
 
 
@@ -29,8 +28,7 @@ def redact_secrets(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFra
 
 
 def mix_sources(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    sized = docs.withColumn("size", F.regexp_count(text_or_empty(), F.lit(WORD)).cast("long"))
-    return mixing.draws(mixing.plan_mix(sized, ["doc_id", "size"]), ["doc_id"]).select(*docs.columns)
+    return mixing.mix_documents(docs)
 
 
 def encode(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
