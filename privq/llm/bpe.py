@@ -21,7 +21,7 @@ import regex
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from privq.llm.common import table, text_or_empty
+from privq.llm.common import table, text_or_empty, tidy
 
 #: Fixed value: the pre-token pattern of the byte-level vocabulary.
 PRETOKEN = r"'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+"
@@ -329,7 +329,7 @@ def encode_and_decode(df: DataFrame, tokenizer_path: str, text: str = "text", ca
     """
     fields = ", ".join(f"`{f.name}` {f.dataType.simpleString()}" for f in df.select(*carry).schema)
     schema = f"{fields}, n_tokens bigint, ids_sha256 string, decoded_sha256 string" + ", token_ids array<int>" * keep_ids
-    return df.select(*carry, text_or_empty(text).alias("__text")).mapInArrow(_digest_batches(tokenizer_path, keep_ids), schema)
+    return df.select(*carry, text_or_empty(text).alias("__text")).mapInArrow(tidy(_digest_batches(tokenizer_path, keep_ids)), schema)
 
 
 def default_tokenizer() -> str:

@@ -12,15 +12,15 @@ longest document. Null text counts as empty: its only token is the end id. Equal
 
 from __future__ import annotations
 
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
 from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession
 
-from privq.llm.bpe import PRETOKEN, Vocabulary, default_tokenizer
-from privq.llm.common import table, text_or_empty
+from privq.llm.bpe import PRETOKEN, ChunkEncoder, Vocabulary, default_tokenizer
+from privq.llm.common import table, text_or_empty, tidy
 
 RUN_TOKENS = 4_000_000
 SCHEMA = "row_id bigint, n_tokens int, input_ids binary, cu_seqlens array<int>, position_resets array<bigint>, doc_ids array<bigint>"
@@ -114,28 +114,42 @@ def unpack(rows: list[dict]) -> dict[int | None, list[tuple[int, list[int]]]]:
     return {d: sorted(s, key=lambda x: x[0]) for d, s in out.items()}
 
 
-def library_encoder(vocabulary: Vocabulary):
-    """The vocabulary in the fast library, which takes ids for ranks: they must grow with the merges."""
+def library_encoder(vocabulary: Vocabulary) -> Callable[[str], np.ndarray]:
+    """Ids of a text by the fast library, which takes ids for ranks: they must grow with the merges.
+
+    Its pattern engine gives up on very long runs of white space; such a text goes to the segment-tree encoder.
+    """
     import tiktoken
 
     if any(a >= b for a, b in zip(vocabulary.merged, vocabulary.merged[1:], strict=False)):
         raise ValueError("ids must grow with the merges")
     plain = {b: i for i, b in vocabulary.bytes_of.items() if i not in vocabulary.special.values()}
-    return tiktoken.Encoding("packing", pat_str=PRETOKEN, mergeable_ranks=plain, special_tokens=vocabulary.special)
+    fast = tiktoken.Encoding("packing", pat_str=PRETOKEN, mergeable_ranks=plain, special_tokens=vocabulary.special)
+    slow: list[ChunkEncoder] = []
+
+    def encode(text: str) -> np.ndarray:
+        try:
+            return fast.encode_to_numpy(text, allowed_special="all")
+        except ValueError:
+            if not slow:
+                slow.append(ChunkEncoder(vocabulary, list))
+            return np.array(slow[0].ids(text), np.uint32)
+
+    return encode
 
 
 def _pack_batches(path: str, length: int, end_id: int | None):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         vocabulary = Vocabulary(path)
         end = max(vocabulary.special.values(), default=0) if end_id is None else end_id
-        encoder = library_encoder(vocabulary)
+        encode = library_encoder(vocabulary)
         context = TaskContext.get()
         row = (context.partitionId() if context else 0) << 40
         held: list[tuple[int | None, np.ndarray]] = []
         tokens = 0
         for batch in batches:
             for doc, text in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
-                line = np.append(encoder.encode_to_numpy(text, allowed_special="all"), np.uint32(end))
+                line = np.append(encode(text), np.uint32(end))
                 held.append((doc, line))
                 tokens += len(line)
                 if tokens >= RUN_TOKENS:
@@ -150,7 +164,7 @@ def _pack_batches(path: str, length: int, end_id: int | None):
 
 def pack_documents(df: DataFrame, tokenizer_path: str, length: int = 4096, text: str = "text", id_column: str = "doc_id", end_id: int | None = None) -> DataFrame:
     """Packed rows of all documents: ids as little-endian 32-bit words, zero after ``n_tokens``."""
-    return df.select(df[id_column].cast("long").alias("doc_id"), text_or_empty(text).alias("text")).mapInArrow(_pack_batches(tokenizer_path, length, end_id), SCHEMA)
+    return df.select(df[id_column].cast("long").alias("doc_id"), text_or_empty(text).alias("text")).mapInArrow(tidy(_pack_batches(tokenizer_path, length, end_id)), SCHEMA)
 
 
 def op1_packing(spark: SparkSession, sf_dir: str) -> DataFrame:

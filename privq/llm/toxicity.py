@@ -29,7 +29,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from privq.llm.common import is_held_out, table, text_or_empty
+from privq.llm.common import is_held_out, table, text_or_empty, tidy
 
 MOST_LABELLED = 1500
 MOST_CHARS = 20_000
@@ -246,7 +246,7 @@ def tag_documents(docs: DataFrame, model: Field, text: str = "text") -> DataFram
     plain = docs.toDF(*names)
     body = F.coalesce(plain[names[docs.columns.index(text)]], F.lit("")).alias("body")
     fields = ", ".join(f"{f.name} {f.dataType.simpleString()}" for f in plain.schema)
-    tagged = plain.select(*names, body).mapInArrow(_tag_batches(model), f"{fields}, score double, spans array<struct<start: bigint, end: bigint>>")
+    tagged = plain.select(*names, body).mapInArrow(tidy(_tag_batches(model)), f"{fields}, score double, spans array<struct<start: bigint, end: bigint>>")
     return tagged.toDF(*docs.columns, "toxic_score", "toxic_spans")
 
 
