@@ -4,7 +4,8 @@ Samples are kept in a WAV container (mono, unsigned 8 bits), read back from its
 with the branches of one windowed-sinc filter, so no zero-stuffed signal is ever made. Overlapped Hann frames give
 log-mel values; frame energies are cut into segments by two thresholds: a segment opens above the upper one and stays
 open until the energy falls below the lower one. Frames are padded to whole tensors of ``FRAMES x MELS`` float32, each
-with the span of time it covers; ``to_fixed_shape`` gives them as an Arrow fixed-shape tensor column.
+with the span of time it covers; ``store`` keeps them as an Arrow stream with a fixed-shape tensor column, and the query
+reads its features back from there.
 
 Null and empty payloads become one block of zero bytes. A result depends on the payload only.
 """
@@ -21,7 +22,7 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 
-from privq.llm.common import table, text_or_empty
+from privq.llm.common import table, text_or_empty, tidy
 
 RATE, UP, DOWN, TAPS = 16_000, 1, 2, 16
 WINDOW, HOP, MELS, FRAMES = 256, 128, 20, 64
@@ -142,29 +143,68 @@ def to_fixed_shape(flat: pa.Array) -> pa.Array:
     return pa.ExtensionArray.from_storage(pa.fixed_shape_tensor(pa.float32(), (FRAMES, MELS)), pa.FixedSizeListArray.from_arrays(values, FRAMES * MELS))
 
 
+_SPANS = pa.list_(pa.struct([("start_s", pa.float64()), ("end_s", pa.float64())]))
+
+
+def tensor_rows(media: bytes) -> pa.RecordBatch:
+    """One row per tensor: its time span, the energy segments that it touches, and the tensor (fixed shape)."""
+    tensor, spans, voiced = analyse(media)
+    near = [[{"start_s": a, "end_s": b} for a, b in voiced if a < hi and b > lo] for lo, hi in spans]
+    flat = pa.FixedSizeListArray.from_arrays(pa.array(tensor.ravel()), FRAMES * MELS).cast(pa.list_(pa.float32()))
+    return pa.RecordBatch.from_arrays([pa.array([s[0] for s in spans]), pa.array([s[1] for s in spans]), pa.array(near, _SPANS), to_fixed_shape(flat)], ["start_s", "end_s", "voiced", "tensor"])
+
+
+def store(rows: pa.RecordBatch) -> bytes:
+    """Tensor rows as an Arrow stream, which keeps their fixed-shape type."""
+    sink = pa.BufferOutputStream()
+    with pa.ipc.new_stream(sink, rows.schema) as writer:
+        writer.write_batch(rows)
+    return sink.getvalue().to_pybytes()
+
+
+def load(stored: bytes) -> tuple[np.ndarray, list[tuple[float, float]], list[tuple[float, float]]]:
+    """Tensors, their spans and the energy segments of a stored stream."""
+    rows = pa.ipc.open_stream(stored).read_all().combine_chunks()
+    spans = list(zip(rows["start_s"].to_pylist(), rows["end_s"].to_pylist(), strict=True))
+    voiced = sorted({(v["start_s"], v["end_s"]) for near in rows["voiced"].to_pylist() for v in near})
+    return rows["tensor"].chunk(0).to_numpy_ndarray(), spans, voiced
+
+
 def _tensor_batches(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     names = ["media_id", "chunk", "start_s", "end_s", "voiced", "tensor"]
     for batch in batches:
         for media_id, payload in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
-            tensor, spans, voiced = analyse(to_wav(padded(payload or b"")))
-            near = [[{"start_s": a, "end_s": b} for a, b in voiced if a < hi and b > lo] for lo, hi in spans]
-            flat = pa.FixedSizeListArray.from_arrays(pa.array(tensor.ravel()), FRAMES * MELS).cast(pa.list_(pa.float32()))
-            kind = pa.list_(pa.struct([("start_s", pa.float64()), ("end_s", pa.float64())]))
-            yield pa.RecordBatch.from_arrays([pa.array([media_id] * len(spans), batch.column(0).type), pa.array(range(len(spans)), pa.int32()), pa.array([s[0] for s in spans]), pa.array([s[1] for s in spans]), pa.array(near, kind), flat], names)
+            rows = tensor_rows(to_wav(padded(payload or b"")))
+            n = rows.num_rows
+            yield pa.RecordBatch.from_arrays([pa.array([media_id] * n, batch.column(0).type), pa.array(range(n), pa.int32()), *rows.columns[:3], rows.column(3).storage.cast(pa.list_(pa.float32()))], names)
 
 
 def audio_tensors(df: DataFrame, id_column: str, payload_column: str) -> DataFrame:
     """One row per tensor: its place, time span, the segments it touches, and FRAMES * MELS values."""
     body = df.select(df[id_column].cast("long").alias("media_id"), df[payload_column].cast("binary").alias("payload"))
-    return body.mapInArrow(_tensor_batches, "media_id bigint, chunk int, start_s double, end_s double, voiced array<struct<start_s: double, end_s: double>>, tensor array<float>")
+    return body.mapInArrow(tidy(_tensor_batches), "media_id bigint, chunk int, start_s double, end_s double, voiced array<struct<start_s: double, end_s: double>>, tensor array<float>")
+
+
+def _media_batches(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    for batch in batches:
+        for lo in range(0, batch.num_rows, 64):
+            part = batch.slice(lo, 64)
+            media = [to_wav(padded(x.as_buffer().to_pybytes() if x.is_valid else b"")) for x in part.column(1)]
+            yield pa.RecordBatch.from_arrays([part.column(0), pa.array(media, pa.binary()), pa.array([store(tensor_rows(m)) for m in media], pa.binary())], ["media_id", "media", "tensors"])
+
+
+def media_columns(df: DataFrame, id_column: str, payload_column: str) -> DataFrame:
+    """One row per payload: the WAV bytes, and its fixed-shape tensors with spans as an Arrow stream (see ``load``)."""
+    body = df.select(df[id_column].cast("long").alias("media_id"), df[payload_column].cast("binary").alias("payload"))
+    return body.mapInArrow(tidy(_media_batches), "media_id bigint, media binary, tensors binary")
 
 
 def digest(payload: bytes | None) -> tuple:
-    """Row of the query for one payload."""
+    """Row of the query for one payload; features are read back from the stored tensors."""
     raw = payload or b""
     media = to_wav(padded(raw))
     back, _ = from_wav(media)
-    tensor, spans, voiced = analyse(media)
+    tensor, spans, voiced = load(store(tensor_rows(media)))
     seen = hashlib.sha256(tensor.tobytes() + np.array([*spans, *voiced], np.float64).tobytes()).hexdigest()
     feature = f"logmel={tensor.shape[0]}x{FRAMES}x{MELS};seconds={spans[-1][1]:.6f};segments={len(voiced)};voiced={sum(b - a for a, b in voiced):.6f};sha256={seen}"
     return len(raw), len(back), hashlib.sha256(back).hexdigest(), zlib.crc32(back[-BLOCK:]), len(media), hashlib.sha256(media).hexdigest(), feature
@@ -183,4 +223,4 @@ def _digest_batches(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatc
 def op6_audio_features(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Whole texts of ``documents`` as 8-bit samples, their stored form and features."""
     docs = table(spark, sf_dir, "documents").select("doc_id", text_or_empty().cast("binary").alias("payload"))
-    return docs.mapInArrow(_digest_batches, "doc_id bigint, n_bytes bigint, payload_bytes bigint, payload_sha256 string, tail_crc32 bigint, media_bytes bigint, media_sha256 string, feature string")
+    return docs.mapInArrow(tidy(_digest_batches), "doc_id bigint, n_bytes bigint, payload_bytes bigint, payload_sha256 string, tail_crc32 bigint, media_bytes bigint, media_sha256 string, feature string")

@@ -19,7 +19,7 @@ from __future__ import annotations
 
 import re
 
-from pyspark.ml.classification import RandomForestClassifier
+from pyspark.ml.classification import RandomForestClassificationModel, RandomForestClassifier
 from pyspark.ml.feature import VectorAssembler
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
@@ -135,13 +135,22 @@ def compile_forest(debug: str, names: list[str]) -> list[str]:
     return trees
 
 
-def train(findings: DataFrame, seed: int = 7) -> list[str]:
-    """Compiled trees; ``findings`` is a bounded set of labelled rows."""
+def measured(findings: DataFrame) -> DataFrame:
+    """``x`` (all features), features as a vector, and label of labelled findings."""
     x = findings.select(F.struct("value", "before", "after", "path").alias("x"), "label")
     rows = x.select(*[F.expr(f"CAST({sql} AS DOUBLE)").alias(n) for n, sql in FEATURES.items()], F.col("label").cast("double").alias("label"))
     ready = VectorAssembler(inputCols=list(FEATURES), outputCol="features").transform(rows)
-    forest = RandomForestClassifier(numTrees=TREES, maxDepth=DEPTH, featureSubsetStrategy="sqrt", seed=seed).fit(ready.select("features", "label"))
-    return compile_forest(forest.toDebugString, list(FEATURES))
+    return ready.select(F.struct(*FEATURES).alias("x"), "features", "label")
+
+
+def fit_forest(findings: DataFrame, seed: int = 7) -> RandomForestClassificationModel:
+    forest = RandomForestClassifier(numTrees=TREES, maxDepth=DEPTH, featureSubsetStrategy="sqrt", seed=seed)
+    return forest.fit(measured(findings).select("features", "label"))
+
+
+def train(findings: DataFrame, seed: int = 7) -> list[str]:
+    """Compiled trees; ``findings`` is a bounded set of labelled rows."""
+    return compile_forest(fit_forest(findings, seed).toDebugString, list(FEATURES))
 
 
 def _scored(df: DataFrame, trees: list[str], text: str, path: str | None) -> DataFrame:

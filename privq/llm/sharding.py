@@ -24,7 +24,10 @@ from pyspark.sql import functions as F
 from privq.llm.common import table, text_or_empty
 from privq.sources.scratch import materialize
 
-BUCKETS = 4096
+#: Least and most buckets, and distinct rows that one should hold.
+BUCKETS, MOST_BUCKETS, BUCKET_ROWS = 4096, 1 << 17, 100_000
+#: Numbers of equal rows that are made at a time.
+RUN_ROWS = 100_000
 ROUNDS = 4
 #: Steps of the cycle walk. A cell outside has odds below 2 / sqrt(n), and for n <= 4096 no walk can be longer.
 WALK = 64
@@ -101,14 +104,24 @@ def permute(row: Column, n: int, seed: int) -> Column:
 
 def number_rows(df: DataFrame, keys: list[str]) -> tuple[DataFrame, int]:
     """Rows of ``keys`` with ``row_number`` from 0, and how many there are."""
-    counted = materialize(df.select(*keys).groupBy(*keys).agg(F.count(F.lit(1)).alias("copies")).withColumn("bucket", F.pmod(F.xxhash64(*keys), F.lit(BUCKETS)).cast("int")), "row-numbers")
-    sizes = counted.groupBy("bucket").agg(F.sum("copies").alias("rows"))  # at most BUCKETS rows
-    n = sizes.agg(F.coalesce(F.sum("rows"), F.lit(0))).first()[0]
-    before = Window.orderBy("bucket").rowsBetween(Window.unboundedPreceding, -1)
-    starts = sizes.select("bucket", F.coalesce(F.sum("rows").over(before), F.lit(0)).alias("start"))
-    within = Window.partitionBy("bucket").orderBy(*[F.col(k).asc_nulls_last() for k in keys]).rowsBetween(Window.unboundedPreceding, -1)
-    first = counted.join(F.broadcast(starts), "bucket").withColumn("first", F.col("start") + F.coalesce(F.sum("copies").over(within), F.lit(0)))
-    return first.select(*keys, F.explode(F.sequence(F.col("first"), F.col("first") + F.col("copies") - 1)).alias("row_number")), n
+    counted = materialize(df.select(*keys).groupBy(*keys).agg(F.count(F.lit(1)).alias("__copies")), "row-numbers")
+    buckets = max(BUCKETS, min(MOST_BUCKETS, counted.count() // BUCKET_ROWS))
+    counted = counted.withColumn("__bucket", F.pmod(F.xxhash64(*keys), F.lit(buckets)).cast("int"))
+    sizes = counted.groupBy("__bucket").agg(F.sum("__copies").alias("__rows"))  # at most MOST_BUCKETS rows
+    n = sizes.agg(F.coalesce(F.sum("__rows"), F.lit(0))).first()[0]
+    before = Window.orderBy("__bucket").rowsBetween(Window.unboundedPreceding, -1)
+    starts = sizes.select("__bucket", F.coalesce(F.sum("__rows").over(before), F.lit(0)).alias("__start"))
+    within = Window.partitionBy("__bucket").orderBy(*[F.col(k).asc_nulls_last() for k in keys]).rowsBetween(Window.unboundedPreceding, -1)
+    first = counted.join(F.broadcast(starts), "__bucket").withColumn("__first", F.col("__start") + F.coalesce(F.sum("__copies").over(within), F.lit(0)))
+    first = first.select(*keys, "__first", (F.col("__first") + F.col("__copies") - 1).alias("__last"))
+    rows = lambda runs: runs.select(*keys, F.explode(F.sequence("__first", "__last")).alias("row_number"))
+    long = (F.col("__last") - F.col("__first")) >= RUN_ROWS
+    if counted.where(F.col("__copies") > RUN_ROWS).isEmpty():
+        return rows(first), n
+    at = F.explode(F.sequence(F.col("__first"), F.col("__last"), F.lit(RUN_ROWS))).alias("__from")
+    cut = first.where(long).select(*keys, "__last", at).repartition(*keys, "__from")  # long runs of copies go to many tasks
+    pieces = cut.select(*keys, F.col("__from").alias("__first"), F.least("__last", F.col("__from") + RUN_ROWS - 1).alias("__last"))
+    return rows(first.where(~long)).unionByName(rows(pieces)), n
 
 
 def feistel_shards(df: DataFrame, keys: list[str], shards: int = 16, seed: int = 20) -> DataFrame:

@@ -189,6 +189,70 @@ def test_forest_on_held_out_findings(spark):
     assert agree > 0.93
 
 
+def test_compiled_trees_equal_the_fitted_ones(spark):
+    model = secrets.fit_forest(secrets.labelled_findings(spark, 60))
+    trees = secrets.compile_forest(model.toDebugString, list(secrets.FEATURES))
+    assert len(trees) == secrets.TREES == len(model.trees)
+    other = secrets.measured(secrets.labelled_findings(spark, 25))
+    rows = other.select("features", *[F.expr(t).alias(f"t{k}") for k, t in enumerate(trees)]).collect()
+    for r in rows[::3]:
+        assert [float(r[f"t{k}"]) for k in range(len(trees))] == [tree.predict(r["features"]) for tree in model.trees]
+
+
+LONG = [" " * 1_000_000, "x" * 1_000_000, "ab1 " * 250_000, "a" + " " * 400_000 + "b", "vileword " + "plain text " * 100_000, "\n" * 300_000]
+
+
+def test_long_texts_and_null_ids(spark, tmp_path):
+    rows = [(i, t) for i, t in enumerate(LONG)] + [(None, "text without id"), (None, None)]
+    df = spark.createDataFrame(rows, "doc_id long, text string").repartition(4).cache()
+    lib, pieces = tokenizers.Tokenizer.from_file(JSON), sentencepiece.SentencePieceProcessor(model_file=MODEL)
+    want = {i: lib.encode(t or "", add_special_tokens=False).ids for i, t in enumerate(LONG)}
+    for r in bpe.encode_and_decode(df, JSON).where("doc_id is not null").collect():
+        assert r["n_tokens"] == len(want[r["doc_id"]])
+        assert r["ids_sha256"] == hashlib.sha256(",".join(map(str, want[r["doc_id"]])).encode()).hexdigest()
+    packed = [r.asDict() for r in packing.pack_documents(df, JSON, length=4096).collect()]
+    back = packing.unpack(packed)
+    assert all([x for _, ids in back[i] for x in ids] == [*want[i], 50256] for i in want) and None in back
+    counts = token_counts.count_tokens(df, MODEL, f"{tmp_path}/cache").collect()
+    assert len(counts) == len(rows) and all(r["n_tokens"] == len(pieces.encode(LONG[r["doc_id"]])) for r in counts if r["doc_id"] is not None)
+    model = toxicity.Field({"vileword": 6.0})
+    scores = {r["doc_id"]: (r["toxic_score"], r["toxic_spans"]) for r in toxicity.tag_documents(df, model).collect()}
+    assert [(s["start"], s["end"]) for s in scores[4][1]] == [(0, 8)] and scores[4][0] > 0.5 and scores[0][0] == scores[1][0] < 0.5
+    trees = secrets.train(secrets.labelled_findings(spark, 40))
+    assert {r["doc_id"] for r in secrets.scan(df, trees).collect()} <= {None} and secrets.redact(df, trees).where("doc_id = 2").first()["text"] == LONG[2]
+    media = audio.media_columns(df.select("doc_id", F.col("text").alias("p")), "doc_id", "p").collect()
+    assert len(media) == len(rows) and all(len(audio.from_wav(bytes(r["media"]))[0]) % 64 == 0 for r in media)
+
+
+def test_log_mel_equals_a_plain_transform():
+    x = np.random.default_rng(2).normal(size=900).astype(np.float32)
+    mel, energy = audio.log_mel(x)
+    w, hop, rate = audio.WINDOW, audio.HOP, audio.RATE * audio.UP // audio.DOWN
+    k = np.arange(w // 2 + 1)
+    turn = np.exp(-2j * np.pi * k[:, None] * np.arange(w)[None, :] / w)
+    hann = 0.5 - 0.5 * np.cos(2 * np.pi * np.arange(w) / w)
+    to_mel, to_hz = lambda f: 2595 * np.log10(1 + f / 700), lambda m: 700 * (10 ** (m / 2595) - 1)
+    edges = to_hz(np.linspace(0, to_mel(rate / 2), audio.MELS + 2))
+    assert len(mel) == -(-(900 - w) // hop) + 1
+    for t in range(len(mel)):
+        part = np.zeros(w)
+        part[: len(x[t * hop : t * hop + w])] = x[t * hop : t * hop + w]
+        power = np.abs(turn @ (part * hann)) ** 2
+        for b in range(audio.MELS):
+            lo, mid, hi = edges[b : b + 3]
+            f = k * rate / w
+            weight = np.where(f <= mid, (f - lo) / (mid - lo), (hi - f) / (hi - mid)).clip(0)
+            assert mel[t, b] == pytest.approx(np.log10(power @ weight + 1e-6), abs=2e-3)
+        assert energy[t] == pytest.approx(10 * np.log10((part**2).mean() + 1e-10), abs=1e-3)
+
+
+def test_stored_tensors_are_read_back():
+    media = audio.to_wav(audio.padded(np.random.default_rng(1).integers(0, 256, 40_000).astype(np.uint8).tobytes()))
+    tensor, spans, voiced = audio.load(audio.store(audio.tensor_rows(media)))
+    want = audio.analyse(media)
+    assert (tensor == want[0]).all() and spans == want[1] and voiced == want[2] and len(spans) > 1
+
+
 def test_audio_round_trip(spark):
     payloads = [None, b"", b"a", bytes(range(256)) * 40, "é日".encode(), b"x" * 64, b"x" * 64]
     for p in payloads:
