@@ -343,3 +343,22 @@ def test_streaming_counter(spark, tmp_path):
     rows = spark.sql("SELECT * FROM counter ORDER BY step").collect()
     assert [r["step"] for r in rows] == list(range(1, len(rows) + 1))
     assert rows[-1]["noisy"] == 4000 + counting.prefix_noise(16, 1.0, 2, "k/all")[len(rows) - 1]
+
+
+@pytest.mark.parametrize("spaced", [True, False])
+def test_histogram_trials_from_windows_equal_those_from_all_rows(spark, spaced):
+    """A third of all rows share one value; random estimates of failed trials and coarse bins lie between the windows."""
+    d = Domain(0.0, 100.0)
+    x = np.round(np.random.default_rng(4).normal(40, 12, 30_000), 1).clip(0, 100)
+    x[::3] = 40.0
+    values, x = frame(spark, x), np.sort(x)
+    points = np.clip(x + np.arange(len(x)) / len(x), 0, 100) if spaced else x
+    edges = [0.0, 39.99, 40.0, 40.25, 40.5, float(points[12_345]), 55.05, 99.9, 100.0]
+    index = locate.Index(values, d, buckets=64, cap=100)
+    assert experiments.points_below(index, edges, spaced) == np.searchsorted(points, edges, "left").tolist()
+    settings = [experiments.Setting("histogram", "add_remove", 5, bins=b) for b in (16, 50)] + [experiments.Setting(k, "add_remove", 5) for k in ("independent", *experiments.METHODS)]
+    settings.append(experiments.Setting("slices", "add_remove", 9, eps=0.15, delta=0.9))
+    whole, parts = (sorted(experiments.run(spark, values, d, settings, 6, spaced=spaced, least=1, most=most, reach=reach).collect(), key=str) for most, reach in ((10**6, 0), (10, 8000)))
+    assert whole == parts
+    whole, parts = (sorted(experiments.run(spark, values, d, settings[:2], 6, spaced=spaced, least=1, most=most, reach=5).collect(), key=str) for most in (10**6, 10))
+    assert whole == parts
