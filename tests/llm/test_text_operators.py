@@ -284,3 +284,18 @@ def test_polyphase_equals_zero_stuffing(up, down):
 def test_hysteresis():
     e = np.array([-50, -11, -13, -14, -16, -13, -50, -5, -13], np.float32)
     assert audio.segments(e, -12, -15) == [(1, 4), (7, 9)]
+
+
+def test_plain_words_need_no_pattern(monkeypatch):
+    """A word and one mark behind it are cut without the pattern, to the same ids; other chunks go through it."""
+    encoder = bpe.ChunkEncoder(bpe.Vocabulary(bpe.default_tokenizer()), lambda ids: ids)
+    plain = ["word", "Straße", "niño,", "ªend.", "so!", "I"]
+    other = ["it's", "a1", "x..", "(y)", "՘a", "kōan", "日本", ".", "<|endoftext|>", " z", "no\n", "9"]
+    for chunk in plain + other:
+        assert encoder._chunk(chunk) == encoder._pretokens(" " + chunk), chunk
+    whole, seen = encoder._pretokens, []
+    monkeypatch.setattr(encoder, "_pretokens", lambda text: seen.append(text) or whole(text))
+    encoder.learn([" " + " ".join(plain)])
+    assert not seen and all(encoder.chunks[c] == encoder.ids(" " + c) for c in plain)
+    encoder.learn([" " + " ".join(other)])
+    assert {s[1:] for s in seen} >= set(other) - {"kōan"}
