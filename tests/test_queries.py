@@ -64,3 +64,10 @@ def test_headline_at_a_small_scale(spark):
     rows = queries.workload("age", lambda: queries.experiments.sweep_m("substitute", [200]), 6)(spark, SF).collect()
     means = {r["method"]: r["mean_max_error"] for r in rows}
     assert means["slices"] * 1.4 < means["bisection_pure"] < means["bisection_zcdp"] and all(r["refused"] == 0 for r in rows)
+
+
+@pytest.mark.parametrize("name", ["bootstrap_ci"])
+def test_query_depends_on_its_table(spark, name):
+    """It reads a given table: rows differ between table sizes, or the plan names files."""
+    small, large = (queries.queries()[name](spark, f"/root/testdata/{sf}") for sf in ("sf0.001", "sf0.01"))
+    assert large.inputFiles() or sorted(map(str, small.collect())) != sorted(map(str, large.collect()))
