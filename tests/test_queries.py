@@ -66,7 +66,7 @@ def test_headline_at_a_small_scale(spark):
     assert means["slices"] * 1.4 < means["bisection_pure"] < means["bisection_zcdp"] and all(r["refused"] == 0 for r in rows)
 
 
-@pytest.mark.parametrize("name", ["bootstrap_ci", "bounds_table", "failure_rate", "gap_sweep", "improvement_ratio", "noise_sup_norm", "paired_trials", "pivot_report", "pure_worked_example", "random_release", "rank_noise_binary"])
+@pytest.mark.parametrize("name", ["bootstrap_ci", "bounds_table", "failure_rate", "gap_sweep", "improvement_ratio", "noise_sup_norm", "outer_alignment", "paired_trials", "pivot_report", "pure_worked_example", "random_release", "rank_noise_binary"])
 def test_query_depends_on_its_table(spark, name):
     """It reads a given table: rows differ between table sizes, or the plan names files."""
     small, large = (queries.queries()[name](spark, f"/root/testdata/{sf}") for sf in ("sf0.001", "sf0.01"))
