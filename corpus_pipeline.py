@@ -8,13 +8,30 @@ rows in the order of the shards, shuffled within each. The last stage returns on
 
 from __future__ import annotations
 
+import functools
+from collections.abc import Callable
+
 from pyspark.sql import DataFrame, SparkSession
 
 from privq.llm import bpe, mixing, ngram_join, secrets, toxicity
-from privq.llm.common import give_back, table
+from privq.llm.common import give_back, give_back_executors, small_batches, table
 from privq.sources.scratch import materialize
 
 
+Stage = Callable[[SparkSession, DataFrame, str], DataFrame]
+
+
+def rested(stage: Stage) -> Stage:
+    """``stage``, begun with executors that don't hold the heap of the stage before beside their Python workers."""
+
+    @functools.wraps(stage)
+    def begin(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+        give_back_executors(spark)
+        return stage(spark, docs, sf_dir)
+
+    return begin
+
+
 def reject_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     model = toxicity.train(docs, table(spark, sf_dir, "labels"))
     give_back()  # what the training took of the driver
@@ -34,10 +51,11 @@ def mix_sources(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def encode(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    return bpe.encode_and_decode(docs, bpe.default_tokenizer(), keep_ids=True)
+    with small_batches(spark):  # each of an executor's tasks holds a batch of whole texts on both sides
+        return materialize(bpe.encode_and_decode(docs, bpe.default_tokenizer(), keep_ids=True), "pipeline-ids")
 
 
-STAGES = [("toxicity", reject_toxic), ("ngram_jaccard_join", one_of_each_group), ("secret_scan", redact_secrets), ("mixing", mix_sources), ("bpe", encode)]
+STAGES = [(name, rested(stage)) for name, stage in (("toxicity", reject_toxic), ("ngram_jaccard_join", one_of_each_group), ("secret_scan", redact_secrets), ("mixing", mix_sources), ("bpe", encode))]
 
 #: Neither the field's scores nor the encoder can be written in SQL; tests compare with plain versions.
 ORACLE_SQL = None

@@ -5,6 +5,7 @@ import random
 import zlib
 
 import numpy as np
+import pyarrow as pa
 import pytest
 import sentencepiece
 import tokenizers
@@ -310,3 +311,43 @@ def test_default_trees_are_trained_once(spark, monkeypatch):
     docs = spark.createDataFrame([(1, "password=0123456789abcdef0123"), (2, None)], "doc_id bigint, text string")
     first, second = (corpus_pipeline.redact_secrets(spark, docs, "").collect() for _ in range(2))
     assert first == second and trained == [7]
+
+
+def test_encoding_workers_remember_ids_only(monkeypatch):
+    """A worker of the bpe stage keeps the packed ids of a chunk, not their digits and bytes beside them."""
+    made, learn = [], bpe.ChunkEncoder.learn
+    monkeypatch.setattr(bpe.ChunkEncoder, "learn", lambda self, texts: made.append(self) or learn(self, texts))
+    texts = ["plain words, it's 12 <|endoftext|> words", "", "two  blanks", " "]
+    batch = pa.RecordBatch.from_arrays([pa.array(range(len(texts))), pa.array(texts)], ["doc_id", "text"])
+    rows = [r for b in bpe._digest_batches(JSON, True)(iter([batch])) for r in b.to_pylist()]
+    lib = tokenizers.Tokenizer.from_file(JSON)
+    assert [r["token_ids"] for r in rows] == [lib.encode(t, add_special_tokens=False).ids for t in texts]
+    known = [v for v in [*made[0].chunks.values(), *made[0].words.values()] if v is not None]
+    assert known and all(isinstance(v, bytes) and len(v) % 4 == 0 for v in known)
+
+
+def test_encode_stage_has_small_batches(spark, monkeypatch):
+    """An executor's tasks each hold one batch of whole texts in the JVM and in Python."""
+    run = bpe._digest_batches
+
+    def counted(path, keep_ids):
+        def batches(stream):
+            for b in stream:
+                assert b.num_rows <= 1000, "a batch of too many whole texts"
+                yield from run(path, keep_ids)(iter([b]))
+
+        return batches
+
+    monkeypatch.setattr(bpe, "_digest_batches", counted)
+    docs = spark.range(2500).selectExpr("id AS doc_id", "concat('text ', id) AS text").coalesce(1)
+    assert corpus_pipeline.encode(spark, docs, "").count() == 2500
+
+
+def test_stages_begin_with_little_heap(spark):
+    """Heap that an executor's JVM grew goes back before a stage begins."""
+    runtime = spark._jvm.java.lang.Runtime.getRuntime()
+    spark.range(3_000_000).selectExpr("id", "repeat('x', 300) AS t").repartition(4, "id").selectExpr("sum(length(t))").collect()
+    grown = runtime.totalMemory()
+    seen = []
+    corpus_pipeline.rested(lambda *given: seen.append(runtime.totalMemory()))(spark, None, "")
+    assert seen[0] < grown
