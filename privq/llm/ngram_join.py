@@ -39,7 +39,7 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from privq.llm.common import small_batches, table, text_or_empty, tidy
+from privq.llm.common import WORD, small_batches, table, text_or_empty, tidy
 from privq.sources.scratch import Scratch, materialize
 
 WORDS = 5
@@ -493,18 +493,42 @@ def _near_batches(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]
         yield batch.select(list(range(6))).filter(pa.array(keep))
 
 
+def bit_set(names: DataFrame) -> tuple[bytes, int]:
+    """The places of ``names``, one column of mixed numbers, in a bit set of a power of two of bits, and that power."""
+    (name,) = names.columns
+    bits = int(min(MOST_SIEVE_BITS, max(16, (8 * names.count()).bit_length())))
+    place = F.call_function("shiftrightunsigned", F.col(name), F.lit(64 - bits))
+    words = names.select(F.shiftright(place, 5).cast("int").alias("w"), F.call_function("shiftleft", F.lit(1).cast("long"), place.bitwiseAND(31).cast("int")).alias("m")).groupBy("w").agg(F.bit_or("m").alias("m")).toArrow()
+    sieve = np.zeros(1 << (bits - 5), np.uint32)
+    sieve[words.column("w").to_numpy()] = words.column("m").to_numpy().astype(np.uint32)
+    return sieve.tobytes(), bits
+
+
+def _in_sieve(mixed: pa.Array, taken: np.ndarray, bits: int) -> pa.Array:
+    place = (mixed.to_numpy().view(np.uint64) >> np.uint64(64 - bits)).astype(np.int64)
+    return pa.array((taken[place >> 3] >> (place & 7).astype(np.uint8) & 1).astype(bool))
+
+
 def _sieved_batches(sieve: bytes, bits: int):
     """Rows whose first column, a mixed number, has its place in the bit set taken."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         taken = np.frombuffer(sieve, np.uint8)
         for batch in batches:
-            place = (batch.column(0).to_numpy().view(np.uint64) >> np.uint64(64 - bits)).astype(np.int64)
-            yield batch.filter(pa.array((taken[place >> 3] >> (place & 7).astype(np.uint8) & 1).astype(bool)))
+            yield batch.filter(_in_sieve(batch.column(0), taken, bits))
 
     return run
 
 
+def _sieve_column(sieve: bytes, bits: int):
+    """The same as a column: only the mixed numbers go to Python."""
+
+    def run(mixed: pa.Array) -> pa.Array:
+        return _in_sieve(mixed, np.frombuffer(sieve, np.uint8), bits)
+
+    return F.arrow_udf(run, "boolean")
+
+
 def _overlap_batches(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     for batch in batches:
         keep = []
@@ -598,13 +622,7 @@ class Join:
     def sieved(self, rows: DataFrame, names: DataFrame) -> DataFrame:
         """``rows`` whose first column is among ``names`` (one column), and few others: a bit set keeps the rest from
         being shuffled."""
-        (name,) = names.columns
-        bits = int(min(MOST_SIEVE_BITS, max(16, (8 * names.count()).bit_length())))
-        place = F.call_function("shiftrightunsigned", F.col(name), F.lit(64 - bits))
-        words = names.select(F.shiftright(place, 5).cast("int").alias("w"), F.call_function("shiftleft", F.lit(1).cast("long"), place.bitwiseAND(31).cast("int")).alias("m")).groupBy("w").agg(F.bit_or("m").alias("m")).toArrow()
-        sieve = np.zeros(1 << (bits - 5), np.uint32)
-        sieve[words.column("w").to_numpy()] = words.column("m").to_numpy().astype(np.uint32)
-        return rows.mapInArrow(tidy(_sieved_batches(sieve.tobytes(), bits)), rows.schema)
+        return rows.mapInArrow(tidy(_sieved_batches(*bit_set(names))), rows.schema)
 
     def verified(self, pairs: DataFrame) -> DataFrame:
         """Of pairs of nodes (a, b), the pairs of sets that link, exactly."""
@@ -699,12 +717,22 @@ def components(links: DataFrame, steps: Scratch | None = None) -> DataFrame:
 
 
 def keep_one_of_each(docs: DataFrame) -> DataFrame:
-    """One row of each component of ``docs``, with its own columns; documents without shingles all stay."""
+    """One row of each component of ``docs``, with its own columns; documents without shingles all stay.
+
+    Rows go or are compared by id. A bit set of these ids lets all other rows stay where they are; rows that it names are
+    shuffled to their id, so what moves follows the rows that go, not the texts.
+    """
     classes = materialize(Join(docs).classes(), "join-classes")
-    chosen = classes.where("doc_id is null or n_shingles = 0 or doc_id = component_id").select(F.col("doc_id").alias("__kept")).distinct()
-    kept = docs.join(chosen, docs["doc_id"].eqNullSafe(chosen["__kept"]), "left_semi")
-    twice = classes.where("n_shingles > 0").groupBy("doc_id").agg(F.count(F.lit(1)).alias("k")).where("k > 1")
-    return kept if twice.isEmpty() else kept.dropDuplicates(["doc_id", "text"])
+    stays, sets = F.bool_or(F.expr("doc_id is null or n_shingles = 0 or coalesce(doc_id = component_id, false)")), F.count_if(F.col("n_shingles") > 0)
+    marked = classes.groupBy(F.col("doc_id").alias("__id")).agg(stays.alias("__stays"), (sets > 1).alias("__twice")).where("not __stays or __twice")
+    marked = materialize(marked, "join-marked")
+    named = _sieve_column(*bit_set(marked.select(F.xxhash64("__id").alias("__id"))))(F.xxhash64(docs["doc_id"].cast("long")))
+    met = docs.where(named).join(marked, docs["doc_id"].cast("long").eqNullSafe(marked["__id"]), "left").where(F.coalesce("__stays", F.lit(True)))
+    compared = F.coalesce("__twice", F.lit(False)) & F.regexp_like(text_or_empty(), F.lit(WORD))
+    kept = docs.where(~named).unionByName(met.where(~compared).select(*docs.columns))
+    if marked.where("__stays and __twice").isEmpty():
+        return kept
+    return kept.unionByName(met.where(compared).select(*docs.columns).dropDuplicates(["doc_id", "text"]))
 
 
 def op5_ngram_join(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -198,6 +198,43 @@ def test_join_on_nothing_and_one_of_each(spark):
     assert sorted(r["doc_id"] for r in kept) == [1, 3, 4, 5]
 
 
+def shuffled_rows(df, column):
+    """Rows that the exchanges which carry ``column`` wrote, after ``df`` was collected."""
+
+    def walk(plan):
+        kind = plan.getClass().getSimpleName()
+        if kind == "AdaptiveSparkPlanExec":
+            return walk(plan.executedPlan())
+        if kind.endswith("QueryStageExec"):
+            return walk(plan.plan())
+        own = plan.metrics().apply("shuffleRecordsWritten").value() if kind == "ShuffleExchangeExec" and f"{column}#" in plan.output().mkString(",") else 0
+        return own + sum(walk(plan.children().apply(k)) for k in range(plan.children().size()))
+
+    return walk(df._jdf.queryExecution().executedPlan())
+
+
+@pytest.mark.parametrize("again", [False, True])
+def test_texts_that_stay_are_not_shuffled(spark, again):
+    """Also where another row repeats an id; rows without shingles all stay then too."""
+    g = random.Random(17)
+    texts = [" ".join(str(g.randrange(1000)) for _ in range(30)) for _ in range(600)]
+    rows = [(k, t, "s") for k, t in enumerate([*texts, *texts[:40], None, "", " "])] + [(641, "", "s"), (None, None, "s"), (None, None, "s")]
+    rows += [(5, texts[5], "s")] * 3 * again + [(None, texts[7], "s")] * 2 * again
+    df, before = spark.createDataFrame(rows, "doc_id long, text string, source string").repartition(3), spark.conf.get("spark.sql.autoBroadcastJoinThreshold")
+    spark.conf.set("spark.sql.autoBroadcastJoinThreshold", "-1")
+    try:
+        path = ngram_join.materialize(df, "t")
+        kept = ngram_join.keep_one_of_each(path)
+        found = [tuple(r) for r in kept.collect()]
+    finally:
+        spark.conf.set("spark.sql.autoBroadcastJoinThreshold", before)
+    want = [(k, t, "s") for k, t in enumerate(texts)] + [(640, None, "s"), (641, "", "s"), (641, "", "s"), (642, " ", "s"), (None, None, "s"), (None, None, "s")]
+    if again:
+        want.append((None, texts[7], "s"))  # rows of a repeated id are compared by text
+    assert Counter(found) == Counter(want) and kept.columns == df.columns
+    assert 40 <= shuffled_rows(kept, "text") < 150
+
+
 def test_components_of_a_long_chain(spark):
     pairs = [(k, k + 1) for k in range(40)] + [(100, 101)] + [(200, 200 + k) for k in range(1, 30)]
     roots = {r["node"]: r["root"] for r in ngram_join.components(spark.createDataFrame(pairs, "a long, b long")).collect()}
