@@ -351,3 +351,12 @@ def test_stages_begin_with_little_heap(spark):
     seen = []
     corpus_pipeline.rested(lambda *given: seen.append(runtime.totalMemory()))(spark, None, "")
     assert seen[0] < grown
+
+
+def test_words_of_one_tree_size_are_merged_together(monkeypatch):
+    """A numpy step costs as much for a few words as for many: one run of merges a tree size, not a length."""
+    v, g, calls, merge = bpe.Vocabulary(JSON), random.Random(31), [], bpe.WordBatch._merge
+    monkeypatch.setattr(bpe.WordBatch, "_merge", lambda self, *args: calls.append(1) or merge(self, *args))
+    words = [bytes(g.choice(b"aeinorst \x00\xc3\xa9.") for _ in range(n)) for n in range(1, 33) for _ in range(40)]
+    assert bpe.WordBatch(v).encode(words) == [v.encode_word(w) for w in words]
+    assert len(calls) <= 5
