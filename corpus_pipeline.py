@@ -14,7 +14,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 
 from privq.llm import bpe, mixing, ngram_join, secrets, toxicity
-from privq.llm.common import give_back, give_back_executors, small_batches, table
+from privq.llm.common import give_back, give_back_driver, give_back_executors, small_batches, table
 from privq.sources.scratch import materialize
 
 
@@ -22,10 +22,11 @@ Stage = Callable[[SparkSession, DataFrame, str], DataFrame]
 
 
 def rested(stage: Stage) -> Stage:
-    """``stage``, begun with executors that don't hold the heap of the stage before beside their Python workers."""
+    """``stage``, begun with a driver and executors that don't hold what the stages before freed."""
 
     @functools.wraps(stage)
     def begin(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+        give_back_driver(spark)
         give_back_executors(spark)
         return stage(spark, docs, sf_dir)
 

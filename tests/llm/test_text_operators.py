@@ -353,6 +353,25 @@ def test_stages_begin_with_little_heap(spark):
     assert seen[0] < grown
 
 
+def test_stages_begin_with_a_driver_that_gave_memory_back(spark):
+    """What the allocator of the driver's JVM holds free, below a block still in use, goes back before a stage begins."""
+    pid = spark._jvm.java.lang.ProcessHandle.current().pid()
+
+    def held():
+        spark._jvm.System.gc()
+        with open(f"/proc/{pid}/smaps_rollup") as lines:
+            return next(int(x.split()[1]) for x in lines if x.startswith("Pss_Anon:")) / 1024
+
+    blocks = [spark._jvm.java.util.zip.Deflater() for _ in range(400)]
+    for b in blocks[:-1]:
+        b.end()
+    grown = held()
+    seen = []
+    corpus_pipeline.rested(lambda *given: seen.append(held()))(spark, None, "")
+    blocks[-1].end()
+    assert seen[0] < grown - 15
+
+
 def test_words_of_one_tree_size_are_merged_together(monkeypatch):
     """A numpy step costs as much for a few words as for many: one run of merges a tree size, not a length."""
     v, g, calls, merge = bpe.Vocabulary(JSON), random.Random(31), [], bpe.WordBatch._merge
